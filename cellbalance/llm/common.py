@@ -94,3 +94,17 @@ class Interned(dict):
             self.clear()
         value = self[word] = self.make(word)
         return value
+
+
+def keep_rows(docs: DataFrame, text_col: str, judge, most: int = 4 << 20) -> DataFrame:
+    """The rows whose texts `judge` (list of bytes or None, to booleans) accepts, all columns as they
+    are. It sees whole texts, some at a time; no row moves between tasks."""
+    at = docs.columns.index(text_col)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            texts = as_bytes(batch.column(at))
+            for a, b in chunks(texts, most):
+                yield batch.slice(a, b - a).filter(pa.array(list(judge(texts[a:b])), pa.bool_()))
+
+    return docs.mapInArrow(run, docs.schema)

@@ -24,7 +24,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cellbalance.llm.common import ALNUM, as_bytes
+from cellbalance.llm.common import ALNUM, as_bytes, keep_rows
 
 _SPANS = pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())]))
 
@@ -271,6 +271,24 @@ def contamination(
     return found.select("doc_id", "n_words", hit.alias("n_hit"), "spans", "items")
 
 
+def decontaminated(docs: DataFrame, bench: DataFrame, id_col: str = "doc_id", text_col: str = "text", window: int = 13, least: int = 20, block_bytes: int = 32 << 20) -> DataFrame:
+    """The documents of which less than one word in `least` is hit, with all their columns."""
+    items = bench.select(F.col("item_id").cast("string").alias("item"), F.col("text").cast("string").alias("text")).filter("text is not null")
+    total = items.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    if total > block_bytes:
+        found = contamination(docs, bench, id_col, text_col, window=window, block_bytes=block_bytes)
+        bad = found.filter(f"n_hit > 0 and {least} * n_hit >= n_words").select(F.col("doc_id").alias(id_col)).distinct()
+        return docs.join(bad, id_col, "left_anti").select(docs.columns)
+    sent = docs.sparkSession.sparkContext.broadcast(Phrases([tuple(r) for r in items.collect()], window))
+
+    def judge(texts: list[bytes | None]) -> list[bool]:
+        shard = [sent.value.symbols(t) for t in texts]
+        hit = [sum(s["end"] - s["start"] for s in spans) for spans in scan_shard(shard, sent.value)[0]]
+        return [not n or least * n < len(words) for n, words in zip(hit, shard, strict=True)]
+
+    return keep_rows(docs, text_col, judge, 6 << 20)
+
+
 def without_spans(text: str | None, spans: list) -> str | None:
     """The text without the words of the spans; the rest keeps its own characters."""
     if not text or not spans:

@@ -24,7 +24,7 @@ import regex
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from cellbalance.llm.common import LOWER, as_bytes, chunks
+from cellbalance.llm.common import LOWER, as_bytes, chunks, keep_rows
 
 #: Language codes by family; a code not listed is a family of its own.
 FAMILIES = {
@@ -160,6 +160,17 @@ def fit(docs: DataFrame, allowed: Column, id_col: str = "doc_id", text_col: str
     return Hierarchy.fit(counts[order], [labels[i] for i in order])
 
 
+def judged(texts: list[bytes | None], model: Hierarchy | None) -> tuple[list[str], list[float]]:
+    """Language and score of each text, 64 at a time."""
+    names, score = ["und"] * len(texts), [0.0] * len(texts)
+    lettered = [i for i, t in enumerate(texts) if t and model and _LETTER(t.decode("utf-8", "replace"))]
+    for a in range(0, len(lettered), 64):
+        part = lettered[a : a + 64]
+        for i, name, s in zip(part, *model.predict([texts[i] for i in part]), strict=True):
+            names[i], score[i] = name, float(s)
+    return names, score
+
+
 def identify(docs: DataFrame, model: Hierarchy | None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, lang_pred, score of every row."""
     sent = docs.sparkSession.sparkContext.broadcast(model)
@@ -168,18 +179,18 @@ def identify(docs: DataFrame, model: Hierarchy | None, id_col: str = "doc_id", t
         for batch in batches:
             texts = as_bytes(batch.column(1))
             for a, b in chunks(texts, 1 << 20):
-                for a2 in range(a, b, 64):
-                    part = texts[a2 : min(b, a2 + 64)]
-                    lettered = [i for i, t in enumerate(part) if t and sent.value and _LETTER(t.decode("utf-8", "replace"))]
-                    names, score = ["und"] * len(part), [0.0] * len(part)
-                    if lettered:
-                        for i, name, s in zip(lettered, *sent.value.predict([part[i] for i in lettered]), strict=True):
-                            names[i], score[i] = name, float(s)
-                    yield pa.RecordBatch.from_arrays([batch.column(0)[a2 : a2 + len(part)], pa.array(names), pa.array(score)], names=["doc_id", "lang_pred", "score"])
+                names, score = judged(texts[a:b], sent.value)
+                yield pa.RecordBatch.from_arrays([batch.column(0)[a:b], pa.array(names, pa.string()), pa.array(score, pa.float64())], names=["doc_id", "lang_pred", "score"])
 
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(run, "doc_id long, lang_pred string, score double")
 
 
+def in_known_language(docs: DataFrame, model: Hierarchy | None, text_col: str = "text") -> DataFrame:
+    """The documents that get a language, with all their columns."""
+    sent = docs.sparkSession.sparkContext.broadcast(model)
+    return keep_rows(docs, text_col, lambda texts: [name != "und" for name in judged(texts, sent.value)[0]], 1 << 20)
+
+
 def held_out(labels: list[str], predicted: list[str]) -> dict[str, float]:
     """Share of right predictions for each label."""
     all_, right = Counter(labels), Counter(a for a, b in zip(labels, predicted, strict=True) if a == b)

@@ -253,3 +253,10 @@ def near_duplicates(
         ),
         "result",
     )
+
+
+def one_of_each(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = 5, percent: int = 80) -> DataFrame:
+    """One document of each near-duplicate group, with all its columns; rows without an id stay."""
+    kept = near_duplicates(docs, id_col, text_col, shingle, percent).filter("kept and doc_id is not null").select(F.col("doc_id").alias(id_col)).distinct()
+    named = docs.join(kept, id_col, "left_semi").dropDuplicates([id_col]).select(docs.columns)
+    return named.union(docs.filter(F.col(id_col).isNull()))

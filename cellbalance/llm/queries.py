@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from cellbalance.llm import bpe, fmindex, langid, sharding, toxicity
+from cellbalance.llm import bpe, chat, fmindex, langid, licenses, quality, sharding, toxicity, warc
 from cellbalance.llm.common import Work, table
 from cellbalance.llm.neardup import near_duplicates
 
@@ -41,6 +41,10 @@ def op3_histogram_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return placed.select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))
 
 
+def op4_warc_derivatives(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return warc.derivatives(warc.page_responses(table(spark, sf_dir, "pages")), "page_id").withColumn("block", F.col("block").cast("string"))
+
+
 def op5_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs, labels = table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels")
     model = toxicity.fit(docs, labels, _fold(5) != 0, work=Work(spark))
@@ -54,6 +58,21 @@ def op6_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return both.select("doc_id", "n_tokens", F.sha2("ids", 256).alias("ids_sha256"), F.sha2(F.col("decoded").cast("binary"), 256).alias("decoded_sha256"))
 
 
+def op7_compression_bands(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = quality.compression_bands(table(spark, sf_dir, "documents"))
+    return found.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "in_band", "bad_chunks")
+
+
+def op8_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = licenses.scan(table(spark, sf_dir, "documents"))
+    joined = (F.array_join(c, ",").alias(c) for c in ("base_labels", "labels"))
+    return found.select("doc_id", "n_words", "n_base", "first_word", "last_word", *joined, "score")
+
+
+def op9_tool_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return chat.tool_chat(table(spark, sf_dir, "conversations"))
+
+
 def op10_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     found = langid.identify(docs, langid.fit(docs, _fold(4) != 2))
@@ -64,7 +83,11 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_near_duplicates": op1_near_duplicates,
     "op2_contamination": op2_contamination,
     "op3_histogram_shards": op3_histogram_shards,
+    "op4_warc_derivatives": op4_warc_derivatives,
     "op5_toxicity": op5_toxicity,
     "op6_bpe": op6_bpe,
+    "op7_compression_bands": op7_compression_bands,
+    "op8_licenses": op8_licenses,
+    "op9_tool_chat": op9_tool_chat,
     "op10_language": op10_language,
 }

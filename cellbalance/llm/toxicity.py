@@ -26,10 +26,11 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from cellbalance.llm.common import Interned, as_bytes
+from cellbalance.llm.common import Interned, as_bytes, keep_rows
 
 #: Seed words by class.
 SEEDS = {
@@ -202,9 +203,30 @@ def _sample(docs: DataFrame, labels: DataFrame, allowed: Column, positives: int,
     return known.filter(F.pmod(F.xxhash64("doc_id", "text"), F.lit(1 << 32)) < limit).select("toxic", "text")
 
 
-def fit(docs: DataFrame, labels: DataFrame, allowed: Column, positives: int = 2500, negatives: int = 5000, work=None) -> ToxicModel:
-    """Learn the insult arcs and the logistic from a bounded sample of the allowed labelled rows."""
-    sample = _sample(docs, labels, allowed, positives, negatives)
+def _leading_pair(text: str) -> int:
+    """The least hash of two adjacent words: near copies mostly share it."""
+    tokens = _TOKEN(text.lower())
+    return min((xxhash.xxh3_64_intdigest(f"{a} {b}") for a, b in zip(tokens, tokens[1:])), default=0) >> 1
+
+
+def _without_copies(sample: DataFrame) -> DataFrame:
+    """One row of most groups of toxic near copies, so that a group's own words don't look telling."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array([_leading_pair(t) for t in batch.column(1).to_pylist()], pa.int64())], names=["toxic", "text", "pair"])
+
+    paired = sample.filter("toxic = 1").mapInArrow(run, "toxic int, text string, pair long")
+    kept = paired.groupBy("toxic", "pair").agg(F.min("text").alias("text")).select("toxic", "text")
+    return kept.union(sample.filter("toxic = 0").select("toxic", "text"))
+
+
+def fit(
+    docs: DataFrame, labels: DataFrame, allowed: Column, positives: int = 2500, negatives: int = 5000, least_share: float = 0.04, work=None
+) -> ToxicModel:
+    """Learn the insult arcs and the logistic from a bounded sample of the allowed labelled rows. An
+    arc must explain `least_share` of the toxic sample and five rows, so that wrong labels teach none."""
+    sample = _without_copies(_sample(docs, labels, allowed, positives, negatives))
     sample = work.table(sample, "labelled") if work else sample
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -229,7 +251,7 @@ def fit(docs: DataFrame, labels: DataFrame, allowed: Column, positives: int = 25
     if totals is None or not totals["pos"] or not totals["neg"]:
         return ToxicModel()
     n_pos, n_neg = totals["pos"], totals["neg"]
-    support = max(3, n_pos // 200)
+    support = max(5, int(least_share * n_pos))
     telling = {
         r["stem"]: (r["pos"], r["neg"], r["words"])
         for r in counted.filter(f"stem <> '' and pos >= {support} and 20 * (neg + 0.5) * {n_pos + 1} < (pos + 0.5) * {n_neg + 1}").collect()
@@ -244,8 +266,8 @@ def fit(docs: DataFrame, labels: DataFrame, allowed: Column, positives: int = 25
     stems: dict[str, float] = {}
     while True:
         gain = Counter(s for d in open_ for s in d)
-        best = max(gain, key=lambda s: (gain[s] - 5 * telling[s][1], telling[s][2], len(s), s), default=None)
-        if best is None or gain[best] < support or gain[best] <= 5 * telling[best][1]:
+        best = max(gain, key=lambda s: (gain[s] - 10 * telling[s][1], telling[s][2], len(s), s), default=None)
+        if best is None or gain[best] < support or gain[best] <= 10 * telling[best][1]:
             break
         stems[best] = math.log((telling[best][0] + 0.5) / (n_pos + 1)) - math.log((telling[best][1] + 0.5) / (n_neg + 1))
         open_ = [d for d in open_ if best not in d]
@@ -290,3 +312,9 @@ def score(docs: DataFrame, model: ToxicModel, id_col: str = "doc_id", text_col:
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(scores, pa.float64())], names=["doc_id", "score"])
 
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(run, "doc_id long, score double")
+
+
+def without_toxic(docs: DataFrame, model: ToxicModel, text_col: str = "text", limit: float = 0.5) -> DataFrame:
+    """The documents that score below the limit, with all their columns."""
+    sent = docs.sparkSession.sparkContext.broadcast(model)
+    return keep_rows(docs, text_col, lambda texts: [sent.value.score(t.decode("utf-8", "replace") if t else None) < limit for t in texts])
