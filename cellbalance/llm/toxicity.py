@@ -154,7 +154,7 @@ class ToxicModel:
     def clauses(self, text: str) -> list[float]:
         """Scores of the clauses that match a pattern."""
         if not hasattr(self, "_read"):
-            self._read, self._machine = Interned(Trie(self.stems).read, 200_000), grammar()
+            self._read, self._machine = Interned(Trie(self.stems).read, 80_000), grammar()
         tokens = _TOKEN(text.lower())
         classes = list(map(self._read.__getitem__, tokens))
         if not any(c in ("insult", "harm") for c, _ in classes):
@@ -230,21 +230,23 @@ def fit(
     sample = work.table(sample, "labelled") if work else sample
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        pos, neg, words, n = Counter(), Counter(), Counter(), [0, 0]
+        held: dict[str, list[int]] = {}
+
+        def flush() -> pa.RecordBatch:
+            columns = list(zip(*held.values(), strict=True))
+            return pa.RecordBatch.from_arrays([pa.array(list(held)), *(pa.array(c, pa.int64()) for c in columns)], names=["stem", "pos", "neg", "words"])
+
         for batch in batches:
             for y, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                n[y] += 1
-                for stem, k in _beginnings(text).items():
-                    if y:
-                        pos[stem] += 1
-                        words[stem] += k
-                    else:
-                        neg[stem] += 1
-        pos[""], neg[""] = n[1], n[0]
-        stems = [s for s in pos.keys() | neg.keys()]
-        yield pa.RecordBatch.from_arrays(
-            [pa.array(stems), *(pa.array([c[s] for s in stems], pa.int64()) for c in (pos, neg, words))], names=["stem", "pos", "neg", "words"]
-        )
+                for stem, k in [*_beginnings(text).items(), ("", 0)]:
+                    row = held.setdefault(stem, [0, 0, 0])
+                    row[0 if y else 1] += 1
+                    row[2] += k if y else 0
+                if len(held) > 100_000:  # sums meet again in the shuffle
+                    yield flush()
+                    held = {}
+        if held:
+            yield flush()
 
     counted = sample.mapInArrow(count, "stem string, pos long, neg long, words long").groupBy("stem").agg(*(F.sum(c).alias(c) for c in ("pos", "neg", "words")))
     totals = counted.filter("stem = ''").first()
