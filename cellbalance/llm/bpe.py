@@ -25,12 +25,12 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cellbalance.llm.common import as_bytes, chunks
+from cellbalance.llm.common import runs
 
 #: Fixed value: the published pattern that splits text before byte-level merges.
 PATTERN = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
 LONG = 64
-KNOWN = 300_000
+KNOWN = 200_000
 _NONE = 1 << 60
 
 
@@ -236,10 +236,9 @@ def encode(docs: DataFrame, tokenizer_path: str, id_col: str = "doc_id", text_co
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bpe = _loaded(sent.value)
         for batch in batches:
-            names, texts = batch.column(0), as_bytes(batch.column(1))
-            for a, b in chunks(texts, 2 << 20):
-                ids = bpe.encode_many([t.decode("utf-8", "replace") if t else "" for t in texts[a:b]])
-                yield pa.RecordBatch.from_arrays([names[a:b], pa.array([len(x) // 4 for x in ids], pa.int64()), pa.array(ids, pa.binary())], names=["doc_id", "n_tokens", "ids"])
+            for a, b, texts in runs(batch.column(1), 1 << 20):
+                ids = bpe.encode_many([t.decode("utf-8", "replace") if t else "" for t in texts])
+                yield pa.RecordBatch.from_arrays([batch.column(0)[a:b], pa.array([len(x) // 4 for x in ids], pa.int64()), pa.array(ids, pa.binary())], names=["doc_id", "n_tokens", "ids"])
 
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(run, "doc_id long, n_tokens long, ids binary")
 
@@ -251,9 +250,8 @@ def decode(encoded: DataFrame, tokenizer_path: str) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bpe = _loaded(sent.value)
         for batch in batches:
-            ids = batch.column(2).to_pylist()
-            for a in range(0, len(ids), 256):
-                texts = [bpe.decode(np.frombuffer(x or b"", "<u4").tolist()) for x in ids[a : a + 256]]
-                yield pa.RecordBatch.from_arrays([*(c[a : a + 256] for c in batch.columns), pa.array(texts, pa.string())], names=[*batch.schema.names, "decoded"])
+            for a, b, ids in runs(batch.column(2), 1 << 20):
+                texts = [bpe.decode(np.frombuffer(x or b"", "<u4").tolist()) for x in ids]
+                yield pa.RecordBatch.from_arrays([*(c[a:b] for c in batch.columns), pa.array(texts, pa.string())], names=[*batch.schema.names, "decoded"])
 
     return encoded.select("doc_id", "n_tokens", "ids").mapInArrow(run, "doc_id long, n_tokens long, ids binary, decoded string")

@@ -9,6 +9,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 
 LOWER = bytes.maketrans(bytes(range(65, 91)), bytes(range(97, 123)))
@@ -56,21 +57,16 @@ class Work:
         self.spark._jvm.System.gc()
 
 
-def chunks(texts: list[bytes | None], most: int = 4 << 20) -> Iterator[tuple[int, int]]:
-    """Bounds of runs of texts of about `most` bytes; a longer text is a run by itself."""
+def runs(column: pa.Array, most: int = 4 << 20) -> Iterator[tuple[int, int, list[bytes | None]]]:
+    """(start, end, texts) of runs of about `most` bytes of a text column; a longer text is a run by
+    itself. Only one run at a time stands in Python's memory."""
+    sizes = pc.fill_null(pc.binary_length(column), 0).to_numpy(zero_copy_only=False)
     start, size = 0, 0
-    for i, t in enumerate(texts):
-        n = len(t) if t else 0
-        if i > start and size + n > most:
-            yield start, i
+    for i, n in enumerate([*sizes.tolist(), None]):
+        if i > start and (n is None or size + n > most):
+            yield start, i, column.slice(start, i - start).cast(pa.large_binary()).to_pylist()
             start, size = i, 0
-        size += n
-    if start < len(texts):
-        yield start, len(texts)
-
-
-def as_bytes(column: pa.Array) -> list[bytes | None]:
-    return column.cast(pa.large_binary()).to_pylist()
+        size += n or 0
 
 
 def mix64(x: np.ndarray) -> np.ndarray:
@@ -85,7 +81,7 @@ def mix64(x: np.ndarray) -> np.ndarray:
 class Interned(dict):
     """Remembers a value per word, at most `most` at a time."""
 
-    def __init__(self, make, most: int = 400_000):
+    def __init__(self, make, most: int = 200_000):
         super().__init__()
         self.make, self.most = make, most
 
@@ -103,8 +99,7 @@ def keep_rows(docs: DataFrame, text_col: str, judge, most: int = 4 << 20) -> Dat
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            texts = as_bytes(batch.column(at))
-            for a, b in chunks(texts, most):
-                yield batch.slice(a, b - a).filter(pa.array(list(judge(texts[a:b])), pa.bool_()))
+            for a, b, texts in runs(batch.column(at), most):
+                yield batch.slice(a, b - a).filter(pa.array(list(judge(texts)), pa.bool_()))
 
     return docs.mapInArrow(run, docs.schema)

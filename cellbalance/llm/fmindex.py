@@ -24,7 +24,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cellbalance.llm.common import ALNUM, as_bytes, keep_rows
+from cellbalance.llm.common import ALNUM, keep_rows, runs
 
 _SPANS = pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())]))
 
@@ -215,13 +215,14 @@ def _scan(docs: DataFrame, phrases: Phrases, shard_bytes: int) -> DataFrame:
             )
 
         for batch in batches:
-            for name, text in zip(batch.column(0).to_pylist(), as_bytes(batch.column(1)), strict=True):
-                n = len(text) if text else 0
-                if held and size + n > shard_bytes:
-                    yield flush()
-                    held, size = [], 0
-                held.append((name, xxhash.xxh3_64_intdigest(text or b"") >> 1, sent.value.symbols(text)))
-                size += n
+            for a, b, texts in runs(batch.column(1)):
+                for name, text in zip(batch.column(0)[a:b].to_pylist(), texts, strict=True):
+                    n = len(text) if text else 0
+                    if held and size + n > shard_bytes:
+                        yield flush()
+                        held, size = [], 0
+                    held.append((name, xxhash.xxh3_64_intdigest(text or b"") >> 1, sent.value.symbols(text)))
+                    size += n
         if held:
             yield flush()
 

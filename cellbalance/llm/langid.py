@@ -24,7 +24,7 @@ import regex
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from cellbalance.llm.common import LOWER, as_bytes, chunks, keep_rows
+from cellbalance.llm.common import LOWER, keep_rows, runs
 
 #: Language codes by family; a code not listed is a family of its own.
 FAMILIES = {
@@ -147,10 +147,9 @@ def fit(docs: DataFrame, allowed: Column, id_col: str = "doc_id", text_col: str
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            texts = as_bytes(batch.column(1))
-            for a in range(0, len(texts), 64):
-                counts = np.minimum(features(texts[a : a + 64]), 65535).astype("<u2")
-                yield pa.RecordBatch.from_arrays([batch.column(0)[a : a + 64], pa.array([r.tobytes() for r in counts], pa.binary())], names=["label", "counts"])
+            for a, b, texts in runs(batch.column(1), 1 << 18):
+                counts = np.minimum(features(texts), 65535).astype("<u2")
+                yield pa.RecordBatch.from_arrays([batch.column(0)[a:b], pa.array([r.tobytes() for r in counts], pa.binary())], names=["label", "counts"])
 
     chosen = known.filter(F.pmod(F.xxhash64("id", "text"), F.lit(1 << 32)) < share).select("label", "text").mapInArrow(run, "label string, counts binary")
     rows = chosen.toArrow()
@@ -177,9 +176,8 @@ def identify(docs: DataFrame, model: Hierarchy | None, id_col: str = "doc_id", t
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            texts = as_bytes(batch.column(1))
-            for a, b in chunks(texts, 1 << 20):
-                names, score = judged(texts[a:b], sent.value)
+            for a, b, texts in runs(batch.column(1), 1 << 20):
+                names, score = judged(texts, sent.value)
                 yield pa.RecordBatch.from_arrays([batch.column(0)[a:b], pa.array(names, pa.string()), pa.array(score, pa.float64())], names=["doc_id", "lang_pred", "score"])
 
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(run, "doc_id long, lang_pred string, score double")

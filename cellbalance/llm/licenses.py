@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cellbalance.llm.common import ALNUM, as_bytes
+from cellbalance.llm.common import ALNUM, runs
 
 #: Base phrases and their labels.
 BASE = (("gnu general public license", "gpl"), ("apache license", "apache"), ("cc by", "cc-by"), ("mit license", "mit"))
@@ -202,7 +202,8 @@ def scan(docs: DataFrame, table: list[Rule] | None = None, id_col: str = "doc_id
             _SCANNERS.clear()
             _SCANNERS[chosen] = Scanner(list(chosen))
         for batch in batches:
-            found = pa.array([scan_text(t, _SCANNERS[chosen]) for t in as_bytes(batch.column(1))], _ARROW)
-            yield pa.RecordBatch.from_arrays([batch.column(0), *found.flatten()], names=["doc_id", *(f.name for f in _ARROW)])
+            for a, b, texts in runs(batch.column(1)):
+                found = pa.array([scan_text(t, _SCANNERS[chosen]) for t in texts], _ARROW)
+                yield pa.RecordBatch.from_arrays([batch.column(0)[a:b], *found.flatten()], names=["doc_id", *(f.name for f in _ARROW)])
 
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(run, _SCHEMA)

@@ -31,7 +31,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cellbalance.llm.common import LOWER, Interned, Work, as_bytes, chunks, mix64
+from cellbalance.llm.common import LOWER, Interned, Work, mix64, runs
 
 _STEP = np.uint64(0x9E3779B97F4A7C15)
 _WORDS = Interned(xxhash.xxh3_64_intdigest)
@@ -94,9 +94,8 @@ def _signed(docs: DataFrame, id_col: str, text_col: str, k: int, pieces: int, wi
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            texts = as_bytes(batch.column(1))
-            for a, b in chunks(texts, 2 << 20):
-                sets = shingle_sets(texts[a:b], k)
+            for a, b, texts in runs(batch.column(1), 1 << 20):
+                sets = shingle_sets(texts, k)
                 n = np.array([len(s) for s in sets], np.int64)
                 name1 = np.array([s.sum(dtype=np.uint64) for s in sets], np.uint64).view(np.int64)
                 name2 = np.array([mix64(s ^ _STEP).sum(dtype=np.uint64) for s in sets], np.uint64).view(np.int64)
@@ -116,9 +115,8 @@ def _signed(docs: DataFrame, id_col: str, text_col: str, k: int, pieces: int, wi
 def _sets(docs: DataFrame, k: int) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            texts = as_bytes(batch.column(1))
-            for a, b in chunks(texts, 2 << 20):
-                sets = [s.view(np.int64) for s in shingle_sets(texts[a:b], k)]
+            for a, b, texts in runs(batch.column(1), 1 << 20):
+                sets = [s.view(np.int64) for s in shingle_sets(texts, k)]
                 yield pa.RecordBatch.from_arrays(
                     [batch.column(0)[a:b], pa.array([xxhash.xxh3_64_intdigest(s.tobytes()) >> 1 for s in sets], pa.int64()), pa.array(sets, pa.list_(pa.int64()))],
                     names=["cid", "which", "shingles"],

@@ -21,7 +21,7 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cellbalance.llm.common import Interned, as_bytes, mix64
+from cellbalance.llm.common import Interned, mix64, runs
 
 SPACES = b" \t\n\r\x0b\x0c"
 CONTINUATIONS = bytes(range(0x80, 0xC0))
@@ -96,11 +96,11 @@ def compression_bands(docs: DataFrame, id_col: str = "doc_id", text_col: str = "
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         press = zstandard.ZstdCompressor(level=level, write_checksum=False).compress
         for batch in batches:
-            texts = as_bytes(batch.column(1))
-            columns = list(zip(*(measure(t or b"", press) for t in texts), strict=True)) or [()] * len(_FIELDS)
-            arrays = [pa.array(c, pa.float64() if kind == "double" else pa.int64()) for c, (_, kind) in zip(columns, _FIELDS, strict=True)]
-            arrays.append(pa.array([len(t or b"") for t in texts], pa.int64()))
-            yield pa.RecordBatch.from_arrays([batch.column(0), *arrays], names=["doc_id", *(n for n, _ in _FIELDS), "n_bytes"])
+            for a, b, texts in runs(batch.column(1)):
+                columns = zip(*(measure(t or b"", press) for t in texts), strict=True)
+                arrays = [pa.array(c, pa.float64() if kind == "double" else pa.int64()) for c, (_, kind) in zip(columns, _FIELDS, strict=True)]
+                arrays.append(pa.array([len(t or b"") for t in texts], pa.int64()))
+                yield pa.RecordBatch.from_arrays([batch.column(0)[a:b], *arrays], names=["doc_id", *(n for n, _ in _FIELDS), "n_bytes"])
 
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     measured = texts.mapInArrow(run, "doc_id long, " + ", ".join(f"{n} {k}" for n, k in _FIELDS) + ", n_bytes long")

@@ -30,7 +30,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from cellbalance.llm.common import Interned, as_bytes, keep_rows
+from cellbalance.llm.common import Interned, keep_rows, runs
 
 #: Seed words by class.
 SEEDS = {
@@ -310,8 +310,9 @@ def score(docs: DataFrame, model: ToxicModel, id_col: str = "doc_id", text_col:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            scores = [sent.value.score(t.decode("utf-8", "replace") if t else None) for t in as_bytes(batch.column(1))]
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(scores, pa.float64())], names=["doc_id", "score"])
+            for a, b, texts in runs(batch.column(1)):
+                scores = [sent.value.score(t.decode("utf-8", "replace") if t else None) for t in texts]
+                yield pa.RecordBatch.from_arrays([batch.column(0)[a:b], pa.array(scores, pa.float64())], names=["doc_id", "score"])
 
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(run, "doc_id long, score double")
 
