@@ -25,7 +25,7 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cellbalance.llm.common import runs
+from cellbalance.llm.common import MEMORIES, make_room, runs
 
 #: Fixed value: the published pattern that splits text before byte-level merges.
 PATTERN = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
@@ -213,11 +213,12 @@ class RankArrayBPE:
         return b"".join(map(self.bytes_of.__getitem__, ids)).decode("utf-8", "replace")
 
 
-_LOADED: dict[bytes, RankArrayBPE] = {}
+_LOADED: dict[bytes, RankArrayBPE] = MEMORIES.setdefault("bpe", {})
 
 
 def _loaded(spec: bytes) -> RankArrayBPE:
     """One tokenizer per worker process, so remembered words outlive a task."""
+    make_room("bpe")
     if spec not in _LOADED:
         _LOADED.clear()
         _LOADED[spec] = RankArrayBPE(spec)
@@ -255,3 +256,22 @@ def decode(encoded: DataFrame, tokenizer_path: str) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([*(c[a:b] for c in batch.columns), pa.array(texts, pa.string())], names=[*batch.schema.names, "decoded"])
 
     return encoded.select("doc_id", "n_tokens", "ids").mapInArrow(run, "doc_id long, n_tokens long, ids binary, decoded string")
+
+
+def round_trip(docs: DataFrame, tokenizer_path: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """encode() and decode() in one pass: doc_id, n_tokens, ids, decoded."""
+    sent = docs.sparkSession.sparkContext.broadcast(_spec(tokenizer_path))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        bpe = _loaded(sent.value)
+        for batch in batches:
+            for a, b, texts in runs(batch.column(1), 1 << 20):
+                ids = bpe.encode_many([t.decode("utf-8", "replace") if t else "" for t in texts])
+                back = [bpe.decode(np.frombuffer(x, "<u4").tolist()) for x in ids]
+                yield pa.RecordBatch.from_arrays(
+                    [batch.column(0)[a:b], pa.array([len(x) // 4 for x in ids], pa.int64()), pa.array(ids, pa.binary()), pa.array(back, pa.string())],
+                    names=["doc_id", "n_tokens", "ids", "decoded"],
+                )
+
+    texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
+    return texts.mapInArrow(run, "doc_id long, n_tokens long, ids binary, decoded string")

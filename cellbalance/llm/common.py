@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import ctypes
 import gc
 import tempfile
 import uuid
@@ -78,6 +79,21 @@ def mix64(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(31))
 
 
+#: What a worker process remembers between tasks, by operator.
+MEMORIES: dict[str, dict] = {}
+
+
+def make_room(operator: str = "") -> None:
+    """Forget what other operators left in this worker, and hand freed memory back."""
+    for name, held in MEMORIES.items():
+        if name != operator:
+            held.clear()
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    if hasattr(libc := ctypes.CDLL(None), "malloc_trim"):
+        libc.malloc_trim(0)
+
+
 class Interned(dict):
     """Remembers a value per word, at most `most` at a time."""
 
@@ -98,6 +114,7 @@ def keep_rows(docs: DataFrame, text_col: str, judge, most: int = 4 << 20) -> Dat
     at = docs.columns.index(text_col)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        make_room()
         for batch in batches:
             for a, b, texts in runs(batch.column(at), most):
                 yield batch.slice(a, b - a).filter(pa.array(list(judge(texts)), pa.bool_()))

@@ -31,10 +31,10 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cellbalance.llm.common import LOWER, Interned, Work, mix64, runs
+from cellbalance.llm.common import LOWER, MEMORIES, Interned, Work, make_room, mix64, runs
 
 _STEP = np.uint64(0x9E3779B97F4A7C15)
-_WORDS = Interned(xxhash.xxh3_64_intdigest)
+_WORDS = MEMORIES.setdefault("neardup", Interned(xxhash.xxh3_64_intdigest))
 
 
 def shingle_sets(texts: list[bytes | None], k: int) -> list[np.ndarray]:
@@ -93,6 +93,7 @@ def _signed(docs: DataFrame, id_col: str, text_col: str, k: int, pieces: int, wi
     """doc_id, n (set size), two words that name the set, and its index keys."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        make_room("neardup")
         for batch in batches:
             for a, b, texts in runs(batch.column(1), 1 << 20):
                 sets = shingle_sets(texts, k)
@@ -114,6 +115,7 @@ def _signed(docs: DataFrame, id_col: str, text_col: str, k: int, pieces: int, wi
 
 def _sets(docs: DataFrame, k: int) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        make_room("neardup")
         for batch in batches:
             for a, b, texts in runs(batch.column(1), 1 << 20):
                 sets = [s.view(np.int64) for s in shingle_sets(texts, k)]
