@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from cellbalance.operators import graphpart, metrics, related, sfc
-from cellbalance.registry import query, table
+from cellbalance.catalog import query, table
 
 _FLOW = """flow as (select c.c_nationkey a, s.s_nationkey b, count(*) f from lineitem l join orders o on o.o_orderkey = l.l_orderkey join customer c on c.c_custkey = o.o_custkey join supplier s on s.s_suppkey = l.l_suppkey group by all)"""
 

@@ -9,7 +9,7 @@ from cellbalance.operators import contacts, diffusion, octree, sfc, weights
 from cellbalance.operators.domain import Domain
 from cellbalance.operators.octree import CELL
 from cellbalance.plans import sqltext as q
-from cellbalance.registry import query, table
+from cellbalance.catalog import query, table
 
 DOM = Domain((4, 4, 3), 3, (1024, 1024, 768))
 P, SNAPSHOTS = 48, 31

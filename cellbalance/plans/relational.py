@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from cellbalance.operators.octree import CELL
 from cellbalance.plans import sqltext as q
 from cellbalance.plans import wedge
-from cellbalance.registry import query, table
+from cellbalance.catalog import query, table
 
 
 def _ts(df: DataFrame, c: str) -> DataFrame:

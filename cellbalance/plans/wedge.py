@@ -11,7 +11,7 @@ from cellbalance.operators import adjacency, baselines, diffusion, domain, estim
 from cellbalance.operators.domain import Domain
 from cellbalance.operators.octree import CELL
 from cellbalance.plans import sqltext as q
-from cellbalance.registry import query, table
+from cellbalance.catalog import query, table
 
 DOM = Domain((4, 4, 1), 2)
 P, EIGHTH, HALF = 128, 512, 1024

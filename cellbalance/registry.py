@@ -2,38 +2,14 @@
 
 from __future__ import annotations
 
-from collections.abc import Callable
-
 from pyspark.sql import DataFrame, SparkSession
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
-ORACLES: dict[str, str] = {}
-
-
-def query(name: str, sql: str | None = None):
-    """Register a function (spark, sf_dir) -> DataFrame, with the SQL that gives the same rows."""
-
-    def put(f):
-        QUERIES[name] = f
-        if sql is not None:
-            ORACLES[name] = sql
-        return f
-
-    return put
+from cellbalance.catalog import ORACLES, QUERIES
+from cellbalance.plans import graph, hopper, relational, wedge  # noqa: F401  they register queries
+from cellbalance.streaming import rebalance  # noqa: F401
 
-
-def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
+__all__ = ["ORACLES", "QUERIES", "flagship"]
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     return QUERIES["hilbert_midpoint_assign"](spark, sf_dir)
-
-
-def load() -> None:
-    """Import the modules that register queries."""
-    from cellbalance.plans import graph, hopper, relational, wedge  # noqa: F401
-    from cellbalance.streaming import rebalance  # noqa: F401
-
-
-load()

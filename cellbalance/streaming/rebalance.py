@@ -17,7 +17,7 @@ from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from cellbalance.operators import octree, sfc
 from cellbalance.operators.domain import Domain
-from cellbalance.registry import query
+from cellbalance.catalog import query
 
 DOM = Domain((4, 4, 4), 1)
 
