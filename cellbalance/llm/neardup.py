@@ -248,7 +248,7 @@ def near_duplicates(
         signed.join(final, ["name1", "name2", "n"], "left").select(
             "doc_id",
             F.col("n").alias("n_shingles"),
-            F.coalesce("component_id", "doc_id").alias("component_id"),
+            F.when(F.col("doc_id").isNotNull(), F.coalesce("component_id", "doc_id")).alias("component_id"),
             F.coalesce(F.col("doc_id") == F.coalesce("component_id", "doc_id"), F.lit(True)).alias("kept"),
         ),
         "result",
