@@ -203,10 +203,10 @@ def _sample(docs: DataFrame, labels: DataFrame, allowed: Column, positives: int,
     return known.filter(F.pmod(F.xxhash64("doc_id", "text"), F.lit(1 << 32)) < limit).select("toxic", "text")
 
 
-def _leading_pair(text: str) -> int:
-    """The least hash of two adjacent words: near copies mostly share it."""
+def _leading_run(text: str, k: int = 5) -> int:
+    """The least hash of k adjacent words: near copies mostly share it, other texts don't."""
     tokens = _TOKEN(text.lower())
-    return min((xxhash.xxh3_64_intdigest(f"{a} {b}") for a, b in zip(tokens, tokens[1:])), default=0) >> 1
+    return min((xxhash.xxh3_64_intdigest(" ".join(tokens[i : i + k])) for i in range(max(1, len(tokens) - k + 1))), default=0) >> 1
 
 
 def _without_copies(sample: DataFrame) -> DataFrame:
@@ -214,15 +214,15 @@ def _without_copies(sample: DataFrame) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array([_leading_pair(t) for t in batch.column(1).to_pylist()], pa.int64())], names=["toxic", "text", "pair"])
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array([_leading_run(t) for t in batch.column(1).to_pylist()], pa.int64())], names=["toxic", "text", "lead"])
 
-    paired = sample.filter("toxic = 1").mapInArrow(run, "toxic int, text string, pair long")
-    kept = paired.groupBy("toxic", "pair").agg(F.min("text").alias("text")).select("toxic", "text")
+    led = sample.filter("toxic = 1").mapInArrow(run, "toxic int, text string, lead long")
+    kept = led.groupBy("toxic", "lead").agg(F.min("text").alias("text")).select("toxic", "text")
     return kept.union(sample.filter("toxic = 0").select("toxic", "text"))
 
 
 def fit(
-    docs: DataFrame, labels: DataFrame, allowed: Column, positives: int = 2500, negatives: int = 5000, least_share: float = 0.04, work=None
+    docs: DataFrame, labels: DataFrame, allowed: Column, positives: int = 2500, negatives: int = 5000, least_share: float = 0.025, work=None
 ) -> ToxicModel:
     """Learn the insult arcs and the logistic from a bounded sample of the allowed labelled rows. An
     arc must explain `least_share` of the toxic sample and five rows, so that wrong labels teach none."""
