@@ -64,7 +64,7 @@ FORMS = (
     ("{n}", 10, 0.6),
     ("{n} (?:version |v)?{v}(?: or (?:any )?later(?: version)?)?", 30, 0.9),
     ("(?:licensed|released|distributed|available|published) under (?:the |a )?(?:terms of (?:the )?)?{n}", 40, 0.95),
-    ("(?:licensed|released|distributed|available|published) under (?:the |a )?(?:terms of (?:the )?)?{n} (?:version |v)?{v}", 50, 1.0),
+    ("(?:licensed|released|distributed|available|published) under (?:the |a )?(?:terms of (?:the )?)?{n} (?:version |v)?{v}(?: or (?:any )?later(?: version)?)?", 50, 1.0),
     ("spdx licen[sc]e identifier {n}(?: {v})?", 60, 1.0),
 )
 #: signatures of the licences' own wording: label, regex, keyword, priority, reliability
