@@ -137,7 +137,7 @@ for _mode, _sql in (
 
 @query("two_to_one_closed_leaves", f"with {q.wedge(EIGHTH)} {LEAF} from leaves")
 def closed_leaves(spark, sf_dir):
-    return build(spark, wedge(spark, sf_dir, EIGHTH)).leaves
+    return build(spark, wedge(spark, sf_dir, EIGHTH), kept=True).leaves
 
 
 @query("two_to_one_violations", f"with {q.wedge(EIGHTH)}, {q.touching('raw', DEEP)} select {q.PAIR} from touch where abs(la - lb) >= 2")
