@@ -49,7 +49,7 @@ class Built:
     p: int
 
 
-def build(spark: SparkSession, points: DataFrame, dom: Domain = DOM, p: int = P, kept: bool = False) -> Built:
+def build(spark: SparkSession, points: DataFrame, dom: Domain = DOM, p: int = P, kept: bool = True) -> Built:
     """Weights, one pass of split and merge from depth 1, closure. `kept` writes the small leaf tables."""
     keep = diffusion.written if kept else (lambda df: df)
     pyr = keep(octree.pyramid(points, dom))
