@@ -8,11 +8,11 @@ import public_tokenizers
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from cellbalance.llm import bpe, chat, fmindex, langid, licenses, quality, sharding, toxicity, warc
+from cellbalance.llm import bpe, chat, fmindex, langid, licenses, oracles, quality, sharding, toxicity, warc
 from cellbalance.llm.common import Work, table
 from cellbalance.llm.neardup import near_duplicates
 
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {"op1_near_duplicates": oracles.NEAR_DUPLICATES, "op2_contamination": oracles.CONTAMINATION}
 
 
 def _fold(modulus: int, of: str = "doc_id") -> Column:
