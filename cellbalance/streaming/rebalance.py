@@ -52,6 +52,14 @@ def placed(events: DataFrame, assignment: DataFrame) -> DataFrame:
     return cells(events).join(F.broadcast(assignment.filter("level = 1").select("cx", "cy", "cz", "rank_id")), ["cx", "cy", "cz"])
 
 
+def within(first: DataFrame, then: DataFrame, gap: str, late: str = "1 day") -> DataFrame:
+    """Stream-stream interval join: pairs of one user where the second comes at most `gap` after the
+    first. Watermarks on both sides bound the rows kept."""
+    a = first.withWatermark("ts", late).select(F.col("event_id").alias("first_id"), F.col("user_id").alias("u"), F.col("ts").alias("t"))
+    b = then.withWatermark("ts", late).select(F.col("event_id").alias("next_id"), "user_id", "ts")
+    return a.join(b, F.expr(f"u = user_id and first_id <> next_id and ts >= t and ts < t + interval {gap}")).select("first_id", "next_id")
+
+
 def hot_cells(events: DataFrame, high: int, low: int) -> DataFrame:
     """Stateful counter per cell with hysteresis: a row when a cell turns hot (count at least `high` in a
     batch) or cool again (below `low`)."""
@@ -94,6 +102,12 @@ def collected(stream: DataFrame, name: str, mode: str = "append") -> DataFrame:
     return spark.read.schema(stream.schema).parquet(f"{root}/{name}")
 
 
+def by_batch(stream: DataFrame, root: str, mode: str) -> None:
+    """Run a bounded stream to its end and write every batch under its number."""
+    put = lambda b, i: b.write.mode("overwrite").parquet(f"{root}/batch={i}")
+    stream.writeStream.outputMode(mode).option("checkpointLocation", f"{root}-check").trigger(availableNow=True).foreachBatch(put).start().awaitTermination()
+
+
 def tempfile_dir(spark: SparkSession) -> str:
     import uuid
 

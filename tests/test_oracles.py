@@ -9,7 +9,8 @@ import pytest
 from cellbalance import registry
 
 NAMES = ["box_bounds_lineitem", "cell_pyramid_lineitem", "two_to_one_closed_leaves", "face_edges", "hilbert_midpoint_assign", "morton_keys", "diffusion_round_1", "rcb_lineitem",
-         "contacts_events", "ghosts_events", "hopper_max_load_series", "chain_documents", "asof_orders", "session_events", "max_load_per_algo", "streamed_daily_loads"]
+         "contacts_events", "ghosts_events", "hopper_max_load_series", "chain_documents", "asof_orders", "session_events", "max_load_per_algo", "streamed_daily_loads",
+         "load_time_corr", "runtime_series", "measured_weights", "contact_inflation", "streamed_interval_join", "streamed_late_rows"]
 
 
 def rows(names, found):
