@@ -59,13 +59,9 @@ def parallel_efficiency(spark, sf_dir):
     grown = F.col("p") / F.col("p0")
     return log.join(F.broadcast(first), "algo").select("algo", "p", F.round(metrics.efficiency(F.col("s0") * grown / F.col("s"), grown), 6).alias("efficiency"))
 
-
-_CELL_OF = "least(greatest(cast(floor(2 * value) as bigint), 0), 1023) >> 7 cx, least(greatest(cast(6 * user_id as bigint), 0), 1023) >> 7 cy, least(greatest((epoch_us(ts) // 1000000 - 1704067200) // 2592, 0), 1023) >> 7 cz"
-
-
 @query(
     "measured_weights",
-    f"with log as (select {_CELL_OF}, epoch_us(ts) // 1000000 // 3600 step, count(*) n from events group by all), last as (select cx, cy, cz, max(step) m from log group by all) "
+    f"with log as (select {streams.CELL_SQL}, epoch_us(ts) // 1000000 // 3600 step, count(*) n from events group by all), last as (select cx, cy, cz, max(step) m from log group by all) "
     "select cast(1 as integer) as level, cx, cy, cz, round(avg(cast(n as double)), 6) as weight from log join last using (cx, cy, cz) where step > m - 100 group by cx, cy, cz",
 )
 def measured_weights(spark, sf_dir):

@@ -14,6 +14,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
+from pyspark.sql.streaming.stateful_processor import StatefulProcessor, StatefulProcessorHandle
 
 from cellbalance.operators import octree, sfc
 from cellbalance.operators.domain import Domain
@@ -21,6 +22,12 @@ from cellbalance.catalog import query
 
 DOM = Domain((4, 4, 4), 1)
 
+#: The cell of an event in SQL.
+CELL_SQL = ", ".join(
+    f"least(greatest({x}, 0), 1023) >> 7 as {c}"
+    for c, x in (("cx", "cast(floor(2 * value) as bigint)"), ("cy", "cast(6 * user_id as bigint)"), ("cz", "(epoch_us(ts) // 1000000 - 1704067200) // 2592"))
+)
+
 
 def event_stream(spark: SparkSession, path: str, files: int = 1) -> DataFrame:
     """The events as a file stream with a real event time; `path` is a folder or a file pattern."""
@@ -117,7 +124,7 @@ def tempfile_dir(spark: SparkSession) -> str:
 
 @query(
     "streamed_daily_loads",
-    "select cast(epoch_us(ts) // 86400000000 * 86400 as bigint) as started, least(greatest(cast(floor(2 * value) as bigint), 0), 1023) >> 7 as cx, least(greatest(cast(6 * user_id as bigint), 0), 1023) >> 7 as cy, least(greatest((epoch_us(ts) // 1000000 - 1704067200) // 2592, 0), 1023) >> 7 as cz, count(*) as weight from events group by all",
+    f"select cast(epoch_us(ts) // 86400000000 * 86400 as bigint) as started, {CELL_SQL}, count(*) as weight from events group by all",
 )
 def streamed_daily_loads(spark, sf_dir):
     stream = event_stream(spark, f"{sf_dir}/events.parquet*")
@@ -139,3 +146,43 @@ def streamed_assignment(spark, sf_dir):
 @query("streamed_hot_cells")
 def streamed_hot_cells(spark, sf_dir):
     return collected(hot_cells(event_stream(spark, f"{sf_dir}/events.parquet*"), 50, 10), "hot")
+
+
+class HotCell(StatefulProcessor):
+    """Hysteresis per cell on typed state: a row when a cell turns hot or cool again."""
+
+    def __init__(self, high: int, low: int):
+        self.high, self.low = high, low
+
+    def init(self, handle: StatefulProcessorHandle) -> None:
+        self.state = handle.getValueState("state", "total long, hot boolean")
+
+    def handleInputRows(self, key: tuple, rows: Iterator[pd.DataFrame], timers: object) -> Iterator[pd.DataFrame]:
+        total, hot = self.state.get() or (0, False)
+        n = sum(len(p) for p in rows)
+        now = n >= self.high if not hot else n >= self.low
+        self.state.update((total + n, now))
+        if now != hot:
+            yield pd.DataFrame({"cx": [key[0]], "cy": [key[1]], "cz": [key[2]], "total": [total + n], "hot": [now]})
+
+    def close(self) -> None:
+        pass
+
+
+def hot_cells_typed(events: DataFrame, high: int, low: int) -> DataFrame:
+    """hot_cells on transformWithState; the session's state store must be RocksDB when the stream starts."""
+    return cells(events).groupBy("cx", "cy", "cz").transformWithStateInPandas(HotCell(high, low), "cx long, cy long, cz long, total long, hot boolean", "append", "none")
+
+
+_STORE = "spark.sql.streaming.stateStore.providerClass"
+
+
+@query("streamed_hot_cells_typed", f"select {CELL_SQL}, count(*) as total, true as hot from events group by cx, cy, cz having count(*) >= 50")
+def streamed_hot_cells_typed(spark, sf_dir):
+    """One batch: the cells with at least 50 events turn hot."""
+    before = spark.conf.get(_STORE, None)
+    spark.conf.set(_STORE, "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    try:
+        return collected(hot_cells_typed(event_stream(spark, f"{sf_dir}/events.parquet*"), 50, 10), "typed")
+    finally:
+        spark.conf.unset(_STORE) if before is None else spark.conf.set(_STORE, before)
