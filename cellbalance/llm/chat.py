@@ -7,10 +7,11 @@ turn is a call of `respond` with the identifier turn-N, and an assistant turn ri
 call's result. Calls and results meet in one hash join by (conversation, identifier).
 
 Order: a result stands one level above its call, a call one level above the last of the results it
-depends on; events sort by level, turn and place. Levels are relaxed round by round until none moves;
-what still moves after as many rounds as there are explicit dependencies stands on a cycle and keeps
-the level it has, marked `cycle`. Positions come from counts of blocks of 1024 turns plus a rank within
-a block, so a conversation with very many turns is not ranked by one task.
+depends on; events sort by level, turn and place. Calls are placed round by round once all they need is
+placed, one round for each step of the longest chain, whatever the number of calls; what is never placed
+stands on a cycle or behind one, keeps level 0 and is marked `cycle`. Positions come from counts of
+blocks of 1024 turns plus a rank within a block, so a conversation with very many turns is not ranked by
+one task.
 
 Arguments are checked against the schemas of the tools: missing and unknown names and wrong types are
 listed. Each event becomes one canonical JSON line: keys sorted, no spaces, numbers in one form.
@@ -78,26 +79,26 @@ def linked(found: DataFrame) -> DataFrame:
 
 
 def levelled(work: Work, found: DataFrame) -> DataFrame:
-    """Events with `level` and `cycle`; the relaxation runs over explicit dependencies only."""
+    """Events with `level` and `cycle`. Calls whose needs are all placed are placed next, so there is one
+    round for each step of the longest chain; what is never placed stands on a cycle or waits for one."""
     arcs = found.filter("kind = 'call'").select("conv_id", "call_id", F.explode("deps").alias("needs")).filter("needs is not null").distinct()
-    arcs = work.table(arcs, "arcs")
-    n = arcs.count()
-    base = F.when(F.col("kind") == "result", F.when(F.col("linked"), 1).otherwise(0)).otherwise(0)
-    if not n:
+    waits = work.table(arcs, "arcs")
+    base = F.when((F.col("kind") == "result") & F.col("linked"), 1).otherwise(0)
+    if waits.isEmpty():
         return found.withColumn("level", base.cast("long")).withColumn("cycle", F.lit(False))
-    levels = work.table(arcs.select("conv_id", "call_id").union(arcs.select("conv_id", F.col("needs"))).distinct().withColumn("level", F.lit(0).cast("long")), "levels")
-    moved = levels.select("conv_id", "call_id").limit(0)
-    for _ in range(n + 1):
-        need = arcs.join(levels.select("conv_id", F.col("call_id").alias("needs"), F.col("level").alias("below")), ["conv_id", "needs"])
-        need = need.groupBy("conv_id", "call_id").agg((F.max("below") + 2).alias("least"))
-        nxt = work.table(
-            levels.join(need, ["conv_id", "call_id"], "left").select("conv_id", "call_id", F.col("level").alias("old"), F.greatest("level", F.coalesce("least", F.lit(0))).alias("level")), "levels"
-        )
-        moved = nxt.filter("level > old").select("conv_id", "call_id")
-        levels = nxt.drop("old")
-        if moved.isEmpty():
+    waiting = waits.select("conv_id", F.col("call_id").alias("needs")).distinct()
+    placed = work.table(waits.select("conv_id", "needs").distinct().join(waiting, ["conv_id", "needs"], "left_anti").select("conv_id", "needs", F.lit(0).cast("long").alias("level")), "placed")
+    while True:
+        below = waits.join(placed, ["conv_id", "needs"], "left").groupBy("conv_id", "call_id")
+        ready = below.agg(F.count("*").alias("all"), F.count("level").alias("met"), (F.max("level") + 2).alias("level")).filter("all = met")
+        ready = work.table(ready.select("conv_id", F.col("call_id").alias("needs"), "level"), "ready")
+        if ready.isEmpty():
             break
-    out = found.join(levels.withColumnRenamed("level", "own"), ["conv_id", "call_id"], "left").join(moved.withColumn("cycle", F.lit(True)), ["conv_id", "call_id"], "left")
+        placed = work.table(placed.union(ready), "placed")
+        waits = work.table(waits.join(ready.select("conv_id", F.col("needs").alias("call_id")), ["conv_id", "call_id"], "left_anti"), "waits")
+    stuck = waits.select("conv_id", "call_id").distinct().withColumn("cycle", F.lit(True))
+    own = placed.select("conv_id", F.col("needs").alias("call_id"), F.col("level").alias("own"))
+    out = found.join(own, ["conv_id", "call_id"], "left").join(stuck, ["conv_id", "call_id"], "left")
     return out.withColumn("level", F.coalesce("own", F.lit(0)) + base).withColumn("cycle", F.coalesce("cycle", F.lit(False))).drop("own")
 
 
