@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from cellbalance.catalog import query
+from cellbalance.catalog import ORACLES, query
 from cellbalance.operators import adjacency, contacts, diffusion, metrics, octree, sfc
 from cellbalance.plans import sqltext as q
 from cellbalance.plans import wedge
@@ -97,7 +97,7 @@ def streamed_deduplicated(spark, sf_dir):
     return found.agg(F.count("*").alias("events"))
 
 
-@query("neighbour_ranks_of_leaves")
+@query("neighbour_ranks_of_leaves", f"select rank_a, count(*) as partners from ({ORACLES['rank_edges']}) group by rank_a")
 def neighbour_ranks(spark, sf_dir):
     """How many other ranks each rank exchanges with: the partners of a next-neighbour scheme."""
     b = wedge.half(spark, sf_dir)

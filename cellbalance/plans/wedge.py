@@ -535,7 +535,13 @@ def edge_cut_graph(spark, sf_dir):
     return _union(out)
 
 
-@query("locality_per_algo")
+def _locality_sql(algo: str) -> str:
+    dealt = f"asg as (select *, (row_number() over (order by lv, cx, cy, cz) - 1) % {P} r from leaves)"
+    placed = f"{q.wedge(HALF)}, {dealt}" if algo == "round_robin" else _ranked(algo)
+    return f"select * from (with {placed}, {_CUT} select '{algo}' as algo, round(avg(cast(rs = rd as double)), 6) as inside, round(avg(case when rs <> rd then cast(abs(rs - rd) as double) end), 6) as rank_distance from ends)"
+
+
+@query("locality_per_algo", " union all ".join(map(_locality_sql, ("morton", "hilbert", "round_robin"))))
 def locality(spark, sf_dir):
     b = half(spark, sf_dir)
     faces = diffusion.written(adjacency.faces(b.leaves, DOM))

@@ -143,7 +143,11 @@ def streamed_assignment(spark, sf_dir):
     return found.join(F.broadcast(last), "version").drop("version")
 
 
-@query("streamed_hot_cells")
+#: In one batch the cells with at least 50 events turn hot.
+_HOT = f"select {CELL_SQL}, count(*) as total, true as hot from events group by cx, cy, cz having count(*) >= 50"
+
+
+@query("streamed_hot_cells", _HOT)
 def streamed_hot_cells(spark, sf_dir):
     return collected(hot_cells(event_stream(spark, f"{sf_dir}/events.parquet*"), 50, 10), "hot")
 
@@ -177,9 +181,8 @@ def hot_cells_typed(events: DataFrame, high: int, low: int) -> DataFrame:
 _STORE = "spark.sql.streaming.stateStore.providerClass"
 
 
-@query("streamed_hot_cells_typed", f"select {CELL_SQL}, count(*) as total, true as hot from events group by cx, cy, cz having count(*) >= 50")
+@query("streamed_hot_cells_typed", _HOT)
 def streamed_hot_cells_typed(spark, sf_dir):
-    """One batch: the cells with at least 50 events turn hot."""
     before = spark.conf.get(_STORE, None)
     spark.conf.set(_STORE, "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
     try:
