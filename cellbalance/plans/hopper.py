@@ -209,3 +209,21 @@ def contacts_series(spark, sf_dir):
     """Total contacts of every tenth snapshot: buckets of different snapshots never meet."""
     far = hopper(spark, sf_dir, [0, 10, 20, 30]).withColumn("pid", F.col("snapshot") * F.lit(1 << 40) + F.col("pid")).withColumn("gz", F.col("snapshot") * 4096 + F.col("gz"))
     return contacts.detect(far, 8).groupBy(F.expr("pid_a div 1099511627776").alias("snapshot")).agg(F.count("*").alias("contacts"))
+
+
+_CONTACTS = f"""{_HOPPER}, probe as (select hp.*, (gx >> 3) + i.i - 1 bx, (gy >> 3) + j.i - 1 by_, (gz >> 3) + k.i - 1 bz from hp, range(0, 3) i(i), range(0, 3) j(i), range(0, 3) k(i)),
+touching as (select a.snapshot, a.gx, a.gy, a.gz from probe a join hp b on a.snapshot = b.snapshot and a.bx = b.gx >> 3 and a.by_ = b.gy >> 3 and a.bz = b.gz >> 3 and a.pid < b.pid
+  and (a.gx - b.gx) * (a.gx - b.gx) + (a.gy - b.gy) * (a.gy - b.gy) + (a.gz - b.gz) * (a.gz - b.gz) <= 64)"""
+
+
+def distinct_snapshots(points: DataFrame) -> DataFrame:
+    """Points of all snapshots in one space: ids tell snapshots apart, and buckets of two never meet."""
+    return points.withColumn("pid", F.col("snapshot") * F.lit(1 << 40) + F.col("pid")).withColumn("gz", F.col("snapshot") * 4096 + F.col("gz"))
+
+
+@query("hopper_contacts_every_snapshot", f"with {_CONTACTS} select k.i as snapshot, count(t.snapshot) as contacts from range(0, {SNAPSHOTS}) k(i) left join touching t on t.snapshot = k.i group by k.i")
+def contacts_every_snapshot(spark, sf_dir):
+    """Total contacts of each of the snapshots, those without any among them."""
+    pairs = contacts.detect(diffusion.written(distinct_snapshots(hopper(spark, sf_dir))), 8)
+    held = pairs.groupBy(F.expr("pid_a div 1099511627776").alias("snapshot")).agg(F.count("*").alias("contacts"))
+    return spark.range(SNAPSHOTS).withColumnRenamed("id", "snapshot").join(held, "snapshot", "left").select("snapshot", F.coalesce("contacts", F.lit(0)).alias("contacts"))
