@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections.abc import Sequence
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -18,15 +20,15 @@ def given(df: DataFrame, keys: list[str], expr: str) -> DataFrame:
     return df.groupBy(*keys).agg(F.sum(F.expr(expr)).cast("long").alias("weight"))
 
 
-def contacts(pairs: DataFrame, located: DataFrame, credit: str = "owner") -> DataFrame:
+def contacts(pairs: DataFrame, located: DataFrame, credit: str = "owner", keys: Sequence[str] = CELL) -> DataFrame:
     """Contacts per leaf: credited to the leaf of the first partner, or to each distinct leaf touched."""
-    place = located.select("pid", *CELL)
+    place = located.select("pid", *keys)
     if credit == "owner":
-        return pairs.join(place, pairs.pid_a == place.pid).groupBy(*CELL).agg(F.count("*").alias("weight"))
+        return pairs.join(place, pairs.pid_a == place.pid).groupBy(*keys).agg(F.count("*").alias("weight"))
     if credit != "both":
         raise ValueError(f"unknown credit {credit}")
     sides = pairs.select("pid_a", "pid_b", F.explode(F.array("pid_a", "pid_b")).alias("pid"))
-    return sides.join(place, "pid").select("pid_a", "pid_b", *CELL).distinct().groupBy(*CELL).agg(F.count("*").alias("weight"))
+    return sides.join(place, "pid").select("pid_a", "pid_b", *keys).distinct().groupBy(*keys).agg(F.count("*").alias("weight"))
 
 
 def estimated_contacts(count: Column, coordination: int = 12) -> Column:

@@ -49,12 +49,12 @@ zs as (select *, r < d tank, case when r < d then 128 * r // n else 384 + least(
 hs as (select *, case when tank then 512 else least(512, 64 + 448 * (z - 384) // 383) end h from zs),
 hp as (select pid, snapshot, tank, 512 + (((px - 512) * h) >> 9) gx, 512 + (((py - 512) * h) >> 9) gy, z gz, n from hs)"""
 
-_SERIES = f"""with {_HOPPER},
-cells as (select snapshot, 0 lv, gx >> 8 cx, gy >> 8 cy, gz >> 8 cz, count(*) w, min(n) n from hp group by all
+_CELLS = """cells as (select snapshot, 0 lv, gx >> 8 cx, gy >> 8 cy, gz >> 8 cz, count(*) w, min(n) n from hp group by all
   union all select snapshot, 1, gx >> 7, gy >> 7, gz >> 7, count(*), min(n) from hp group by all
   union all select snapshot, 2, gx >> 6, gy >> 6, gz >> 6, count(*), min(n) from hp group by all
-  union all select snapshot, 3, gx >> 5, gy >> 5, gz >> 5, count(*), min(n) from hp group by all),
-leaf_ as (select c.* from cells c left join cells u on u.snapshot = c.snapshot and u.lv = c.lv - 1 and u.cx = c.cx >> 1 and u.cy = c.cy >> 1 and u.cz = c.cz >> 1
+  union all select snapshot, 3, gx >> 5, gy >> 5, gz >> 5, count(*), min(n) from hp group by all)"""
+
+_TOPS = f"""leaf_ as (select c.* from cells c left join cells u on u.snapshot = c.snapshot and u.lv = c.lv - 1 and u.cx = c.cx >> 1 and u.cy = c.cy >> 1 and u.cz = c.cz >> 1
   where (c.lv = 0 or u.w * 96 > u.n) and not (c.lv < 3 and c.w * 96 > c.n)),
 {q.morton('leaf_', 3, DOM.key_bits, 'mk')}, {q.midpoint('mk', P, 'ma', 'snapshot')},
 {q.hilbert('leaf_', 3, DOM.key_bits, 'hk')}, {q.midpoint('hk', P, 'ha', 'snapshot')},
@@ -62,10 +62,18 @@ tops as (select snapshot, 'static' algo, max(w) m, min(n) n from cells where lv
   union all select snapshot, 'morton', max(l), min(n) from (select snapshot, r, sum(w) l, min(n) n from ma group by all) group by snapshot
   union all select snapshot, 'hilbert', max(l), min(n) from (select snapshot, r, sum(w) l, min(n) n from ha group by all) group by snapshot)"""
 
+_SERIES = f"""with {_HOPPER},
+{_CELLS},
+{_TOPS}"""
+
 
 def snapshot_leaves(points: DataFrame) -> DataFrame:
-    """Occupied leaves of every snapshot: cells whose parent is over half the mean and that are not."""
-    cells = points.groupBy("snapshot", *[F.shiftright(f"g{n}", 5).alias(f"c{n}") for n in "xyz"]).agg(F.count("*").alias("weight")).withColumn("level", F.lit(3))
+    """Occupied leaves of every snapshot, weighed by rows."""
+    return refined(points.groupBy("snapshot", *[F.shiftright(f"g{n}", 5).alias(f"c{n}") for n in "xyz"]).agg(F.count("*").alias("weight")).withColumn("level", F.lit(3)))
+
+
+def refined(cells: DataFrame) -> DataFrame:
+    """Leaves over weighed finest cells: cells whose parent is over half the mean and that are not."""
     levels = [cells]
     for k in (2, 1, 0):
         levels.append(levels[-1].groupBy("snapshot", *[F.shiftright(c, 1).alias(c) for c in CELL[1:]]).agg(F.sum("weight").alias("weight")).withColumn("level", F.lit(k)))
@@ -90,7 +98,11 @@ def tops(spark: SparkSession, sf_dir: str) -> DataFrame:
     """snapshot, algo, m (largest load), n."""
     points = hopper(spark, sf_dir)
     leaves = diffusion.written(snapshot_leaves(points))
-    static = points.groupBy("snapshot", *[F.shiftright(f"g{n}", 8).alias(f"c{n}") for n in "xyz"]).agg(F.count("*").alias("w"))
+    return largest(points.groupBy("snapshot", *[F.shiftright(f"g{n}", 8).alias(f"c{n}") for n in "xyz"]).agg(F.count("*").alias("w")), leaves)
+
+
+def largest(static: DataFrame, leaves: DataFrame) -> DataFrame:
+    """snapshot, algo, m, n from the weights w of the roots and from weighed leaves."""
     n = static.groupBy("snapshot").agg(F.max("w").alias("m"), F.sum("w").alias("n")).select("snapshot", F.lit("static").alias("algo"), "m", "n")
     for curve in ("morton", "hilbert"):
         n = n.union(balanced_loads(leaves, curve).groupBy("snapshot").agg(F.max("load").alias("m"), F.first("n").alias("n")).select("snapshot", F.lit(curve).alias("algo"), "m", "n"))
@@ -116,7 +128,10 @@ select snapshot, snapshot % 5 = 0 as every_n, sm * {P} > 3 * n as over_threshold
 def trigger_series(spark, sf_dir):
     """Three triggers: every fifth snapshot; load over three times the mean; saved load over the snapshots
     left larger than moving everything once."""
-    t = tops(spark, sf_dir)
+    return triggers(tops(spark, sf_dir))
+
+
+def triggers(t: DataFrame) -> DataFrame:
     s = t.filter("algo = 'static'").select("snapshot", F.col("m").alias("sm"), "n")
     both = s.join(t.filter("algo = 'hilbert'").select("snapshot", F.col("m").alias("hm")), "snapshot")
     k = F.col("snapshot")
@@ -227,3 +242,53 @@ def contacts_every_snapshot(spark, sf_dir):
     pairs = contacts.detect(diffusion.written(distinct_snapshots(hopper(spark, sf_dir))), 8)
     held = pairs.groupBy(F.expr("pid_a div 1099511627776").alias("snapshot")).agg(F.count("*").alias("contacts"))
     return spark.range(SNAPSHOTS).withColumnRenamed("id", "snapshot").join(held, "snapshot", "left").select("snapshot", F.coalesce("contacts", F.lit(0)).alias("contacts"))
+
+
+# --- loads by contacts
+
+_CONTACT_SERIES = f"""with {_CONTACTS},
+held as (select snapshot, gx >> 5 cx, gy >> 5 cy, gz >> 5 cz, count(*) w from touching group by all),
+fine as (select o.*, coalesce(h.w, 0) w, cast(sum(coalesce(h.w, 0)) over (partition by snapshot) as bigint) n
+  from (select distinct snapshot, gx >> 5 cx, gy >> 5 cy, gz >> 5 cz from hp) o left join held h using (snapshot, cx, cy, cz)),
+cells as (select snapshot, 3 - l.i lv, cx >> l.i cx, cy >> l.i cy, cz >> l.i cz, cast(sum(w) as bigint) w, min(n) n from fine, range(0, 4) l(i) group by all),
+{_TOPS}"""
+
+
+def contact_cells(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Occupied finest cells of every snapshot, weighed by contacts. Each contact counts once, in the cell
+    of its first partner, so that weights add up over any partition."""
+    far = diffusion.written(distinct_snapshots(hopper(spark, sf_dir)))
+    finest = {"level": F.lit(3), "cx": F.shiftright("gx", 5), "cy": F.shiftright("gy", 5), "cz": F.expr("shiftright(gz - snapshot * 4096, 5)")}
+    located = far.select("pid", "snapshot", *[c.alias(n) for n, c in finest.items()])
+    held = weights.contacts(contacts.detect(far, 8), located, keys=("snapshot", *CELL))
+    occupied = located.select("snapshot", *CELL).distinct()
+    return occupied.join(held, ["snapshot", *CELL], "left").select("snapshot", *CELL[1:], F.coalesce("weight", F.lit(0)).alias("weight"), "level")
+
+
+def contact_tops(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """snapshot, algo, m (largest load in contacts), n (contacts)."""
+    cells = diffusion.written(contact_cells(spark, sf_dir))
+    roots = cells.groupBy("snapshot", *[F.shiftright(c, 3).alias(c) for c in CELL[1:]]).agg(F.sum("weight").alias("w"))
+    return largest(roots, diffusion.written(refined(cells)))
+
+
+@query("hopper_contact_load_series", _CONTACT_SERIES + f" select snapshot, algo, cast(m as bigint) as max_load, round(cast(n as double) / {P}, 6) as optimum, round(avg(cast(m as double)) over (partition by algo order by snapshot rows between 2 preceding and current row), 6) as trailing_mean from tops")
+def contact_load_series(spark, sf_dir):
+    w = Window.partitionBy("algo").orderBy("snapshot").rowsBetween(-2, 0)
+    return contact_tops(spark, sf_dir).select(F.col("snapshot").cast("long").alias("snapshot"), "algo", F.col("m").alias("max_load"), F.round(F.col("n") / F.lit(float(P)), 6).alias("optimum"), F.round(F.avg("m").over(w), 6).alias("trailing_mean"))
+
+
+@query("hopper_contact_gain", _CONTACT_SERIES + ", s as (select algo, sum(m) t from tops group by algo) select algo, cast(t as bigint) as total_load, round(cast((select t from s where algo = 'static') as double) / nullif(t, 0), 6) as gain from s")
+def contact_gain(spark, sf_dir):
+    t = contact_tops(spark, sf_dir).groupBy("algo").agg(F.sum("m").alias("total_load"))
+    static = t.filter("algo = 'static'").select(F.col("total_load").alias("s"))
+    return t.join(F.broadcast(static)).select("algo", "total_load", F.round(F.expr("try_divide(s, total_load)"), 6).alias("gain"))
+
+
+@query(
+    "hopper_contact_triggers",
+    _CONTACT_SERIES + f""", both_ as (select s.snapshot, s.m sm, h.m hm, s.n from tops s join tops h on h.snapshot = s.snapshot and h.algo = 'hilbert' where s.algo = 'static')
+select snapshot, snapshot % 5 = 0 as every_n, sm * {P} > 3 * n as over_threshold, (sm - hm) * (30 - snapshot) > n as amortized from both_""",
+)
+def contact_triggers(spark, sf_dir):
+    return triggers(contact_tops(spark, sf_dir))

@@ -22,3 +22,13 @@ def test_contacts_are_counted_in_every_snapshot(spark, data):
     want = brute(hopper.hopper(spark, data).toPandas())
     got = {r.snapshot: r.contacts for r in registry.QUERIES["hopper_contacts_every_snapshot"](spark, data).collect()}
     assert got == {k: len(want[k]) for k in range(31)}
+
+
+def test_contact_loads_of_every_snapshot(spark, data):
+    want = brute(hopper.hopper(spark, data).toPandas())
+    got = {(r.snapshot, r.algo): r for r in registry.QUERIES["hopper_contact_load_series"](spark, data).collect()}
+    assert len(got) == 3 * 31
+    for k, first in want.items():
+        roots = np.unique(first >> 8, axis=0, return_counts=True)[1]
+        assert got[k, "static"].max_load == max(roots, default=0)
+        assert all(got[k, a].optimum == round(len(first) / hopper.P, 6) and got[k, a].max_load >= got[k, a].optimum for a in ("static", "morton", "hilbert"))
