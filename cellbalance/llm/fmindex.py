@@ -24,7 +24,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cellbalance.llm.common import ALNUM, keep_rows, runs
+from cellbalance.llm.common import ALNUM, Work, keep_rows, runs
 
 _SPANS = pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())]))
 
@@ -277,9 +277,12 @@ def decontaminated(docs: DataFrame, bench: DataFrame, id_col: str = "doc_id", te
     items = bench.select(F.col("item_id").cast("string").alias("item"), F.col("text").cast("string").alias("text")).filter("text is not null")
     total = items.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     if total > block_bytes:
-        found = contamination(docs, bench, id_col, text_col, window=window, block_bytes=block_bytes)
-        bad = found.filter(f"n_hit > 0 and {least} * n_hit >= n_words").select(F.col("doc_id").alias(id_col)).distinct()
-        return docs.join(bad, id_col, "left_anti").select(docs.columns)
+        # rows get ids of their own, written so that they hold: null and repeated ids are judged by themselves
+        row = "_row" + "_" * max(map(len, docs.columns))
+        kept = Work(docs.sparkSession).table(docs.withColumn(row, F.monotonically_increasing_id()), "numbered")
+        found = contamination(kept, bench, row, text_col, window=window, block_bytes=block_bytes)
+        bad = found.filter(f"n_hit > 0 and {least} * n_hit >= n_words").select(F.col("doc_id").alias(row))
+        return kept.join(bad, row, "left_anti").select(docs.columns)
     sent = docs.sparkSession.sparkContext.broadcast(Phrases([tuple(r) for r in items.collect()], window))
 
     def judge(texts: list[bytes | None]) -> list[bool]:
