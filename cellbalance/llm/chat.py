@@ -1,7 +1,8 @@
 """Chat formatting with tool-call linking, in DataFrame functions only.
 
 Messages become events. An assistant text that is a JSON object with `tool_calls` (id, name, arguments,
-depends_on) yields one call event per entry, a text with `tool_call_id` yields a result event. Plain
+depends_on) yields one call event per entry, a text with `tool_call_id` yields a result event. A text with both
+yields both; content that is not empty and belongs to no result yields a message event before the calls. Plain
 conversations follow the implicit contract that an answer is the result of the turn before it: a user
 turn is a call of `respond` with the identifier turn-N, and an assistant turn right after it is that
 call's result. Calls and results meet in one hash join by (conversation, identifier).
@@ -63,9 +64,14 @@ def events(conversations: DataFrame) -> DataFrame:
         .otherwise(F.struct(F.lit("message").alias("kind"), none.alias("id"), none.alias("name"), none.alias("arguments"), dep.alias("deps")))
     )
     calls = F.transform("calls", lambda c: F.struct(F.lit("call").alias("kind"), c["id"].alias("id"), c["name"].alias("name"), c["arguments"].alias("arguments"), c["depends_on"].alias("deps")))
+    beside = F.array(
+        F.when(F.col("answers").isNotNull(), F.struct(F.lit("result").alias("kind"), F.col("answers").alias("id"), none.alias("name"), none.alias("arguments"), dep.alias("deps")))
+        .when(F.col("said") != "", F.struct(F.lit("message").alias("kind"), none.alias("id"), none.alias("name"), none.alias("arguments"), dep.alias("deps")))
+    )
+    both = F.concat(F.filter(beside, lambda x: x.isNotNull()), calls)
     return shaped.select(
         "conv_id", "turn", "role", F.when(listed | F.col("answers").isNotNull(), F.coalesce("said", F.lit(""))).otherwise(F.col("content")).alias("content"),
-        F.posexplode(F.when(listed, calls).otherwise(own)).alias("place", "e"),
+        F.posexplode(F.when(listed, both).otherwise(own)).alias("place", "e"),
     ).select("conv_id", "turn", "place", "role", "e.kind", F.col("e.id").alias("call_id"), "e.name", "e.arguments", F.coalesce("e.deps", F.array().cast("array<string>")).alias("deps"), "content")
 
 

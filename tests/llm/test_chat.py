@@ -1,5 +1,7 @@
 """Order of linked calls: chains, joins of chains, cycles and what waits for them."""
 
+import json
+
 from cellbalance.llm import chat
 from cellbalance.llm.common import Work
 
@@ -14,3 +16,23 @@ def test_calls_are_placed_after_all_they_need(spark):
     assert [got[1, k, "call"] for k in "abcde"] == [(0, False), (2, False), (4, False), (6, False), (2, False)]
     assert all(got[1, k, "call"] == (0, True) for k in "xyzs")
     assert got[1, "a", "result"] == (1, False) and got[None, "n", "call"] == (0, False)
+
+
+def test_text_and_result_beside_calls_stay(spark):
+    call = lambda i: [{"id": i, "name": "respond", "arguments": '{"prompt":"p"}'}]
+    texts = [
+        {"tool_calls": call("a"), "content": "Let me look."},
+        {"tool_calls": call("b"), "tool_call_id": "a", "content": "42"},
+        {"tool_calls": call("c"), "tool_call_id": "b"},
+        {"tool_calls": call("d"), "content": ""},
+        {"tool_calls": call("e"), "content": None},
+    ]
+    conv = spark.createDataFrame([(1, i, "assistant", json.dumps(t)) for i, t in enumerate(texts)], "conv_id long, turn long, role string, text string")
+    got = chat.tool_chat(conv).collect()
+    assert sorted((r.turn, r.kind, r.call_id, r.linked) for r in got if r.kind != "message") == [
+        (0, "call", "a", True), (1, "call", "b", True), (1, "result", "a", True), (2, "call", "c", False), (2, "result", "b", True), (3, "call", "d", False), (4, "call", "e", False)
+    ]
+    assert [(r.turn, json.loads(r.json)["content"]) for r in got if r.kind == "message"] == [(0, "Let me look.")]
+    by = {(r.call_id, r.kind): r for r in got}
+    assert json.loads(by["a", "result"].json)["content"] == "42" and by["a", "result"].position > by["a", "call"].position
+    assert by[None, "message"].position < by["a", "call"].position and sorted(r.position for r in got) == list(range(8))
