@@ -122,11 +122,13 @@ def rebalanced(parts: DataFrame, vertices: DataFrame, p: int, tol: float) -> Dat
 
 
 def multilevel(vertices: DataFrame, edges: DataFrame, p: int, tol: float = 1.05, cap: int = 4000, seed: DataFrame | None = None) -> DataFrame:
-    """(v, part): coarsen to `cap` vertices or until matching stalls, split, project back and refine."""
+    """(v, part): coarsen to 4 p vertices or until matching stalls, split on the driver, project back and
+    refine. The driver takes `cap` vertices, or twice the 4 p where that is more, up to 131,072."""
     levels, v, e = [], written(vertices.select("v", "weight")), written(edges.select("a", "b", "area"))
     n = v.count()
     most = -(-(v.agg(F.sum("weight")).first()[0] or 0) // (2 * p))
     target = max(4 * p, 64)
+    cap = max(cap, min(2 * target, 1 << 17))  # the stop lies below the cap up to p = 32,768
     while n > target:
         into = written(match(v, e, max(most, 1)))
         cv, ce = (written(x) for x in contract(v, e, into))
