@@ -8,16 +8,17 @@ index returns all such pairs, and a pair beyond the distance whenever one piece
 the defaults (10 pieces of 6 symbols, one error) a pair of J = 0.8 is missed with probability 2e-5.
 Every link is confirmed on the full shingle sets.
 
-Equal sets are one class and stay one row. A bucket first tries only the link of each member to one
-member (a star); pairs inside a component need no further test. Pairs of a bucket that lie in
-different components are tested one by one in buckets up to `bucket_limit`; members of larger ones go
-through an exact prefix-filter join on their rarest shingles, so no bucket is paired out and nothing
-is dropped.
+Equal sets are one class, a vertex of its own, and stay one row. A bucket first tries only the link of
+each member to one member (a star); pairs inside a component need no further test. Pairs of a bucket that
+lie in different components are tested one by one in buckets up to `bucket_limit`; members of larger ones
+go through an exact prefix-filter join on their rarest shingles, so no bucket is paired out and nothing
+is dropped. Joins on a key that many rows share deal the key out over several tasks.
 
 Defined results: null text, empty text or text without words has an empty set, is its own component
-and is kept. Rows with a null id keep a null component. Repeated rows share one class, and rows that
-repeat an id are one document with several sets. Only the id and text columns are read, so other
-columns may have any name.
+and is kept. In near_duplicates rows with a null id keep a null component, and rows that repeat an id are
+one document with several sets. In one_of_each a row is known by id and text: rows that share an id but
+not a text are judged apart, rows without an id take part, and of equal rows one stays. Only the id and
+text columns are read, so other columns may have any name.
 """
 
 from __future__ import annotations
@@ -90,7 +91,7 @@ def index_keys(sets: list[np.ndarray], pieces: int, width: int, errors: int) ->
 
 
 def _signed(docs: DataFrame, id_col: str, text_col: str, k: int, pieces: int, width: int, errors: int) -> DataFrame:
-    """doc_id, n (set size), two words that name the set, and its index keys."""
+    """row (unique), doc_id, h (hash of the text), n (set size), two words that name the set, its index keys."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         make_room("neardup")
@@ -103,14 +104,19 @@ def _signed(docs: DataFrame, id_col: str, text_col: str, k: int, pieces: int, wi
                 keys = index_keys(sets, pieces, width, errors)
                 ends = np.concatenate([[0], np.cumsum((n > 0) * keys.shape[1])]).astype(np.int32)
                 yield pa.RecordBatch.from_arrays(
-                    [batch.column(0)[a:b], pa.array(n), pa.array(name1), pa.array(name2),
+                    [batch.column(0)[a:b], batch.column(2)[a:b], pa.array(n), pa.array(name1), pa.array(name2),
                      pa.ListArray.from_arrays(pa.array(ends), pa.array(keys.ravel()))],
-                    names=["doc_id", "n", "name1", "name2", "keys"],
+                    names=["doc_id", "h", "n", "name1", "name2", "keys"],
                 )
 
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(
-        run, "doc_id long, n long, name1 long, name2 long, keys array<long>"
-    )
+    signed = _named(docs, id_col, text_col).mapInArrow(run, "doc_id long, h long, n long, name1 long, name2 long, keys array<long>")
+    return signed.withColumn("row", F.monotonically_increasing_id())
+
+
+def _named(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """doc_id, text and h, a hash of the text: a row's id and hash tell its text."""
+    text = F.col(text_col).cast("string")
+    return docs.select(F.col(id_col).cast("long").alias("doc_id"), text.alias("text"), F.xxhash64(text).alias("h"))
 
 
 def _sets(docs: DataFrame, k: int) -> DataFrame:
@@ -119,12 +125,9 @@ def _sets(docs: DataFrame, k: int) -> DataFrame:
         for batch in batches:
             for a, b, texts in runs(batch.column(1), 1 << 20):
                 sets = [s.view(np.int64) for s in shingle_sets(texts, k)]
-                yield pa.RecordBatch.from_arrays(
-                    [batch.column(0)[a:b], pa.array([xxhash.xxh3_64_intdigest(s.tobytes()) >> 1 for s in sets], pa.int64()), pa.array(sets, pa.list_(pa.int64()))],
-                    names=["cid", "which", "shingles"],
-                )
+                yield pa.RecordBatch.from_arrays([batch.column(0)[a:b], pa.array(sets, pa.list_(pa.int64()))], names=["cid", "shingles"])
 
-    return docs.mapInArrow(run, "cid long, which long, shingles array<long>")
+    return docs.mapInArrow(run, "cid long, shingles array<long>")
 
 
 def components(work: Work, edges: DataFrame) -> DataFrame:
@@ -145,17 +148,27 @@ def components(work: Work, edges: DataFrame) -> DataFrame:
             step.join(jump, "via").select("v", F.least("via", "far").alias("comp"), (F.least("via", "far") < F.col("old")).alias("moved")), "labels"
         )
         moved = nxt.filter("moved").limit(1).count()
+        work.drop(labels)
         labels = nxt.drop("moved")
         if not moved:
             work.drop(both)
             return labels
 
 
+def _dealt(many: DataFrame, pairs: DataFrame, key: str, other: str, one: DataFrame, most: int = 64) -> DataFrame:
+    """many, rows of pairs, joined with one (a row per key) on the key; a key of more than `most` pairs is
+    dealt out by the other end over copies of its row, so that no task gets all rows of a hot key."""
+    copies = pairs.groupBy(key).agg(F.expr(f"cast((count(*) - 1) div {most} as int)").alias("_last"))
+    spread = many.join(copies, key).withColumn("_part", F.pmod(F.xxhash64(other), F.col("_last") + 1).cast("int")).drop("_last")
+    again = one.join(copies, key).withColumn("_part", F.explode(F.sequence(F.lit(0), F.col("_last")))).drop("_last")
+    return spread.join(again, [key, "_part"]).drop("_part")
+
+
 def _similar(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """The pairs (a, b) whose full sets have 100 * intersection >= percent * union."""
+    """Those of the written pairs (a, b) whose full sets have 100 * intersection >= percent * union."""
     left = sets.select(F.col("cid").alias("a"), F.col("shingles").alias("sa"))
     right = sets.select(F.col("cid").alias("b"), F.col("shingles").alias("sb"))
-    both = pairs.join(left, "a").join(right, "b")
+    both = _dealt(_dealt(pairs, pairs, "a", "b", left), pairs, "b", "a", right)
     same = both.select("a", "b", F.size("sa").alias("na"), F.size("sb").alias("nb"), F.size(F.array_intersect("sa", "sb")).alias("common"))
     return same.filter(F.expr(f"100 * common >= {percent} * (na + nb - common)")).select("a", "b").distinct()
 
@@ -175,10 +188,14 @@ def _rare_prefix_pairs(work: Work, hot: DataFrame, sets: DataFrame, percent: int
         "cid", "comp", "n", F.posexplode(F.slice("all", F.lit(1), F.expr(f"cast(n - ({percent} * n + 99) div 100 + 1 as int)"))).alias("pos", "t")
     ).filter("t.df > 1 and t.c1 < t.c2")
     prefix = work.table(prefix.select("cid", "comp", "n", "pos", F.col("t.tok").alias("tok")), "prefix")
-    x, y = (prefix.select("tok", *(F.col(c).alias(f"{c}_{s}") for c in ("cid", "comp", "n", "pos"))) for s in "xy")
+    # a shingle that many prefixes hold: one side is dealt out over copies of the other
+    parts = prefix.groupBy("tok").agg(F.expr("cast((count(*) - 1) div 256 as int)").alias("last"))
+    x, y = (prefix.select("tok", *(F.col(c).alias(f"{c}_{s}") for c in ("cid", "comp", "n", "pos"))).join(parts, "tok") for s in "xy")
+    x = x.withColumn("part", F.pmod(F.xxhash64("cid_x"), F.col("last") + 1).cast("int")).drop("last")
+    y = y.withColumn("part", F.explode(F.sequence(F.lit(0), F.col("last")))).drop("last")
     need = f"cast(({percent} * (n_x + n_y) + {99 + percent}) div {100 + percent} as bigint)"
     return (
-        x.join(y, "tok")
+        x.join(y, ["tok", "part"])
         .filter("cid_x < cid_y and comp_x <> comp_y")
         .filter(f"100 * least(n_x, n_y) >= {percent} * greatest(n_x, n_y)")
         .filter(f"1 + least(n_x - pos_x - 1, n_y - pos_y - 1) >= {need}")
@@ -187,37 +204,26 @@ def _rare_prefix_pairs(work: Work, hot: DataFrame, sets: DataFrame, percent: int
     )
 
 
-def near_duplicates(
-    docs: DataFrame,
-    id_col: str = "doc_id",
-    text_col: str = "text",
-    shingle: int = 5,
-    percent: int = 80,
-    pieces: int = 10,
-    width: int = 6,
-    errors: int = 1,
-    bucket_limit: int = 24,
-) -> DataFrame:
-    """doc_id, n_shingles, component_id, kept for every row of docs."""
-    spark = docs.sparkSession
-    work = Work(spark)
+def linked_classes(
+    work: Work, docs: DataFrame, id_col: str, text_col: str, shingle: int, percent: int, pieces: int = 10, width: int = 6, errors: int = 1, bucket_limit: int = 24
+) -> tuple[DataFrame, DataFrame]:
+    """(signed, classes): a row of docs each, and a row (name1, name2, n, cid, comp) for each different set
+    that is not empty, where comp is the least cid that cid reaches."""
     signed = work.table(_signed(docs, id_col, text_col, shingle, pieces, width, errors), "signed")
-    valued = signed.filter("n > 0 and doc_id is not null")
-    classes = work.table(valued.groupBy("name1", "name2", "n").agg(F.min("doc_id").alias("cid")), "classes")
-    reps = (
-        valued.join(classes.select("name1", "name2", "n", F.col("cid").alias("doc_id")), ["name1", "name2", "n", "doc_id"])
-        .select(F.col("doc_id").alias("cid"), "n", F.explode(F.array_distinct("keys")).alias("key"))
-    )
-    crowded = reps.groupBy("key").agg(F.count("*").alias("held"), F.min("cid").alias("rep")).filter("held > 1")
-    buckets = work.table(reps.join(crowded, "key"), "buckets")
+    classes = work.table(signed.filter("n > 0").groupBy("name1", "name2", "n").agg(F.min("row").alias("cid")), "classes")
+    reps = signed.join(classes.select(F.col("cid").alias("row")), "row").select(F.col("row").alias("cid"), "doc_id", "h", "n", "keys")
+    entries = reps.select("cid", "doc_id", "h", "n", F.explode(F.array_distinct("keys")).alias("key"))
+    crowded = entries.groupBy("key").agg(F.count("*").alias("held"), F.min("cid").alias("rep")).filter("held > 1")
+    buckets = work.table(entries.join(crowded, "key"), "buckets")
     work.release()
-    named = buckets.select("cid").distinct()
-    texts = docs.select(F.col(id_col).cast("long").alias("cid"), F.col(text_col).cast("string").alias("text"))
-    sets = work.table(_sets(texts.join(named, "cid"), shingle).dropDuplicates(["cid", "which"]).select("cid", "shingles"), "sets")
+    named = buckets.select("cid", F.col("doc_id").alias("id"), F.col("h").alias("hash")).distinct()
+    rows = _named(docs, id_col, text_col)
+    texts = rows.join(named, rows.doc_id.eqNullSafe(named.id) & (rows.h == named.hash)).select("cid", "text")
+    sets = work.table(_sets(texts, shingle).dropDuplicates(["cid"]), "sets")
     work.release()
 
     sized = buckets.filter("cid <> rep").groupBy(F.col("cid").alias("a"), F.col("rep").alias("b")).agg(F.count("*").alias("votes"))
-    star = sized.groupBy("a").agg(F.max_by("b", F.struct("votes", -F.col("b"))).alias("b"))
+    star = work.table(sized.groupBy("a").agg(F.max_by("b", F.struct("votes", -F.col("b"))).alias("b")), "star")
     comp = components(work, work.table(_similar(star, sets, percent), "links"))
     work.release()
 
@@ -239,24 +245,57 @@ def near_duplicates(
     across = _labelled(_labelled(more.withColumnRenamed("a", "cid"), comp).select(F.col("comp").alias("a"), F.col("b").alias("cid")), comp)
     joined = components(work, work.table(across.select("a", F.col("comp").alias("b")).filter("a <> b").distinct(), "links"))
     final = (
-        classes.join(comp.withColumnRenamed("v", "cid"), "cid", "left")
-        .withColumn("first", F.coalesce("comp", "cid"))
-        .join(joined.select(F.col("v").alias("first"), F.col("comp").alias("last")), "first", "left")
-        .select("name1", "name2", "n", F.coalesce("last", "first").alias("component_id"))
-    )
-    return work.table(
-        signed.join(final, ["name1", "name2", "n"], "left").select(
-            "doc_id",
-            F.col("n").alias("n_shingles"),
-            F.when(F.col("doc_id").isNotNull(), F.coalesce("component_id", "doc_id")).alias("component_id"),
-            F.coalesce(F.col("doc_id") == F.coalesce("component_id", "doc_id"), F.lit(True)).alias("kept"),
-        ),
-        "result",
+        _labelled(classes, comp)
+        .join(joined.select(F.col("v").alias("comp"), F.col("comp").alias("last")), "comp", "left")
+        .select("name1", "name2", "n", "cid", F.coalesce("last", "comp").alias("comp"))
     )
+    return signed, work.table(final, "final")
+
+
+def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = 5, percent: int = 80, **how) -> DataFrame:
+    """doc_id, n_shingles, component_id, kept for every row of docs."""
+    work = Work(docs.sparkSession)
+    signed, classes = linked_classes(work, docs.filter(F.col(id_col).isNotNull()), id_col, text_col, shingle, percent, **how)
+    least = signed.filter("n > 0").groupBy("name1", "name2", "n").agg(F.min("doc_id").alias("least"))
+    firsts = least.join(classes, ["name1", "name2", "n"])
+    roots = firsts.groupBy("comp").agg(F.min("least").alias("component_id"))
+    firsts = firsts.join(roots, "comp").select("name1", "name2", "n", "component_id")
+    rows = signed.join(firsts, ["name1", "name2", "n"], "left").select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component_id", "doc_id").alias("component_id"))
+    rows = work.table(rows, "rows")
+    # a document of several sets ties their components together
+    several = rows.groupBy("doc_id").agg(F.min("component_id").alias("a"), F.max("component_id").alias("z")).filter("a < z").select("doc_id", "a")
+    ties = work.table(rows.join(several, "doc_id").filter("a < component_id").select("a", F.col("component_id").alias("b")).distinct(), "ties")
+    if not ties.isEmpty():
+        tied = components(work, ties).select(F.col("v").alias("component_id"), F.col("comp").alias("least"))
+        rows = rows.join(tied, "component_id", "left").withColumn("component_id", F.coalesce("least", "component_id"))
+    bare = _signed(docs.filter(F.col(id_col).isNull()), id_col, text_col, shingle, 1, 1, 0)
+    bare = bare.select("doc_id", F.col("n").alias("n_shingles"), F.lit(None).cast("long").alias("component_id"), F.lit(True).alias("kept"))
+    out = rows.select("doc_id", "n_shingles", "component_id", (F.col("doc_id") == F.col("component_id")).alias("kept"))
+    return work.table(out.union(bare), "result")
+
+
+def one_of_each(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = 5, percent: int = 80, **how) -> DataFrame:
+    """One row of each near-duplicate group, with all its columns: the one of least id, then least hash."""
+    work = Work(docs.sparkSession)
+    signed, classes = linked_classes(work, docs, id_col, text_col, shingle, percent, **how)
+    rows = signed.filter("n > 0").groupBy("name1", "name2", "n", "doc_id", "h").agg(F.count("*").alias("copies"))
+    rows = work.table(rows.join(classes, ["name1", "name2", "n"]).select("doc_id", "h", "copies", "comp"), "rows")
+    # two steps on longs, which hash aggregation takes: the least id, then the least hash among its texts
+    ids = rows.groupBy(F.col("comp").alias("c")).agg(F.min("doc_id").alias("root_id"))
+    hashes = rows.join(ids, (rows.comp == ids.c) & rows.doc_id.eqNullSafe(ids.root_id)).groupBy("c", "root_id").agg(F.min("h").alias("hash"))
+    chosen = work.table(hashes, "chosen")
+    flagged = rows.join(chosen, rows.comp == chosen.c).withColumn("stays", rows.doc_id.eqNullSafe(F.col("root_id")) & (F.col("h") == F.col("hash")))
+    gone = work.table(flagged.filter("not stays").select("doc_id", "h"), "gone")
+    again = work.table(flagged.filter("stays and copies > 1").select("doc_id", "h"), "again")
+    work.release()
 
+    def of(rows: DataFrame, named: DataFrame):
+        return rows[id_col].cast("long").eqNullSafe(named.doc_id) & (F.xxhash64(rows[text_col].cast("string")) == named.h)
 
-def one_of_each(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = 5, percent: int = 80) -> DataFrame:
-    """One document of each near-duplicate group, with all its columns; rows without an id stay."""
-    kept = near_duplicates(docs, id_col, text_col, shingle, percent).filter("kept and doc_id is not null").select(F.col("doc_id").alias(id_col)).distinct()
-    named = docs.join(kept, id_col, "left_semi").dropDuplicates([id_col]).select(docs.columns)
-    return named.union(docs.filter(F.col(id_col).isNull()))
+    left = docs.join(gone, of(docs, gone), "left_anti")
+    if again.isEmpty():
+        return left
+    repeated = left.join(again, of(left, again))
+    columns = [left[c] for c in docs.columns]
+    one = repeated.groupBy(again.doc_id, again.h).agg(F.min_by(F.struct(columns), F.xxhash64(*columns)).alias("_one")).select("_one.*")
+    return left.join(again, of(left, again), "left_anti").union(one)
