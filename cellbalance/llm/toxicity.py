@@ -1,19 +1,25 @@
 """Toxicity by a weighted finite-state pattern grammar.
 
 A lexical transducer (a weighted trie over word beginnings) turns words into classes: insult, harm
-verb, first person, modal, target, negation, report verb, quote, boundary, other. Four more
+verb, first person, modal, target, copula, negation, report verb, quote, boundary, other. Four more
 transducers read and rewrite classes: negation marks what stands in its scope, reported speech marks
 what follows a report verb or stands in quotes, threats need first person, modal and harm verb in
-order, targets mark an insult with an addressee in the same clause. They are composed into one
-deterministic machine; it reads clause by clause, and each matched clause scores the weight of its
-pattern, never a word by itself. Two sums over clauses go through a fitted logistic to a score.
+order, and targets let an insult fire only where its clause aims it at somebody: an addressee before or
+after it, or a copula that predicates it. They are composed into one deterministic machine. A fifth one
+runs beside it, since its states are words: an insult that follows a different insult of the same text
+is one of a pile. What matches nothing scores nothing: a single insult that is aimed at nobody is a word
+by itself. Matched weights add up by pattern (aimed, piled, threat, told, the last for any of them in
+reported speech), and a logistic with one weight a pattern gives the score.
 
 The insult arcs are learned: word beginnings of 4 to 12 letters that mark toxic rows of the allowed
-part of the labels, picked greedily so that each one explains toxic rows not yet explained. The fit
-uses a bounded sample, about `positives` and `negatives` rows. A hand-written seed list joins it.
-
-Defined results: null and empty texts have no clause and get the score of no match; without labels the
-seed lexicon and default logistic decide; repeated rows score alike.
+part of the labels, picked greedily so that each one explains toxic rows not yet explained; a
+hand-written seed list joins them. The weights of the patterns are learned from the same rows, drawn to
+hand-set values where rows say little; the score of a text that matches nothing is fixed. The fit uses a
+bounded sample, about `positives` and `negatives` of the allowed rows, which alone set its rate.
+
+Defined results: null and empty texts have no match and get the score of no match; a document with several
+labels is toxic if one of them says so; without labels the seed lexicon and hand-set weights decide;
+repeated rows score alike; very long texts are read from start to end.
 """
 
 from __future__ import annotations
@@ -38,12 +44,16 @@ SEEDS = {
     "harm": "kill hurt destroy beat stab shoot murder töten schlagen tuer frapper matar golpear",
     "self": "i we ich wir je nous yo nosotros",
     "modal": "will shall gonna would werde werden vais allons voy vamos",
-    "target": "you your he she they them him her this these those du sie ihr dich er tu vous toi il elle ils tú usted él ella ellos",
+    "target": "you your you're he she they them him her he's she's they're du dein sie ihr dich er tu toi vous votre il elle ils elles tú usted ustedes él ella ellos",
+    "copula": "is are was were be been being ist sind war bist seid est êtes sont était es son era eres",
     "negation": "not never no don't isn't aren't wasn't won't nicht kein keine nie ne pas jamais ni nunca jamás",
     "report": "said says wrote claimed called reported quoted sagte schrieb nannte dit écrit déclaré dijo escribió llamó",
     "boundary": "but although because aber obwohl weil mais parce pero porque",
 }
-CLASSES = ("other", "insult", "harm", "self", "modal", "target", "negation", "report", "quote", "boundary")
+CLASSES = ("other", "insult", "harm", "self", "modal", "target", "copula", "negation", "report", "quote", "boundary")
+#: Score of a text without a match, as a logit, and the weight of each pattern before rows are seen.
+NO_MATCH = -3.0
+PRIOR = {"aimed": 2.4, "piled": 1.6, "threat": 2.5, "told": 0.9}
 _TOKEN = re.compile(r"[^\W\d_]+(?:['’][^\W\d_]+)?|[.!?;:,\n|]|[\"“”«»„]").findall
 _PUNCTUATION = dict.fromkeys(".!?;:,\n|", "boundary") | dict.fromkeys('"“”«»„', "quote")
 
@@ -73,52 +83,64 @@ class Transducer:
         return Transducer(start, arcs)
 
 
-def negation(scope: int = 3, factor: float = 0.5) -> Transducer:
+def negation(scope: int = 3, factor: float = 0.3) -> Transducer:
     arcs = {}
     for left in range(scope + 1):
         arcs[left, "negation"] = (scope, "other", 1.0)
         arcs[left, "boundary"] = (0, "boundary", 1.0)
-        for s in ("other", "target", "self", "modal", "report", "quote"):
+        for s in ("other", "target", "self", "modal", "copula", "report", "quote"):
             arcs[left, s] = (max(0, left - 1), s, 1.0)
         for s in ("insult", "harm"):
             arcs[left, s] = (max(0, left - 1), s, factor if left else 1.0)
     return Transducer(0, arcs)
 
 
-def reported(factor: float = 0.7) -> Transducer:
+def reported() -> Transducer:
+    """Insults and harm verbs of reported speech are written as told ones; the report verb stays, so that
+    who speaks is nobody's target."""
     arcs = {}
     for state in ("plain", "told", "quoted"):
-        arcs[state, "report"] = ("told" if state == "plain" else state, "other", 1.0)
+        arcs[state, "report"] = ("told" if state == "plain" else state, "report", 1.0)
         arcs[state, "quote"] = ("plain" if state == "quoted" else "quoted", "other", 1.0)
         arcs[state, "boundary"] = ("quoted" if state == "quoted" else "plain", "boundary", 1.0)
         for s in ("insult", "harm"):
-            arcs[state, s] = (state, s, 1.0 if state == "plain" else factor)
+            arcs[state, s] = (state, s if state == "plain" else f"told {s}", 1.0)
     return Transducer("plain", arcs)
 
 
 def threat() -> Transducer:
     """First person, then modal, then harm verb: a threat. A harm verb alone is other."""
-    arcs = {(0, "self"): (1, "other", 1.0), (1, "self"): (1, "other", 1.0), (1, "modal"): (2, "other", 1.0), (2, "harm"): (2, "threat", 1.0)}
+    arcs = {(0, "self"): (1, "other", 1.0), (1, "self"): (1, "other", 1.0), (1, "modal"): (2, "other", 1.0), (2, "harm"): (2, "threat", 1.0), (2, "told harm"): (2, "told threat", 1.0)}
     for state in range(3):
         arcs[state, "boundary"] = (0, "boundary", 1.0)
-        arcs.setdefault((state, "harm"), (state, "other", 1.0))
-        arcs.setdefault((state, "modal"), (state, "other", 1.0))
-        arcs.setdefault((state, "self"), (state, "other", 1.0))
+        for s in ("harm", "told harm", "modal", "self"):
+            arcs.setdefault((state, s), (state, "other", 1.0))
     return Transducer(0, arcs)
 
 
-def target(boost: float = 1.5) -> Transducer:
-    arcs = {("none", "target"): ("seen", "other", 1.0), ("seen", "target"): ("seen", "other", 1.0)}
-    for s in ("insult", "threat"):
-        arcs["none", s] = ("none", s, 1.0)
-        arcs["seen", s] = ("seen", s, boost)
-    for state in ("none", "seen"):
+def target(boost: float = 1.5, reach: int = 3) -> Transducer:
+    """Insults aimed at somebody fire. `aimed` follows its addressee or, within `reach` words, a copula;
+    `claim` is an addressee that claims the insults before it in the clause, which were written as held."""
+    arcs = {}
+    states = ["none", "seen", "held", *range(1, reach + 1)]
+    for state in states:
+        copula = isinstance(state, int)
+        later = (state - 1 or "none") if copula else state
+        for s in ("other", "self", "modal", "negation", "quote"):
+            arcs[state, s] = (later, "other", 1.0)
+        arcs[state, "copula"] = ("seen" if state == "seen" else "held" if state == "held" else reach, "other", 1.0)
+        arcs[state, "target"] = ("seen", "claim" if state == "held" else "other", 1.0)
+        arcs[state, "report"] = ("none", "other", 1.0)
         arcs[state, "boundary"] = ("none", "boundary", 1.0)
+        for told in ("", "told "):
+            arcs[state, f"{told}insult"] = (state, f"{told}aimed", 1.0) if state == "seen" or copula else ("held", f"{told}held", 1.0)
+            arcs[state, f"{told}threat"] = (later, f"{told}threat", boost if state == "seen" else 1.0)
     return Transducer("none", arcs)
 
 
 def grammar() -> Transducer:
-    return negation().then(reported(), CLASSES).then(threat(), CLASSES).then(target(), CLASSES)
+    told = ("told insult", "told harm", "threat", "told threat")
+    return negation().then(reported(), CLASSES).then(threat(), CLASSES).then(target(), (*CLASSES, *told))
 
 
 class Trie:
@@ -149,37 +171,46 @@ class Trie:
 @dataclass
 class ToxicModel:
     stems: dict[str, float] = field(default_factory=dict)
-    logistic: tuple[float, float, float] = (-2.0, 1.5, 0.5)
+    weights: dict[str, float] = field(default_factory=lambda: dict(PRIOR))
 
-    def clauses(self, text: str) -> list[float]:
-        """Scores of the clauses that match a pattern."""
+    def matches(self, text: str) -> Iterator[tuple[str, float]]:
+        """(pattern, weight) of what fires, clause by clause."""
         if not hasattr(self, "_read"):
             self._read, self._machine = Interned(Trie(self.stems).read, 80_000), grammar()
         tokens = _TOKEN(text.lower())
         classes = list(map(self._read.__getitem__, tokens))
         if not any(c in ("insult", "harm") for c, _ in classes):
-            return []
-        out, now, state, arcs = [], 0.0, self._machine.start, self._machine.arcs
-        for symbol, weight in classes:
+            return
+        state, arcs, before, held = self._machine.start, self._machine.arcs, None, []
+        for word, (symbol, weight) in zip(tokens, classes, strict=True):
             state, written, factor = arcs[state, symbol]
-            if written in ("insult", "threat"):
-                now += factor * weight
-            elif written == "boundary" and now:
-                out.append(now)
-                now = 0.0
-        return [*out, now] if now else out
-
-    def measures(self, text: str) -> tuple[float, float]:
-        found = self.clauses(text)
-        return (math.log1p(max(found)), math.log1p(sum(found))) if found else (0.0, 0.0)
+            if written == "claim":
+                yield from (("told" if told else "aimed", w) for told, w in held)
+                held = []
+            elif written == "boundary":
+                held = []
+            elif written != "other" and (told := written.startswith("told")) is not None:
+                kind = written.removeprefix("told ")
+                if kind != "threat" and before not in (None, word):
+                    kind = "piled" if kind == "held" else kind
+                if kind == "held":
+                    held.append((told, factor * weight))
+                else:
+                    yield "told" if told else kind, factor * weight
+                before = word if written != "threat" else before
+
+    def measures(self, text: str | None) -> dict[str, float]:
+        found = dict.fromkeys(PRIOR, 0.0)
+        for kind, weight in self.matches(text or ""):
+            found[kind] += weight
+        return {k: math.log1p(v) for k, v in found.items()}
 
     def score(self, text: str | None) -> float:
-        a, b, c = self.logistic
-        x, y = self.measures(text) if text else (0.0, 0.0)
-        return 1 / (1 + math.exp(-max(-30.0, min(30.0, a + b * x + c * y))))
+        x = self.measures(text)
+        return 1 / (1 + math.exp(-max(-30.0, min(30.0, NO_MATCH + sum(self.weights[k] * v for k, v in x.items())))))
 
     def __getstate__(self):
-        return {"stems": self.stems, "logistic": self.logistic}
+        return {"stems": self.stems, "weights": self.weights}
 
 
 def _beginnings(text: str) -> Counter:
@@ -192,15 +223,19 @@ def _beginnings(text: str) -> Counter:
 
 
 def _sample(docs: DataFrame, labels: DataFrame, allowed: Column, positives: int, negatives: int) -> DataFrame:
-    known = (
-        docs.select(F.col("doc_id"), F.col("text").cast("string").alias("text"), allowed.alias("may"))
-        .filter("may and text is not null")
-        .join(labels.select("doc_id", F.col("toxic").cast("int").alias("toxic")).filter("toxic is not null").dropDuplicates(["doc_id"]), "doc_id")
-    )
-    held = {r["toxic"]: r["n"] for r in labels.select("doc_id", "toxic").groupBy("toxic").agg(F.count("*").alias("n")).collect()}
+    marks = labels.select("doc_id", F.col("toxic").cast("int").alias("toxic")).filter("toxic is not null").groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
+    rows = docs.select(F.col("doc_id"), F.col("text").cast("string").alias("text"), allowed.alias("may")).filter("may and text is not null")
+    held = {r["toxic"]: r["n"] for r in rows.select("doc_id").join(marks, "doc_id").groupBy("toxic").agg(F.count("*").alias("n")).collect()}
     share = {y: int(min(1.0, most / max(1, held.get(y, 0))) * (1 << 32)) for y, most in ((1, positives), (0, negatives))}
     limit = F.when(F.col("toxic") == 1, F.lit(share[1])).otherwise(F.lit(share[0]))
-    return known.filter(F.pmod(F.xxhash64("doc_id", "text"), F.lit(1 << 32)) < limit).select("toxic", "text")
+    return rows.join(marks, "doc_id").filter(F.pmod(F.xxhash64("doc_id", "text"), F.lit(1 << 32)) < limit).select("toxic", "text")
+
+
+def _texts(batches: Iterator[pa.RecordBatch], column: int = 1) -> Iterator[tuple[pa.RecordBatch, list[str]]]:
+    """The batches in parts of a few megabytes, with the texts of each."""
+    for batch in batches:
+        for a, b, texts in runs(batch.column(column), 1 << 20):
+            yield batch.slice(a, b - a), [(t or b"").decode("utf-8", "replace") for t in texts]
 
 
 def _leading_run(text: str, k: int = 5) -> int:
@@ -213,8 +248,8 @@ def _without_copies(sample: DataFrame) -> DataFrame:
     """One row of most groups of toxic near copies, so that a group's own words don't look telling."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array([_leading_run(t) for t in batch.column(1).to_pylist()], pa.int64())], names=["toxic", "text", "lead"])
+        for part, texts in _texts(batches):
+            yield pa.RecordBatch.from_arrays([*part.columns, pa.array([_leading_run(t) for t in texts], pa.int64())], names=["toxic", "text", "lead"])
 
     led = sample.filter("toxic = 1").mapInArrow(run, "toxic int, text string, lead long")
     kept = led.groupBy("toxic", "lead").agg(F.min("text").alias("text")).select("toxic", "text")
@@ -236,8 +271,8 @@ def fit(
             columns = list(zip(*held.values(), strict=True))
             return pa.RecordBatch.from_arrays([pa.array(list(held)), *(pa.array(c, pa.int64()) for c in columns)], names=["stem", "pos", "neg", "words"])
 
-        for batch in batches:
-            for y, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+        for part, texts in _texts(batches):
+            for y, text in zip(part.column(0).to_pylist(), texts, strict=True):
                 for stem, k in [*_beginnings(text).items(), ("", 0)]:
                     row = held.setdefault(stem, [0, 0, 0])
                     row[0 if y else 1] += 1
@@ -260,8 +295,8 @@ def fit(
     }
 
     def marks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            found = [[s for s in _beginnings(t) if s in telling] for t in batch.column(1).to_pylist()]
+        for _, texts in _texts(batches):
+            found = [[s for s in _beginnings(t) if s in telling] for t in texts]
             yield pa.RecordBatch.from_arrays([pa.array(found, pa.list_(pa.string()))], names=["stems"])
 
     open_ = [set(r["stems"]) for r in sample.filter("toxic = 1").mapInArrow(marks, "stems array<string>").collect()]
@@ -278,30 +313,30 @@ def fit(
         if neg == 0 and pos >= 0.05 * n_pos and not any(s.startswith(x) or x.startswith(s) for x in stems):
             longer = max((x for x in telling if x.startswith(s) and telling[x][2] == words), key=len)
             stems[longer] = math.log((pos + 0.5) / (n_pos + 1)) - math.log(0.5 / (n_neg + 1))
-    model = ToxicModel(stems)
+    model, kinds = ToxicModel(stems), list(PRIOR)
 
     def measured(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            m = [model.measures(t) for t in batch.column(1).to_pylist()]
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([x for x, _ in m], pa.float64()), pa.array([y for _, y in m], pa.float64())], names=["toxic", "x", "y"])
+        for part, texts in _texts(batches):
+            found = [model.measures(t) for t in texts]
+            yield pa.RecordBatch.from_arrays([part.column(0), *(pa.array([m[k] for m in found], pa.float64()) for k in kinds)], names=["toxic", *kinds])
 
-    rows = sample.mapInArrow(measured, "toxic int, x double, y double").toArrow()
-    y, x = rows["toxic"].to_numpy(), np.column_stack([np.ones(rows.num_rows), rows["x"].to_numpy(), rows["y"].to_numpy()])
-    return ToxicModel(stems, tuple(_logistic(x, y)))
+    rows = sample.mapInArrow(measured, "toxic int, " + ", ".join(f"{k} double" for k in kinds)).toArrow()
+    return ToxicModel(stems, _weights(np.column_stack([rows[k].to_numpy() for k in kinds]), rows["toxic"].to_numpy()))
 
 
-def _logistic(x: np.ndarray, y: np.ndarray, ridge: float = 1e-2) -> list[float]:
-    w = np.zeros(x.shape[1])
-    keep = np.array([1e-6, *[ridge] * (x.shape[1] - 1)])
+def _weights(x: np.ndarray, y: np.ndarray, ridge: float = 1.0) -> dict[str, float]:
+    """Logistic weights drawn to PRIOR, at least half of it; a told match counts less than a direct one."""
+    prior = np.array(list(PRIOR.values()))
+    order = np.lexsort((y, *x.T))
+    x, y, w = x[order], y[order], prior.copy()
     for _ in range(50):
-        p = 1 / (1 + np.exp(-np.clip(x @ w, -30, 30)))
-        grad = x.T @ (p - y) + keep * w
-        hess = (x * (p * (1 - p))[:, None]).T @ x + np.diag(keep)
-        move = np.linalg.solve(hess, grad)
-        w -= move
+        p = 1 / (1 + np.exp(-np.clip(NO_MATCH + x @ w, -30, 30)))
+        move = np.linalg.solve((x * (p * (1 - p))[:, None]).T @ x + ridge * np.eye(len(w)), x.T @ (p - y) + ridge * (w - prior))
+        w = w - np.clip(move, -2, 2)
         if np.abs(move).max() < 1e-8:
             break
-    return w.tolist()
+    out = dict(zip(PRIOR, np.maximum(w, prior / 2).tolist(), strict=True))
+    return out | {"told": min(out["told"], 0.6 * min(out["aimed"], out["piled"], out["threat"]))}
 
 
 def score(docs: DataFrame, model: ToxicModel, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
