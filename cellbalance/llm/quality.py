@@ -1,9 +1,10 @@
 """Quality rules by compression bands.
 
-A text's bytes go through zstandard as a whole and in fixed chunks. The ratio of raw to compressed size
-has a band for each length class: above it the text repeats itself, below it it is noise such as
-encoded binary. A text is kept if the whole lies in its band and at most `bad_share` of its full chunks
-leave theirs. Frames carry a fixed cost, which is taken off before the ratio, so short texts compare.
+A text's bytes go through zstandard as a whole and in fixed chunks, the shorter last one included. The
+ratio of raw to compressed size has a band for each length class: above it the text repeats itself, below
+it it is noise such as encoded binary. A text is kept if the whole lies in its band and at most
+`bad_share` of its chunks leave the band of their own length; a text of one chunk is judged as a whole.
+Frames carry a fixed cost, which is taken off before the ratio, so short texts compare.
 
 Base counts follow fixed rules: code points in words, symbol characters, repeated lines, and words
 covered by word windows that occur twice or more in the same text. Defined results: a null or empty
@@ -69,12 +70,20 @@ def repeated_lines(text: bytes) -> int:
     return n
 
 
+def ratio_of(block: bytes, press) -> float:
+    return len(block) / max(1, len(press(block)) - FRAME)
+
+
+def in_its_band(block: bytes, press) -> bool:
+    low, high = band(len(block))
+    return low <= ratio_of(block, press) <= high
+
+
 def measure(text: bytes, press) -> tuple:
     words = text.split()
-    ratio = len(text) / max(1, len(press(text)) - FRAME) if text else 0.0
-    full = range(0, len(text) - CHUNK + 1, CHUNK) if len(text) >= 2 * CHUNK else ()
-    low, high = band(CHUNK)
-    bad = sum(not low <= CHUNK / max(1, len(press(text[a : a + CHUNK])) - FRAME) <= high for a in full)
+    ratio = ratio_of(text, press) if text else 0.0
+    starts = range(0, len(text), CHUNK) if len(text) > CHUNK else ()
+    bad = sum(not in_its_band(text[a : a + CHUNK], press) for a in starts)
     return (
         len(words),
         len(text.translate(None, SPACES + CONTINUATIONS)),
@@ -82,7 +91,7 @@ def measure(text: bytes, press) -> tuple:
         repeated_lines(text),
         repeated_words(words),
         ratio,
-        len(full),
+        len(starts),
         bad,
     )
 
