@@ -1,10 +1,11 @@
 """Hierarchical language identification: family first, then one-versus-one linear SVMs within it.
 
-Features are hashed counts of byte pairs and triples of the whole text (ASCII letters lower-cased),
-square-rooted and scaled to length one. At either level each pair of classes has a linear SVM
-(squared hinge, batch gradient); the class with most votes wins, ties go to the larger sum of margins.
-Models are fitted on a bounded sample, `per_class` rows per language at expectation, chosen by a hash
-of the id among rows that the caller allows; everything else runs over all rows.
+Features are hashed counts of byte pairs and triples of the whole text (ASCII letters lower-cased), added
+up megabyte by megabyte, square-rooted and scaled to length one. At either level each pair of classes has a
+linear SVM (squared hinge, batch gradient); the class with most votes wins, ties go to the larger sum of
+margins. Models are fitted on a bounded sample, `per_class` rows per language at expectation, chosen by a
+hash of the id among rows that the caller allows. Each pair of classes is a task of its own, which holds
+the sample's rows of these two classes; the driver gets weights only. Everything else runs over all rows.
 
 Defined results: null texts and texts without a letter are `und` with score 0; with no labelled row
 every text is `und`; with one language every text with a letter is that language. Rows with a null
@@ -24,7 +25,7 @@ import regex
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from cellbalance.llm.common import LOWER, keep_rows, runs
+from cellbalance.llm.common import LOWER, Work, keep_rows, make_room, runs
 
 #: Language codes by family; a code not listed is a family of its own.
 FAMILIES = {
@@ -58,6 +59,23 @@ def features(texts: list[bytes]) -> np.ndarray:
     return out.reshape(len(texts), WIDTH)
 
 
+def text_features(text: bytes, most: int = 1 << 20) -> np.ndarray:
+    """features() of one text of any length: pieces overlap by the two bytes that pairs and triples span."""
+    out = np.zeros(WIDTH, np.int64)
+    for a in range(0, max(1, len(text)), most):
+        piece = text[a : a + most + 2]
+        out += features([piece])[0]
+        if a + most < len(text):  # what starts in the overlap is counted with the next piece
+            out -= features([piece[most:]])[0]
+    return out
+
+
+def counted(texts: list[bytes], most: int = 1 << 20) -> np.ndarray:
+    if len(texts) == 1 and len(texts[0]) > most:
+        return text_features(texts[0], most)[None]
+    return features(texts)
+
+
 def scaled(counts: np.ndarray) -> np.ndarray:
     x = np.sqrt(counts.astype(np.float32))
     return x / np.maximum(np.sqrt((x * x).sum(1, keepdims=True)), 1e-9)
@@ -72,7 +90,7 @@ def linear_svm(x: np.ndarray, y: np.ndarray, c: float = 30.0, rounds: int = 120)
     for _ in range(rounds):
         slack = np.maximum(0, 1 - y * (x @ v))
         new = v - step * (v - 2 * c * (x.T @ (share * y * slack)))
-        nxt = (1 + np.sqrt(1 + 4 * t * t)) / 2
+        nxt = (1 + (1 + 4 * t * t) ** 0.5) / 2  # a Python float keeps the weights in single precision
         v, w, t = new + (t - 1) / nxt * (new - w), new, nxt
     return w
 
@@ -82,15 +100,6 @@ class Pairwise:
     classes: list[str]
     weights: np.ndarray
 
-    @staticmethod
-    def fit(x: np.ndarray, labels: np.ndarray) -> Pairwise:
-        classes = sorted(set(labels.tolist()))
-        rows = []
-        for a, b in combinations(classes, 2):
-            of = np.flatnonzero((labels == a) | (labels == b))
-            rows.append(linear_svm(x[of], np.where(labels[of] == a, 1, -1).astype(np.float32)))
-        return Pairwise(classes, np.array(rows, np.float32).reshape(len(rows), x.shape[1] + 1))
-
     def predict(self, x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Index of the class and how sure its closest duel is."""
         k = len(self.classes)
@@ -113,16 +122,8 @@ class Hierarchy:
     families: Pairwise
     within: dict[str, Pairwise]
 
-    @staticmethod
-    def fit(counts: np.ndarray, labels: list[str]) -> Hierarchy | None:
-        if not labels:
-            return None
-        x, labels = scaled(counts), np.array(labels)
-        family = np.array([_FAMILY.get(c, c) for c in labels])
-        return Hierarchy(Pairwise.fit(x, family), {f: Pairwise.fit(x[family == f], labels[family == f]) for f in sorted(set(family.tolist()))})
-
     def predict(self, texts: list[bytes]) -> tuple[list[str], np.ndarray]:
-        x = scaled(features(texts))
+        x = scaled(counted(texts))
         family, sure = self.families.predict(x)
         names, score = [""] * len(texts), sure.astype(float)
         for f in set(family.tolist()):
@@ -134,8 +135,18 @@ class Hierarchy:
         return names, score
 
 
+def duels(languages: list[str]) -> list[tuple[str, str, str, list[str], list[str]]]:
+    """(level, a, b, languages of a, languages of b): a pair of classes each, families at level ''."""
+    families: dict[str, list[str]] = {}
+    for code in sorted(languages):
+        families.setdefault(_FAMILY.get(code, code), []).append(code)
+    out = [("", a, b, families[a], families[b]) for a, b in combinations(sorted(families), 2)]
+    return out + [(f, a, b, [a], [b]) for f, codes in sorted(families.items()) for a, b in combinations(codes, 2)]
+
+
 def fit(docs: DataFrame, allowed: Column, id_col: str = "doc_id", text_col: str = "text", label_col: str = "lang", per_class: int = 800) -> Hierarchy | None:
-    """A model from about `per_class` allowed rows of each label; the driver gets their features only."""
+    """A model from about `per_class` allowed rows of each label; every duel is fitted by a task."""
+    spark, work = docs.sparkSession, Work(docs.sparkSession)
     known = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"), F.col(label_col).cast("string").alias("label"), allowed.alias("may"))
     known = known.filter("may and label is not null and text is not null")
     held = {r["label"]: r["n"] for r in known.groupBy("label").agg(F.count("*").alias("n")).collect()}
@@ -146,17 +157,37 @@ def fit(docs: DataFrame, allowed: Column, id_col: str = "doc_id", text_col: str
         share = F.when(F.col("label") == label, F.lit(int(min(1.0, per_class / n) * (1 << 32)))).otherwise(share)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        make_room()
         for batch in batches:
             for a, b, texts in runs(batch.column(1), 1 << 18):
-                counts = np.minimum(features(texts), 65535).astype("<u2")
+                counts = counted(texts).astype("<u4")
                 yield pa.RecordBatch.from_arrays([batch.column(0)[a:b], pa.array([r.tobytes() for r in counts], pa.binary())], names=["label", "counts"])
 
     chosen = known.filter(F.pmod(F.xxhash64("id", "text"), F.lit(1 << 32)) < share).select("label", "text").mapInArrow(run, "label string, counts binary")
-    rows = chosen.toArrow()
-    counts = np.frombuffer(b"".join(rows["counts"].to_pylist()), "<u2").reshape(-1, WIDTH)
-    order = np.lexsort((rows["label"].to_numpy(zero_copy_only=False).astype(str), counts.sum(1)))
-    labels = rows["label"].to_pylist()
-    return Hierarchy.fit(counts[order], [labels[i] for i in order])
+    chosen = work.table(chosen, "features")
+    present = sorted(r["label"] for r in chosen.select("label").distinct().collect())
+    table = duels(present)
+    sides = [(i, code, side) for i, d in enumerate(table) for side, codes in ((1, d[3]), (-1, d[4])) for code in codes]
+
+    def train(rows: pa.Table) -> pa.Table:
+        make_room()
+        counts = np.frombuffer(b"".join(sorted(rows["counts"].to_pylist())), "<u4").reshape(-1, WIDTH)
+        sign = [s for _, s in sorted(zip(rows["counts"].to_pylist(), rows["side"].to_pylist(), strict=True))]
+        w = linear_svm(scaled(counts), np.array(sign, np.float32))
+        return pa.table({"duel": rows["duel"][:1], "weights": pa.array([w.tobytes()], pa.binary())})
+
+    found: dict[int, np.ndarray] = {}
+    if sides:
+        dealt = chosen.join(F.broadcast(spark.createDataFrame(sides, "duel int, label string, side int")), "label")
+        for r in dealt.repartition(len(table), "duel").groupBy("duel").applyInArrow(train, "duel int, weights binary").collect():
+            found[r["duel"]] = np.frombuffer(bytes(r["weights"]), np.float32)
+
+    def level(name: str, classes: list[str]) -> Pairwise:
+        rows = [found[i] for i, d in enumerate(table) if d[0] == name]
+        return Pairwise(classes, np.array(rows, np.float32).reshape(len(rows), WIDTH + 1))
+
+    families = sorted({_FAMILY.get(c, c) for c in present})
+    return Hierarchy(level("", families), {f: level(f, [c for c in present if _FAMILY.get(c, c) == f]) for f in families}) if present else None
 
 
 def judged(texts: list[bytes | None], model: Hierarchy | None) -> tuple[list[str], list[float]]:
