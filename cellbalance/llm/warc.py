@@ -1,14 +1,18 @@
 """WARC derivatives: metadata and plain-text conversion records for response records.
 
 Every response yields two records that point back to it. The metadata record lists title, language and
-outlinks of the page (relative ones resolved) as WARC fields; the conversion record holds the page's
-text. Both keep the response's target address and date and name it in WARC-Refers-To; the conversion
-record keeps the digest and the content headers of its source. Records have their own block digests and
-ids derived from the response's id, so a rerun writes the same bytes.
-
-Defined results: null or empty payloads give a metadata record without fields and an empty conversion;
-a null address is left out; repeated responses give repeated records with the same ids. Long pages are
-read once from start to end.
+outlinks of the page (relative ones resolved) as WARC fields, after the status line and every header of
+the response; the conversion record holds the page's text. Both keep the response's target address and
+date and name it in WARC-Refers-To; the conversion record keeps the digest of its source and all its
+header lines, as one JSON array in WARC-Source-Headers. Records have their own block digests and ids
+derived from the response's id, so a rerun writes the same bytes. `warc_members` turns records into gzip
+members, `read_members` reads joined members back.
+
+Defined results: null or empty payloads give a metadata record without page fields and an empty
+conversion; a null address is left out; a response without a record id has no WARC-Refers-To, and its
+derivatives' ids come from its address, date, headers, payload and key; repeated responses give repeated
+records with the same ids; a folded header line joins the line before it. Long pages are read once from
+start to end. Columns of the input other than the named ones are not read.
 """
 
 from __future__ import annotations
@@ -17,6 +21,7 @@ import base64
 import gzip
 import hashlib
 import html
+import json
 import re
 import uuid
 from collections.abc import Iterator
@@ -25,6 +30,7 @@ from urllib.parse import urljoin, urlsplit
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import BinaryType, StructField, StructType
 
 _SPACE = uuid.uuid5(uuid.NAMESPACE_URL, "urn:cellbalance:warc")
 _PIECE = re.compile(
@@ -71,8 +77,22 @@ def read_page(page: str, address: str | None) -> tuple[str, str | None, str | No
     return "\n".join(x for x in lines if x), title, lang, list(dict.fromkeys(links))
 
 
-def _record(kind: str, source: dict, content_type: str, block: bytes, extra: dict) -> dict:
-    record_id = f"<urn:uuid:{uuid.uuid5(_SPACE, kind + (source['record_id'] or ''))}>"
+def header_lines(raw: str | None) -> list[str]:
+    """Status line and headers of a response, folded lines joined."""
+    lines = re.sub(r"\r?\n[ \t]+", " ", raw or "").splitlines()
+    return [x.strip() for x in lines if x.strip()]
+
+
+def _name_of(source: dict, payload: bytes) -> str:
+    """What the ids of a response's derivatives are made of."""
+    if source["record_id"]:
+        return source["record_id"]
+    rest = (source.get("key"), source["target_uri"], source["date"], source["http_headers"], digest(payload))
+    return json.dumps(["no record id", *rest])
+
+
+def _record(kind: str, source: dict, name: str, content_type: str, block: bytes, extra: dict) -> dict:
+    record_id = f"<urn:uuid:{uuid.uuid5(_SPACE, kind + name)}>"
     headers = {
         "WARC-Type": kind,
         "WARC-Record-ID": record_id,
@@ -100,22 +120,24 @@ def derive(source: dict) -> list[dict]:
     """The metadata and conversion records of one response."""
     payload = source["payload"] or b""
     text, title, lang, links = read_page(payload.decode("utf-8", "replace"), source["target_uri"])
-    fields = [("title", title), ("language", lang), *(("outlink", f"{a} {by}") for a, by in links)]
+    lines, name = header_lines(source["http_headers"]), _name_of(source, payload)
+    status = lines.pop(0) if lines and lines[0].upper().startswith("HTTP/") else None
+    fields = [("http-status", status), *(("http-header", x) for x in lines), ("title", title), ("language", lang), *(("outlink", f"{a} {by}") for a, by in links)]
     meta = "".join(f"{k}: {v}\r\n" for k, v in fields if v).encode()
-    source_headers = "; ".join(sorted(x.strip() for x in (source["http_headers"] or "").split("\r\n") if x.lower().startswith(("content-type", "content-language", "last-modified"))))
+    every = [status, *lines] if status else lines
     refers = {"WARC-Refers-To-Target-URI": source["target_uri"], "WARC-Refers-To-Date": source["date"]}
     conversion = _record(
-        "conversion", source, "text/plain; charset=utf-8", text.encode(),
-        {**refers, "WARC-Source-Payload-Digest": source["payload_digest"] or digest(payload), "WARC-Source-Headers": source_headers or None},
+        "conversion", source, name, "text/plain; charset=utf-8", text.encode(),
+        {**refers, "WARC-Source-Payload-Digest": source["payload_digest"] or digest(payload), "WARC-Source-Headers": json.dumps(every) if every else None},
     )
-    linked = _record("metadata", source, "application/warc-fields", meta, {"WARC-Concurrent-To": conversion["record_id"]})
+    linked = _record("metadata", source, name, "application/warc-fields", meta, {"WARC-Concurrent-To": conversion["record_id"]})
     return [linked, conversion]
 
 
 def serialised(record: dict, member: bool = True) -> bytes:
     """The record's bytes; as a gzip member of its own, without a time stamp, unless told otherwise."""
     raw = b"WARC/1.1\r\n" + record["headers"].encode() + b"\r\n" + record["block"] + b"\r\n\r\n"
-    return gzip.compress(raw, mtime=0) if member else raw
+    return gzip.compress(raw, 6, mtime=0) if member else raw
 
 
 _ARROW = pa.struct(
@@ -156,12 +178,28 @@ def page_responses(pages: DataFrame, date: str = "1970-01-01T00:00:00Z") -> Data
     )
 
 
-def warc_bytes(records: DataFrame, key_col: str) -> DataFrame:
-    """The key, record id and gzip member of each record, ready to be joined into WARC files."""
+def warc_members(records: DataFrame) -> DataFrame:
+    """The records with `member`, the gzip member of each, ready to be joined into WARC files."""
+    columns = records.columns
+    headers, block = columns.index("headers"), columns.index("block")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            members = [serialised({"headers": h, "block": b}) for h, b in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True)]
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(members, pa.binary())], names=[key_col, "record_id", "member"])
-
-    return records.select(key_col, "record_id", "headers", "block").mapInArrow(run, f"{key_col} long, record_id string, member binary")
+            for a in range(0, batch.num_rows, 128):
+                part = batch.slice(a, 128)
+                members = [serialised({"headers": h, "block": b}) for h, b in zip(part.column(headers).to_pylist(), part.column(block).to_pylist(), strict=True)]
+                yield pa.RecordBatch.from_arrays([*part.columns, pa.array(members, pa.binary())], names=[*columns, "member"])
+
+    return records.mapInArrow(run, StructType([*records.schema.fields, StructField("member", BinaryType())]))
+
+
+def read_members(joined: bytes) -> Iterator[tuple[dict[str, str], bytes]]:
+    """(headers, block) of each record of joined gzip members."""
+    raw = gzip.decompress(joined)
+    at = 0
+    while at < len(raw):
+        start, end = raw.index(b"\r\n", at) + 2, raw.index(b"\r\n\r\n", at)
+        held = dict(line.split(": ", 1) for line in raw[start:end].decode().split("\r\n"))
+        n = int(held["Content-Length"])
+        yield held, raw[end + 4 : end + 4 + n]
+        at = end + 4 + n + 4
