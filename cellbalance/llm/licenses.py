@@ -4,11 +4,12 @@ Each rule is a regex over the text's normalised words (ASCII lower case, words j
 with a label, a priority, a reliability and one keyword that every match holds. A keyword automaton
 reads the text once; only rules whose keyword occurs run. Detections are ordered by priority, then
 length, then place; one whose interval lies inside an accepted one of at least its priority is
-suppressed. The rules come from families of licences, their versions and the forms in which texts
-name them, several hundred together, plus clause signatures of the licences' own wording.
+suppressed. The rules are the hand-written ones of signatures.py: wording of the licences themselves,
+tags, grants, versions and names.
 
 Base phrases are found at every place their words stand in a row and are never suppressed. Defined
-results: null and empty texts have no words, no detections and score 0; repeated rows scan alike.
+results: null and empty texts have no words, no detections and score 0; detections equal in priority and
+length go by place, then by the order of the rules; repeated rows scan alike; long texts are read once.
 """
 
 from __future__ import annotations
@@ -25,65 +26,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from cellbalance.llm.common import ALNUM, runs
+from cellbalance.llm.signatures import SIGNATURES
 
 #: Base phrases and their labels.
 BASE = (("gnu general public license", "gpl"), ("apache license", "apache"), ("cc by", "cc-by"), ("mit license", "mit"))
 
-#: label: (names as regexes over words, versions, keyword of the names)
-FAMILIES = {
-    "gpl": (("gnu general public licen[sc]e", "gnu gpl", "gpl"), ("1", "2", "3"), ("general public", "gpl", "gpl")),
-    "lgpl": (("gnu (?:lesser|library) general public licen[sc]e", "gnu lgpl", "lgpl"), ("2", "2 1", "3"), ("general public", "lgpl", "lgpl")),
-    "agpl": (("gnu affero general public licen[sc]e", "agpl"), ("1", "3"), ("affero", "agpl")),
-    "gfdl": (("gnu free documentation licen[sc]e", "gfdl"), ("1 1", "1 2", "1 3"), ("free documentation", "gfdl")),
-    "apache": (("apache (?:software )?licen[sc]e", "asl"), ("1 0", "1 1", "2 0"), ("apache", "asl")),
-    "mit": (("mit licen[sc]e", "expat licen[sc]e", "x11 licen[sc]e"), (), ("mit", "expat", "x11")),
-    "bsd": (("(?:new |modified |simplified )?bsd licen[sc]e", "bsd [234] clause"), (), ("bsd", "bsd")),
-    "isc": (("isc licen[sc]e",), (), ("isc",)),
-    "mpl": (("mozilla public licen[sc]e", "mpl"), ("1 0", "1 1", "2 0"), ("mozilla", "mpl")),
-    "epl": (("eclipse public licen[sc]e", "epl"), ("1 0", "2 0"), ("eclipse", "epl")),
-    "cddl": (("common development and distribution licen[sc]e", "cddl"), ("1 0", "1 1"), ("common development", "cddl")),
-    "eupl": (("european union public licen[sc]e", "eupl"), ("1 0", "1 1", "1 2"), ("european union", "eupl")),
-    "cecill": (("cecill licen[sc]e", "cecill [bc]"), ("2 0", "2 1"), ("cecill", "cecill")),
-    "artistic": (("(?:perl )?artistic licen[sc]e",), ("1 0", "2 0"), ("artistic",)),
-    "zlib": (("zlib licen[sc]e", "zlib libpng licen[sc]e"), (), ("zlib", "zlib")),
-    "boost": (("boost software licen[sc]e", "bsl"), ("1 0",), ("boost", "bsl")),
-    "unlicense": (("the unlicense",), (), ("unlicense",)),
-    "wtfpl": (("wtfpl",), ("1", "2"), ("wtfpl",)),
-    "python": (("python software foundation licen[sc]e", "psf licen[sc]e"), ("2",), ("python", "psf")),
-    "ofl": (("sil open font licen[sc]e", "ofl"), ("1 0", "1 1"), ("open font", "ofl")),
-    "cc-by": (("cc by", "creative commons attribution"), ("2 0", "2 5", "3 0", "4 0"), ("cc", "creative")),
-    "cc-by-sa": (("cc by sa", "creative commons attribution share ?alike"), ("2 0", "2 5", "3 0", "4 0"), ("cc", "creative")),
-    "cc-by-nc": (("cc by nc", "creative commons attribution non ?commercial"), ("2 0", "2 5", "3 0", "4 0"), ("cc", "creative")),
-    "cc-by-nd": (("cc by nd", "creative commons attribution no ?deriv(?:ative)?s"), ("2 0", "2 5", "3 0", "4 0"), ("cc", "creative")),
-    "cc0": (("cc0", "creative commons zero"), ("1 0",), ("cc0", "creative")),
-    "public-domain": (("dedicated to the public domain", "released (?:in)?to the public domain"), (), ("public domain", "public domain")),
-    "proprietary": (("all rights reserved", "proprietary and confidential"), (), ("rights reserved", "proprietary")),
-}
-#: forms: (template, priority, reliability); {n} the name, {v} a version
-FORMS = (
-    ("{n}", 10, 0.6),
-    ("{n} (?:version |v)?{v}(?: or (?:any )?later(?: version)?)?", 30, 0.9),
-    ("(?:licensed|released|distributed|available|published) under (?:the |a )?(?:terms of (?:the )?)?{n}", 40, 0.95),
-    ("(?:licensed|released|distributed|available|published) under (?:the |a )?(?:terms of (?:the )?)?{n} (?:version |v)?{v}(?: or (?:any )?later(?: version)?)?", 50, 1.0),
-    ("spdx licen[sc]e identifier {n}(?: {v})?", 60, 1.0),
-)
-#: signatures of the licences' own wording: label, regex, keyword, priority, reliability
-CLAUSES = (
-    ("mit", "permission is hereby granted free of charge to any person obtaining a copy", "hereby granted", 70, 1.0),
-    ("mit", "the above copyright notice and this permission notice shall be included", "permission notice", 70, 0.9),
-    ("bsd", "redistributions of source code must retain the above copyright notice", "redistributions", 70, 1.0),
-    ("bsd", "redistributions in binary form must reproduce the above copyright notice", "redistributions", 70, 1.0),
-    ("isc", "permission to use copy modify and or distribute this software for any purpose", "permission to use", 70, 1.0),
-    ("gpl", "this program is free software you can redistribute it and or modify it", "free software", 70, 1.0),
-    ("lgpl", "this library is free software you can redistribute it and or modify it", "free software", 70, 1.0),
-    ("apache", "you may not use this file except in compliance with the license", "in compliance", 70, 1.0),
-    ("mpl", "this source code form is subject to the terms of the mozilla public license", "mozilla", 80, 1.0),
-    ("zlib", "this software is provided as is without any express or implied warranty in no event will the authors", "provided as is", 60, 0.8),
-    ("unlicense", "this is free and unencumbered software released into the public domain", "unencumbered", 80, 1.0),
-    ("boost", "permission is hereby granted free of charge to any person or organization", "hereby granted", 75, 1.0),
-    ("copyright", "copyright (?:c )?(?:19|20)[0-9][0-9](?: (?:19|20)[0-9][0-9])?", "copyright", 5, 0.2),
-)
-
 
 @dataclass(frozen=True)
 class Rule:
@@ -94,20 +41,13 @@ class Rule:
     reliability: float
 
 
-def rules() -> list[Rule]:
+_LINE = re.compile(r"(\S+) (\d+) (\d\.\d+) \[([^]]+)\] (.+)")
+
+
+def rules(text: str = SIGNATURES) -> list[Rule]:
     """Every signature, in order of priority."""
-    out = [Rule(label, pattern, key, p, r) for label, pattern, key, p, r in CLAUSES]
-    for label, (names, versions, keys) in FAMILIES.items():
-        for name, key in zip(names, keys, strict=True):
-            for form, priority, reliability in FORMS:
-                # a longer name of a family (share alike, lesser) outranks the name inside it
-                rank = priority + len(name) // 10
-                if "{v}" in form and "(?: {v})?" not in form:
-                    out += [Rule(label, form.format(n=name, v=v), key, rank, reliability) for v in versions]
-                else:
-                    form = form.replace("(?: {v})?", "(?: [0-9]+)*")
-                    out.append(Rule(label, form.format(n=name), key, rank, reliability))
-    return sorted(out, key=lambda r: (-r.priority, r.label, r.pattern))
+    parsed = [_LINE.fullmatch(line) for line in text.strip().splitlines()]
+    return sorted((Rule(m[1], m[5], m[4], int(m[2]), float(m[3])) for m in parsed), key=lambda r: (-r.priority, r.label, r.pattern))
 
 
 class Scanner:
@@ -125,7 +65,7 @@ class Scanner:
         """Accepted (start, end, rule), in characters of the normalised text."""
         run = sorted({i for _, ids in self.words.iter(normal) for i in ids})
         found = [(m.start(), m.end(), i) for i in run for m in self.rules[i][1].finditer(normal)]
-        found.sort(key=lambda d: (-self.rules[d[2]][0].priority, d[0] - d[1], d[0]))
+        found.sort(key=lambda d: (-self.rules[d[2]][0].priority, d[0] - d[1], d[0], d[2]))
         kept, reach = [], Reach([a for a, _, _ in found])
         for a, b, i in found:
             if reach.upto(a) < b:
