@@ -7,7 +7,8 @@ are counted again. When every splitter is within tolerance, rows look up their b
 Offsets of bins give each row its slot, so no shard is ever gathered by one task.
 
 The driver holds bins, not rows: at most 2048 at first and 256 for each bin cut, and a bin is cut only
-if it has over 1/(32 * shards) of all bytes or a splitter. Keys that many rows share are safe as long
+if it has over 1/(32 * shards) of all bytes, a splitter, or over `most_rows` rows, so the tasks that number
+rows grow with the table. Keys that many rows share are safe as long
 as the key ends in bits that tell rows apart; `text_order` puts equal texts next to each other and
 spreads them by a hash of the id. Rows that are equal in id and text stay in one bin.
 
@@ -40,7 +41,7 @@ def _bin_at(shift: int) -> Column:
     return F.shiftright(F.col("key"), shift)
 
 
-def histogram(keys: DataFrame, shards: int, tolerance: float, share: int) -> list[dict]:
+def histogram(keys: DataFrame, shards: int, tolerance: float, share: int, most_rows: int = 1 << 20) -> list[dict]:
     """Leaf bins (bin, shift, bytes, rows) in key order."""
     spark, shift, leaves = keys.sparkSession, KEY_BITS - FIRST_BITS, []
     total = keys.agg(F.sum("size")).first()[0] or 0
@@ -51,7 +52,7 @@ def histogram(keys: DataFrame, shards: int, tolerance: float, share: int) -> lis
         for b in leaves:
             first, last = before * shards // max(total, 1), (before + b["bytes"]) * shards // max(total, 1)
             before += b["bytes"]
-            wide = b["bytes"] * shards * share > total or first < last and b["bytes"] > tolerance * total / shards
+            wide = b["rows"] > most_rows or b["bytes"] * shards * share > total or first < last and b["bytes"] > tolerance * total / shards
             if b["shift"] == shift and shift > 0 and b["rows"] > 1 and wide:
                 cut.append(b)
         if not cut:
@@ -68,13 +69,13 @@ def histogram(keys: DataFrame, shards: int, tolerance: float, share: int) -> lis
 
 
 def histogram_shards(
-    df: DataFrame, key: Column, size: Column, shards: int = 16, tolerance: float = 0.001, share: int = 32, work: Work | None = None, ties: tuple[str, ...] = ()
+    df: DataFrame, key: Column, size: Column, shards: int = 16, tolerance: float = 0.001, share: int = 32, most_rows: int = 1 << 20, work: Work | None = None, ties: tuple[str, ...] = ()
 ) -> DataFrame:
     """df with shard (0 to shards - 1, near equal bytes, contiguous in key order) and slot."""
     spark = df.sparkSession
     keyed = df.withColumn("key", key).withColumn("size", size)
     counted = (work or Work(spark)).table(keyed.select("key", "size"), "keys")
-    leaves = histogram(counted, shards, tolerance, share)
+    leaves = histogram(counted, shards, tolerance, share, most_rows)
     total, before, rows_in, placed = sum(b["bytes"] for b in leaves), 0, [0] * shards, {}
     for b in leaves:
         shard = min(shards - 1, (2 * before + b["bytes"]) * shards // max(1, 2 * total))
