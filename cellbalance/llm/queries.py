@@ -5,19 +5,15 @@ from __future__ import annotations
 from collections.abc import Callable
 
 import public_tokenizers
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from cellbalance.llm import bpe, chat, fmindex, langid, licenses, oracles, quality, sharding, toxicity, warc
-from cellbalance.llm.common import Work, table
+from cellbalance.llm.common import Work, fold, table
 from cellbalance.llm.neardup import near_duplicates
 
-ORACLES: dict[str, str] = {"op1_near_duplicates": oracles.NEAR_DUPLICATES, "op2_contamination": oracles.CONTAMINATION}
-
-
-def _fold(modulus: int, of: str = "doc_id") -> Column:
-    """crc32 of the id as text, modulo."""
-    return F.crc32(F.col(of).cast("string").cast("binary")) % modulus
+_fold = fold
+ORACLES: dict[str, str] = {"op1_near_duplicates": oracles.NEAR_DUPLICATES, "op2_contamination": oracles.CONTAMINATION, "op9_tool_chat": oracles.TOOL_CHAT}
 
 
 def op1_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -31,6 +27,7 @@ def op2_contamination(spark: SparkSession, sf_dir: str) -> DataFrame:
         "n_words",
         "n_hit",
         F.size("items").cast("long").alias("n_items"),
+        F.size("spans").cast("long").alias("n_spans"),
         F.sha2(F.array_join("items", ",").cast("binary"), 256).alias("items_sha256"),
         F.expr("n_hit > 0 and 20 * n_hit >= n_words").alias("contaminated"),
     )
@@ -42,14 +39,16 @@ def op3_histogram_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op4_warc_derivatives(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return warc.derivatives(warc.page_responses(table(spark, sf_dir, "pages")), "page_id").withColumn("block", F.col("block").cast("string"))
+    records = warc.warc_members(warc.derivatives(warc.page_responses(table(spark, sf_dir, "pages")), "page_id"))
+    member = (F.length("member").cast("long").alias("member_bytes"), F.sha2("member", 256).alias("member_sha256"))
+    return records.select(*(F.col(c).cast("string").alias(c) if c == "block" else c for c in records.columns if c != "member"), *member)
 
 
 def op5_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs, labels = table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels")
-    model = toxicity.fit(docs, labels, _fold(5) != 0, work=Work(spark))
+    model = toxicity.fit(docs, labels, fold(5) != 0, work=Work(spark))
     scored = toxicity.score(docs, model)
-    return scored.select("doc_id", (_fold(5) == 0).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
+    return scored.select("doc_id", (fold(5) == 0).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
 
 
 def op6_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -75,8 +74,8 @@ def op9_tool_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op10_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
-    found = langid.identify(docs, langid.fit(docs, _fold(4) != 2))
-    return found.select("doc_id", (_fold(4) == 2).alias("held_out"), "lang_pred", "score")
+    found = langid.identify(docs, langid.fit(docs, fold(4) != 2))
+    return found.select("doc_id", (fold(4) == 2).alias("held_out"), "lang_pred", "score")
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {

@@ -18,4 +18,5 @@ def test_query_gives_the_rows_of_its_sql(spark, data, name):
     want = con.execute(queries.ORACLES[name])
     names = sorted(c[0] for c in want.description)
     assert names == sorted(df.columns)
-    assert sorted(map(tuple, df.select(names).collect())) == sorted(con.execute(f"select {', '.join(names)} from ({queries.ORACLES[name]})").fetchall())
+    found = con.execute(f"select {', '.join(names)} from ({queries.ORACLES[name]})").fetchall()
+    assert sorted(map(tuple, df.select(names).collect()), key=repr) == sorted(found, key=repr)
