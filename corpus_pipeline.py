@@ -2,6 +2,12 @@
 
 Each stage takes the rows its predecessor kept, as a written table, and drops what it rejects; all but
 the last return the columns of documents.
+
+Defined results: null texts and texts without a letter go with the first stage; a document of several
+labels is toxic for the fit if one says so. Rows are judged by themselves: rows that repeat an id but not
+a text, and rows without an id, each stay or go by their own text; of rows equal in id and text one stays.
+Of each near-duplicate group the row of least id stays, then of least text hash.
+An empty table gives an empty result. Texts are read whole at any length.
 """
 
 from __future__ import annotations
@@ -11,18 +17,17 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from cellbalance.llm import bpe, fmindex, langid, neardup, toxicity
-from cellbalance.llm.common import Work, table
-from cellbalance.llm.queries import _fold
+from cellbalance.llm.common import Work, fold, table
 
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Drops documents in no known language: without text or without a letter."""
-    return langid.in_known_language(docs, langid.fit(docs, _fold(4) != 2))
+    return langid.in_known_language(docs, langid.fit(docs, fold(4) != 2))
 
 
 def toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Drops documents that the toxicity grammar, fitted on the labelled ones, scores 0.5 or more."""
-    return toxicity.without_toxic(docs, toxicity.fit(docs, table(spark, sf_dir, "labels"), _fold(5) != 0, work=Work(spark)))
+    return toxicity.without_toxic(docs, toxicity.fit(docs, table(spark, sf_dir, "labels"), fold(5) != 0, work=Work(spark)))
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
