@@ -12,7 +12,6 @@ from cellbalance.llm import bpe, chat, fmindex, langid, licenses, oracles, quali
 from cellbalance.llm.common import Work, fold, table
 from cellbalance.llm.neardup import near_duplicates
 
-_fold = fold
 ORACLES: dict[str, str] = {"op1_near_duplicates": oracles.NEAR_DUPLICATES, "op2_contamination": oracles.CONTAMINATION, "op9_tool_chat": oracles.TOOL_CHAT}
 
 
