@@ -30,10 +30,11 @@ def hashed(leaves: DataFrame, p: int) -> DataFrame:
     return leaves.select(*CELL, "weight", F.pmod(F.xxhash64(leaf_id()), F.lit(p)).alias("rank_id"))
 
 
-def largest_first(leaves: DataFrame, p: int, groups: int = 1) -> DataFrame:
-    """Longest-processing-time greedy. With several groups, leaves and ranks are dealt into groups first
-    so that no task sees them all; one group is the plain heuristic for small leaf tables."""
-    groups = max(1, min(groups, p))
+def largest_first(leaves: DataFrame, p: int, ranks_a_group: int = 1024) -> DataFrame:
+    """Longest-processing-time greedy. Leaves and ranks are dealt into groups of `ranks_a_group` ranks, one
+    task each, so what a task holds follows the ranks of its group; up to that many ranks it is the plain
+    heuristic."""
+    groups = -(-p // ranks_a_group)
 
     def run(part: pd.DataFrame) -> pd.DataFrame:
         g = int(part["g"].iloc[0])

@@ -2,30 +2,11 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
-
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from cellbalance.operators.octree import leaf_id
-
-
-def cut_lineage(df: DataFrame) -> DataFrame:
-    """Reliable checkpoint in the folder the cluster names; a local one only where none is set."""
-    sc = df.sparkSession.sparkContext
-    if not sc.getCheckpointDir():
-        sc.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", None) or "file://" + tempfile.mkdtemp(prefix="cellbalance-"))
-    return df.checkpoint()
-
-
-def written(df: DataFrame) -> DataFrame:
-    """df as a table in the shared folder: rereads neither lineage nor cache."""
-    spark = df.sparkSession
-    root = spark.conf.get("spark.checkpoint.dir", None) or "file://" + tempfile.mkdtemp(prefix="cellbalance-")
-    path = f"{root}/table-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+from cellbalance.operators.store import cut_lineage, written  # noqa: F401  callers take them from here
 
 
 def graph(leaves: DataFrame, pairs: DataFrame) -> DataFrame:
@@ -103,22 +84,27 @@ def step(state: DataFrame, edges: DataFrame, p: int, scheme: str = "first_order"
     return moved, flow
 
 
-def balance(old: DataFrame, pairs: DataFrame, p: int, iters: int = 10, tol: float | None = None, scheme: str = "first_order", direction: str = "push", pick: str = "heavy", every: int = 2) -> DataFrame:
-    """Assignment after `iters` rounds from the present one (level, cx, cy, cz, weight, rank_id).
+def run(state: DataFrame, edges: DataFrame, p: int, iters: int = 10, tol: float | None = None, scheme: str = "first_order", direction: str = "push", pick: str = "heavy", every: int = 2) -> DataFrame:
+    """state (leaf, weight, rank_id and others) after `iters` rounds over edges (leaf, other, both ways).
 
-    The plan is cut every few rounds. With `tol` a round ends the loop once the largest load is within
-    the tolerance of the mean; one number comes to the driver then. direction may be `alternate`.
+    The plan is cut every few rounds. With `tol` the rounds end once the largest load is within the
+    tolerance of the mean; each round is written then before it is looked at. direction may be `alternate`.
     """
-    state = written(old.select(leaf_id().alias("leaf"), "level", "cx", "cy", "cz", "weight", F.col("rank_id").cast("long").alias("rank_id")))
-    edges, last = written(graph(state, pairs)), None
+    state, edges, last = written(state), written(edges), None
     for k in range(iters):
         way = ("push", "pull")[k % 2] if direction == "alternate" else direction
         state, last = step(state, edges, p, scheme, way, pick, last)
-        if (k + 1) % every == 0 and k + 1 < iters:
+        if tol is not None or ((k + 1) % every == 0 and k + 1 < iters):
             state = written(state)
             last = written(last) if scheme == "second_order" else None
         if tol is not None:
             most = rank_loads(state, p).agg(F.max("load"), F.sum("load")).first()
             if most[0] * p <= (1 + tol) * (most[1] or 0):
                 break
-    return state.select("level", "cx", "cy", "cz", "weight", "rank_id")
+    return state
+
+
+def balance(old: DataFrame, pairs: DataFrame, p: int, iters: int = 10, **how) -> DataFrame:
+    """Assignment after `iters` rounds from the present one (level, cx, cy, cz, weight, rank_id)."""
+    state = old.select(leaf_id().alias("leaf"), "level", "cx", "cy", "cz", "weight", F.col("rank_id").cast("long").alias("rank_id"))
+    return run(state, graph(state, pairs), p, iters, **how).select("level", "cx", "cy", "cz", "weight", "rank_id")

@@ -20,6 +20,11 @@ class Domain:
     lo: tuple[int, int, int] | None = None
     hi: tuple[int, int, int] | None = None
 
+    def __post_init__(self):
+        # leaf ids hold 19 bits a coordinate, keys 3 * 20 bits
+        if max(self.roots) << self.max_level > 1 << 19:
+            raise ValueError("the finest grid has more than 2^19 cells along an axis: cut the box into several domains")
+
     @property
     def shifts(self) -> tuple[int, ...]:
         """Bits of a root brick along each axis."""

@@ -16,7 +16,7 @@ def max_load(asg: DataFrame, p: int) -> DataFrame:
     return loads.select("max_load", "total", F.round(F.col("total") / p, 6).alias("mean_load"), F.round(F.expr(f"case when total = 0 then 1.0 else max_load * {p}.0D / total end"), 6).alias("ratio"))
 
 
-def trailing_mean(df: DataFrame, value: str, order: str, by: list[str], k: int = 100) -> Column:
+def trailing_mean(value: str, order: str, by: list[str], k: int = 100) -> Column:
     return F.avg(value).over(Window.partitionBy(*by).orderBy(order).rowsBetween(-(k - 1), 0))
 
 
@@ -52,8 +52,9 @@ def locality(asg: DataFrame, faces: DataFrame) -> DataFrame:
 
 def fragments(asg: DataFrame, faces: DataFrame) -> DataFrame:
     """Connected pieces of each rank's leaves: least labels spread over faces within ranks."""
-    from cellbalance.operators.diffusion import graph, written
+    from cellbalance.operators.diffusion import graph
     from cellbalance.operators.octree import leaf_id
+    from cellbalance.operators.store import written
 
     state = asg.select(leaf_id().alias("leaf"), "rank_id")
     inside = with_ranks(faces, asg).filter("src_rank = dst_rank")
@@ -89,21 +90,25 @@ def granularity(leaves: DataFrame, p: int) -> DataFrame:
     return leaves.agg(F.max("weight").alias("w_max"), F.round(F.max("weight") * F.lit(float(p)) / F.sum("weight"), 6).alias("granularity"))
 
 
-#: Growth of a balancer's state with the ranks: share of all leaf records one rank holds.
-MODELS = {"morton": "all", "hilbert": "all", "diffusion": "near", "multilevel_kway": "all_twice", "sfc_seeded_kway": "all_twice", "unified_repartition": "all_half"}
+#: What a rank must hold of all leaves, in bytes a leaf: a record of 24 for the curves' all-gather; the graph
+#: (a record and 26 arcs of 16) once for repartitioning, which starts from the partition at hand, and twice
+#: with the coarser levels for the k-way variants. Diffusion holds its own leaves and its neighbours' loads.
+RECORD, ARCS = 24, 26 * 16
+BYTES_A_LEAF = {"morton": RECORD, "hilbert": RECORD, "multilevel_kway": 2 * (RECORD + ARCS), "sfc_seeded_kway": 2 * (RECORD + ARCS), "unified_repartition": RECORD + ARCS}
 
 
-def memory_model(ps: DataFrame, leaves_per_rank: int = 8, record: int = 24, degree: int = 26) -> DataFrame:
-    """algo, p, bytes per rank and bytes of all ranks: curves hold every leaf, diffusion its own and its neighbours' loads."""
-    every = F.col("p") * leaves_per_rank * record
-    own = F.lit(leaves_per_rank * record + degree * 16).cast("long")
-    parts = []
-    for algo, kind in MODELS.items():
-        per = {"all": every, "near": own, "all_twice": every * 2, "all_half": F.expr(f"(p * {leaves_per_rank * record}) div 2")}[kind]
-        parts.append(ps.select(F.lit(algo).alias("algo"), "p", per.cast("long").alias("rank_bytes"), (per.cast("decimal(38,0)") * F.col("p")).cast("decimal(38,0)").alias("all_bytes")))
-    out = parts[0]
-    for x in parts[1:]:
-        out = out.union(x)
+def rank_budget(node_bytes: int = 16 << 30, ranks_a_node: int = 64, share: float = 0.125) -> int:
+    """Bytes a rank has for balancing: its part of the node's memory, of which particles take the rest."""
+    return int(node_bytes / ranks_a_node * share)
+
+
+def memory_model(ps: DataFrame, leaves_per_rank: int = 8) -> DataFrame:
+    """algo, p, bytes per rank and bytes of all ranks: only diffusion's do not grow with p."""
+    own = F.lit(leaves_per_rank * RECORD + ARCS).cast("long")
+    out = None
+    for algo, per in [*((a, F.col("p") * leaves_per_rank * b) for a, b in BYTES_A_LEAF.items()), ("diffusion", own)]:
+        row = ps.select(F.lit(algo).alias("algo"), "p", per.cast("long").alias("rank_bytes"), (per.cast("decimal(38,0)") * F.col("p")).cast("decimal(38,0)").alias("all_bytes"))
+        out = row if out is None else out.union(row)
     return out
 
 

@@ -8,6 +8,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from cellbalance.operators.domain import Domain, cell_of, uniform_cells
+from cellbalance.operators.store import written
 
 CELL = ["level", "cx", "cy", "cz"]
 STENCILS = {
@@ -90,8 +91,18 @@ def adaptive(spark: SparkSession, pyr: DataFrame, dom: Domain, p: int, factor: i
     return weighed(leaves_of(over_mean(pyr, dom, p, factor).select(*CELL), spark, dom), pyr)
 
 
-def adapt(leaves: DataFrame, pyr: DataFrame, dom: Domain, p: int, mode: str = "both", factor: int = 1, coarsen_at_most: int = 0) -> DataFrame:
-    """One pass: leaves over the threshold split once, eight light siblings merge."""
+def adapt(
+    leaves: DataFrame, pyr: DataFrame, dom: Domain, p: int, mode: str = "both", factor: int = 1, coarsen_at_most: int = 0, max_delta: int = 1, keep_empty: bool = True
+) -> DataFrame:
+    """`max_delta` passes, in each of which leaves over the threshold split once and eight light siblings
+    merge, so a leaf changes by as many levels at most. Without `keep_empty` the forest is sparse: leaves
+    of weight 0 are left out at the end."""
+    for k in range(max_delta):
+        leaves = _pass(leaves if k == 0 else written(leaves), pyr, dom, p, mode, factor, coarsen_at_most)
+    return leaves if keep_empty else leaves.filter("weight > 0")
+
+
+def _pass(leaves: DataFrame, pyr: DataFrame, dom: Domain, p: int, mode: str, factor: int, coarsen_at_most: int) -> DataFrame:
     if mode not in ("both", "refine", "coarsen"):
         raise ValueError(f"unknown mode {mode}")
     hot = over_mean(pyr, dom, p, factor).select(*CELL) if mode != "coarsen" else leaves.select(*CELL).limit(0)
@@ -122,8 +133,10 @@ def close_two_to_one(interior: DataFrame, dom: Domain, kind: str = "corner") ->
     return reduce(DataFrame.union, [c.select(*CELL) for c in closed])
 
 
-def closed_leaves(spark: SparkSession, leaves: DataFrame, pyr: DataFrame, dom: Domain, kind: str = "corner") -> DataFrame:
-    return weighed(leaves_of(close_two_to_one(interior_of(leaves, dom), dom, kind), spark, dom), pyr)
+def closed_leaves(spark: SparkSession, leaves: DataFrame, pyr: DataFrame, dom: Domain, kind: str = "corner", keep_empty: bool = True) -> DataFrame:
+    """The leaves closed under the two-to-one rule; without `keep_empty` those of weight 0 are left out."""
+    out = weighed(leaves_of(close_two_to_one(interior_of(leaves, dom), dom, kind), spark, dom), pyr)
+    return out if keep_empty else out.filter("weight > 0")
 
 
 def locate(points: DataFrame, leaves: DataFrame, dom: Domain) -> DataFrame:

@@ -21,6 +21,9 @@ class RebalanceConfig:
     iters: int = 10
     connectivity: str = "corner"
     closed: bool = True
+    weight: str | None = None  # a column of the points; none: each point counts one
+    factor: int = 1  # leaves over the mean load divided by this are refined
+    max_delta: int = 1
 
 
 @dataclass
@@ -51,8 +54,8 @@ def rebalance(spark: SparkSession, points: DataFrame, leaves: DataFrame, asg: Da
         seconds[step], start = time.time() - start, time.time()
         return df
 
-    pyr = done("weights", octree.pyramid(points, dom))
-    new = octree.adapt(octree.weighed(leaves.select(*CELL), pyr), pyr, dom, cfg.p)
+    pyr = done("weights", octree.pyramid(points, dom, F.col(cfg.weight) if cfg.weight else None))
+    new = octree.adapt(octree.weighed(leaves.select(*CELL), pyr), pyr, dom, cfg.p, factor=cfg.factor, max_delta=cfg.max_delta)
     new = done("adapt", octree.closed_leaves(spark, new, pyr, dom, cfg.connectivity) if cfg.closed else new)
     old = inherit(new, asg if asg is not None else baselines.one_to_one(octree.weighed(leaves.select(*CELL), pyr)), dom)
     if cfg.algorithm == "diffusion":

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from cellbalance.operators.diffusion import written
+from cellbalance.operators.store import written
 
 AXES = ("gx", "gy", "gz")
 
@@ -43,7 +43,7 @@ def rcb(cells: DataFrame, levels: int, axis: str = "cycle") -> DataFrame:
 
 
 def multisection(cells: DataFrame, slabs: tuple[int, int, int]) -> DataFrame:
-    """k slabs per axis, each axis inside the slabs of the one before."""
+    """k slabs per axis, each axis inside the slabs of the one before. Weights may be counts or times."""
     out = cells.withColumn("part_id", F.lit(0).cast("long"))
     for axis, k in zip(AXES, slabs, strict=True):
         out = _split(out, axis, k)
@@ -67,19 +67,44 @@ def kdtree(cells: DataFrame, levels: int, face: float = 0.1) -> DataFrame:
     return out
 
 
-def voronoi(points: DataFrame, seeds: DataFrame, iters: int = 0) -> DataFrame:
+def nearest(points: DataFrame, seeds: DataFrame) -> DataFrame:
     """points (gx, gy, gz, weight) with part_id of the nearest seed (seed, sx, sy, sz); ties go to the
-    smaller seed. Seeds are ranks, so their table is as small as p; each iteration moves them to the
-    weighted centre of their cell."""
+    smaller seed. Seeds lie in grid cells; a point probes the 27 cells around it and is done once the best
+    distance is at most the cell's side. The others meet the next grid, with cells twice as wide, until one
+    cell holds every seed; no point meets all seeds but for the last grid."""
+    seeds = written(seeds.select("seed", *[F.col(s).cast("long").alias(s) for s in ("sx", "sy", "sz")]))
+    box = seeds.agg(F.count("*"), *[f(s) for s in ("sx", "sy", "sz") for f in (F.min, F.max)]).first()
+    if not box[0]:
+        return points.select(*AXES, "weight", F.lit(None).cast("long").alias("part_id")).limit(0)
+    widest = max(box[2] - box[1], box[4] - box[3], box[6] - box[5], 1)
+    shift = max(0, int(widest / max(1.0, box[0] ** (1 / 3))).bit_length())
+    last = widest.bit_length() + 1
+    steps = F.array(*[F.struct(*[F.lit(v).cast("long").alias(n) for v, n in zip((x, y, z), "xyz", strict=True)]) for x in (-1, 0, 1) for y in (-1, 0, 1) for z in (-1, 0, 1)])
+    left, found = written(points.select(*AXES, "weight")), None
+    while True:
+        held = seeds.select("seed", "sx", "sy", "sz", *[F.shiftright(s, shift).alias(f"b{s[1]}") for s in ("sx", "sy", "sz")])
+        if shift >= last:  # few cells: every seed lies in a cell that any point of the box probes
+            held = held.withColumns({f"b{n}": F.lit(0).cast("long") for n in "xyz"})
+        cells = left.withColumn("s", F.explode(steps)) if shift < last else left
+        at = [(F.shiftright(g, shift) + F.col(f"s.{g[1]}")).alias(f"b{g[1]}") if shift < last else F.lit(0).cast("long").alias(f"b{g[1]}") for g in AXES]
+        apart = sum(((F.col(g) - F.col(s)) * (F.col(g) - F.col(s)) for g, s in zip(AXES, ("sx", "sy", "sz"), strict=True)), F.lit(0).cast("long"))
+        best = cells.select(*AXES, "weight", *at).join(held, ["bx", "by", "bz"]).groupBy(*AXES, "weight").agg(F.min(F.struct(apart.alias("d"), "seed")).alias("best"))
+        here = best.filter(f"best.d <= {1 << (2 * min(shift, 31))}") if shift < last else best
+        here = written(here.select(*AXES, "weight", F.col("best.seed").alias("part_id")))
+        found = here if found is None else found.union(here)
+        left = written(left.join(here.select(*AXES, "weight"), [*AXES, "weight"], "left_anti"))
+        if left.isEmpty():
+            return found
+        shift = min(shift + 1, last)
+
+
+def voronoi(points: DataFrame, seeds: DataFrame, iters: int = 0) -> DataFrame:
+    """Cells of the nearest seed; each iteration moves the seeds to the weighted centres of their cells."""
     for k in range(iters + 1):
-        d = sum(((F.col(g) - F.col(s)) * (F.col(g) - F.col(s)) for g, s in zip(AXES, ("sx", "sy", "sz"), strict=True)), F.lit(0))
-        near = F.min_by("seed", F.struct("_d", "seed")).alias("part_id")
-        keyed = points.select(*AXES, "weight")
-        found = keyed.join(F.broadcast(seeds)).withColumn("_d", d).groupBy(*AXES, "weight").agg(near)
+        found = nearest(points, seeds)
         if k == iters:
             return found
-        centres = found.groupBy(F.col("part_id").alias("seed")).agg(*[F.floor(F.sum(F.col(g) * F.col("weight")) / F.sum("weight")).cast("long").alias(s) for g, s in zip(AXES, ("sx", "sy", "sz"), strict=True)])
-        seeds = seeds.sparkSession.createDataFrame(centres.collect(), centres.schema)
+        seeds = found.groupBy(F.col("part_id").alias("seed")).agg(*[F.floor(F.sum(F.col(g) * F.col("weight")) / F.sum("weight")).cast("long").alias(s) for g, s in zip(AXES, ("sx", "sy", "sz"), strict=True)])
     raise AssertionError
 
 

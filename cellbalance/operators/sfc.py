@@ -2,38 +2,54 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from cellbalance.functions.curves import hilbert_key, morton_key
 from cellbalance.operators.domain import Domain
 from cellbalance.operators.octree import CELL
+from cellbalance.operators.store import written
+
+CURVES = {"morton": morton_key, "hilbert": hilbert_key}
 
 
-def keyed(leaves: DataFrame, dom: Domain, curve: str = "hilbert") -> DataFrame:
-    """Leaves with curve_key: the key of the lower corner, with the bits below the leaf cleared."""
+def keyed(leaves: DataFrame, dom: Domain, curve: str = "hilbert", root_order: str = "curve") -> DataFrame:
+    """Leaves with curve_key: the key of the lower corner, with the bits below the leaf cleared. The curve
+    runs through the grid of roots as well, or (root_order `lexicographic`) through each root by itself,
+    roots taken in order of x, y, z."""
+    if root_order not in ("curve", "lexicographic"):
+        raise ValueError(f"unknown root order {root_order}")
     corner = [F.expr(f"shiftleft({c}, cast({dom.max_level} - level as int))") for c in CELL[1:]]
-    make = {"morton": morton_key, "hilbert": hilbert_key}[curve]
     low = F.expr(f"cast(3 * ({dom.max_level} - level) as int)")
-    key = make(*corner, dom.key_bits)
+    if root_order == "curve":
+        key = CURVES[curve](*corner, dom.key_bits)
+    else:
+        inside = [F.pmod(c, F.lit(1 << dom.max_level)).cast("long") for c in corner]
+        root = [F.shiftright(c, dom.max_level) for c in corner]
+        nth = (root[0] * dom.roots[1] + root[1]) * dom.roots[2] + root[2]
+        key = F.shiftleft(nth, 3 * dom.max_level) + (CURVES[curve](*inside, dom.max_level) if dom.max_level else F.lit(0))
     return leaves.withColumn("_key", key).withColumn("curve_key", F.call_function("shiftleft", F.call_function("shiftright", "_key", low), low)).drop("_key")
 
 
-def prefix(df: DataFrame, order: str, weight: str, buckets: int = 256) -> DataFrame:
+def prefix(df: DataFrame, order: str, weight: str) -> DataFrame:
     """df with `before`, the weight in front of each row, and `total`.
 
-    Two levels: ranges of the order key are summed (at most `buckets` rows), their running sum is
-    broadcast back, and rows add up inside their own range, so no task sees the whole order.
+    Two levels: rows are dealt into ranges of the order key whose bounds are sampled, so that ranges hold
+    like numbers of rows however the keys cluster, and written with the number of their range. The sums of
+    the ranges, one row a task, are added up and broadcast back; rows add up inside their own range, so no
+    task sees the whole order.
     """
-    edges = df.agg(F.min(order).alias("_lo"), F.max(order).alias("_hi"))
-    ranged = df.join(F.broadcast(edges)).withColumn("_bucket", F.expr(f"cast((cast({order} as decimal(38,0)) - _lo) * {buckets} div (cast(_hi as decimal(38,0)) - _lo + 1) as int)"))
-    sums = ranged.groupBy("_bucket").agg(F.sum(weight).alias("_sum"))
-    w = Window.orderBy("_bucket").rowsBetween(Window.unboundedPreceding, -1)
-    offsets = sums.select("_bucket", F.coalesce(F.sum("_sum").over(w), F.lit(0)).alias("_offset"))
-    whole = sums.agg(F.sum("_sum").alias("total"))
-    inside = Window.partitionBy("_bucket").orderBy(order).rowsBetween(Window.unboundedPreceding, -1)
+    ranged = written(df.repartitionByRange(order).withColumn("_range", F.spark_partition_id()))
+    sums = ranged.groupBy("_range").agg(F.sum(weight).alias("_sum"))
+    w = Window.orderBy("_range").rowsBetween(Window.unboundedPreceding, -1)
+    offsets = sums.select("_range", F.coalesce(F.sum("_sum").over(w), F.lit(0)).alias("_offset"), F.sum("_sum").over(Window.partitionBy()).alias("total"))
+    inside = Window.partitionBy("_range").orderBy(order).rowsBetween(Window.unboundedPreceding, -1)
     ranked = ranged.withColumn("_own", F.coalesce(F.sum(weight).over(inside), F.lit(0)))
-    return ranked.join(F.broadcast(offsets), "_bucket").join(F.broadcast(whole)).withColumn("before", F.col("_own") + F.col("_offset")).drop("_bucket", "_own", "_offset", "_lo", "_hi")
+    return ranked.join(F.broadcast(offsets), "_range").withColumn("before", F.col("_own") + F.col("_offset")).drop("_range", "_own", "_offset")
 
 
 def midpoint_rank(p: int) -> str:
@@ -48,101 +64,133 @@ def cut(ordered: DataFrame, order: str, p: int, how: str = "midpoint") -> DataFr
         return prefix(ordered, order, "weight").withColumn("rank_id", F.expr(midpoint_rank(p))).drop("before", "total")
     if how == "count":
         numbered = prefix(ordered.withColumn("_one", F.lit(1).cast("long")), order, "_one")
-        return numbered.withColumn("rank_id", F.expr(f"before * {p} div total").cast("long")).drop("before", "total", "_one")
+        return numbered.withColumn("rank_id", F.expr(f"cast(cast(before as decimal(38,0)) * {p} div total as bigint)")).drop("before", "total", "_one")
     if how not in ("greedy", "optimal"):
         raise ValueError(f"unknown cut {how}")
-    placed = prefix(ordered, order, "weight")
-    known = bounded_weights(placed, order)
-    limit = (least_capacity([w for _, w in known], p) if known is not None else capacity(placed, order, p)) if how == "optimal" else None
-    starts = starts_of(known, p, limit) if known is not None else fill(placed, order, p, limit)
-    bounds = F.array(*[F.lit(s) for s in starts[1:]]).cast("array<bigint>")
-    return placed.withColumn("rank_id", F.size(F.filter(bounds, lambda b: b <= F.col(order))).cast("long")).drop("before", "total")
+    rows = written(ordered)
+    limit = least_capacity(rows, order, p) if how == "optimal" else None
+    starts = run_starts(rows, order, p, limit).withColumn("_start", F.lit(1).cast("long"))
+    flagged = rows.join(starts, order, "left").withColumn("_start", F.coalesce("_start", F.lit(0).cast("long")))
+    return prefix(flagged, order, "_start").withColumn("rank_id", F.col("before") + F.col("_start") - 1).drop("before", "total", "_start")
 
 
-def bounded_weights(placed: DataFrame, order: str, most_rows: int = 1_000_000) -> list[tuple[int, int]] | None:
-    """(order key, weight) of a leaf table of at most `most_rows` rows, in order; None beyond that."""
-    if placed.limit(most_rows + 1).count() > most_rows:
-        return None
-    return sorted((r[0], r[1]) for r in placed.select(order, "weight").collect())
+def _in_order(rows: DataFrame, order: str) -> DataFrame:
+    """Keys and weights in order through one task, which reads them as a stream: leaves, not rows."""
+    return rows.select(F.col(order).cast("long").alias(order), F.col("weight").cast("long").alias("weight")).repartition(1).sortWithinPartitions(order)
 
 
-def starts_of(rows: list[tuple[int, int]], p: int, limit: int | None = None) -> list[int]:
+def run_starts(rows: DataFrame, order: str, p: int, limit: int | None = None) -> DataFrame:
     """Order keys at which the runs start: each run takes rows up to a load of `limit`, or (greedy) up to
-    the mean of what is left."""
-    if not rows:
-        return []
-    left, starts, load = sum(w for _, w in rows), [rows[0][0]], 0
-    aim = limit if limit is not None else -(-left // p)
-    for key, w in rows:
-        if load + w > aim and key > starts[-1] and len(starts) < p:
-            left -= load
-            starts.append(key)
-            load, aim = 0, limit if limit is not None else -(-left // (p - len(starts) + 1))
-        load += w
-    return starts
-
-
-def fill(placed: DataFrame, order: str, p: int, limit: int | None = None) -> list[int]:
-    """starts_of() on a table of any size: p small aggregates, one number each to the driver."""
-    row = placed.agg(F.max("total").alias("t"), F.min(order).alias("k")).first()
-    if row["t"] is None:
-        return []
-    starts, done, total = [row["k"]], 0, row["t"]
-    for r in range(p - 1):
-        aim = done + limit if limit is not None else done + -(-(total - done) // (p - r))
-        over = placed.filter((F.col("before") + F.col("weight") > aim) & (F.col(order) > starts[-1])).agg(F.min(order).alias("k")).first()["k"]
-        if over is None:
-            break
-        starts.append(over)
-        done = placed.filter(F.col(order) == over).agg(F.min("before").alias("b")).first()["b"]
-    return starts
-
-
-def least_capacity(weights: list[int], p: int) -> int:
-    """The least largest load of p contiguous runs, by bisection on the load."""
-    low = max([*weights, -(-sum(weights) // p)], default=0)
-    high = low + max(weights, default=0)
+    the mean of what is left. One stream over keys and weights holds a batch at a time; the starts stay a
+    table."""
+    total = rows.agg(F.coalesce(F.sum("weight"), F.lit(0))).first()[0]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        seen, done, begun = 0, 0, 0  # weight read, weight of closed runs, runs begun
+        for batch in batches:
+            keys, found = batch.column(0).to_numpy(), []
+            ends = seen + np.cumsum(batch.column(1).to_numpy())
+            if not len(keys):
+                continue
+            at = 0
+            if not begun:
+                found, begun, at = [keys[0]], 1, 1
+            while begun < p:
+                aim = limit if limit is not None else -(-(total - done) // (p - begun + 1))
+                j = max(at, int(np.searchsorted(ends, done + aim, "right")))
+                if j >= len(keys):
+                    break
+                done = int(ends[j - 1]) if j else seen
+                found.append(keys[j])
+                begun, at = begun + 1, j + 1
+            seen = int(ends[-1])
+            yield pa.RecordBatch.from_arrays([pa.array(found, pa.int64())], names=[order])
+
+    return _in_order(rows, order).mapInArrow(run, f"{order} long")
+
+
+def runs_needed(rows: DataFrame, order: str, limits: list[int]) -> dict[int, int]:
+    """How many runs each load limit needs, all limits in one stream over keys and weights."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        most, seen = np.array(limits, np.int64), 0
+        done, begun = np.zeros(len(most), np.int64), np.ones(len(most), np.int64)
+        for batch in batches:
+            ends = seen + np.cumsum(batch.column(1).to_numpy())
+            if not len(ends):
+                continue
+            while True:
+                j = np.searchsorted(ends, done + most, "right")
+                live = j < len(ends)
+                if not live.any():
+                    break
+                done = np.where(live, np.where(j > 0, ends[np.minimum(j, len(ends) - 1) - 1], seen), done)
+                begun += live
+            seen = int(ends[-1])
+        yield pa.RecordBatch.from_arrays([pa.array(most), pa.array(begun)], names=["most", "runs"])
+
+    return {r["most"]: r["runs"] for r in _in_order(rows, order).mapInArrow(run, "most long, runs long").collect()}
+
+
+def least_capacity(rows: DataFrame, order: str, p: int, probes: int = 32) -> int:
+    """The least largest load of p contiguous runs: each round tries `probes` loads between the bounds."""
+    row = rows.agg(F.coalesce(F.max("weight"), F.lit(0)), F.coalesce(F.sum("weight"), F.lit(0))).first()
+    low = max(row[0], -(-row[1] // p))
+    high = low + row[0]  # always enough
     while low < high:
-        mid, runs, load = (low + high) // 2, 1, 0
-        for w in weights:
-            if load + w > mid:
-                runs, load = runs + 1, 0
-            load += w
-        low, high = (low, mid) if runs <= p else (mid + 1, high)
+        tried = sorted({low + (high - 1 - low) * k // (probes - 1) for k in range(probes)})
+        runs = runs_needed(rows, order, tried)
+        fits = [x for x in tried if runs[x] <= p]
+        misses = [x for x in tried if runs[x] > p]
+        high = min([high, *fits])
+        low = max([low, *(x + 1 for x in misses)])
     return low
 
 
-def capacity(placed: DataFrame, order: str, p: int) -> int:
-    """least_capacity() on a table of any size: every probe is a fill of p aggregates."""
-    row = placed.agg(F.max("weight").alias("w"), F.max("total").alias("t")).first()
-    low = max(row["w"] or 0, -(-(row["t"] or 0) // p))
-    high = low + (row["w"] or 0)
-    while low < high:
-        mid = (low + high) // 2
-        last = fill(placed, order, p, mid)[-1]
-        fits = placed.filter(F.col(order) >= last).agg(F.sum("weight")).first()[0] <= mid
-        low, high = (low, mid) if fits else (mid + 1, high)
-    return low
+def balance(leaves: DataFrame, dom: Domain, p: int, curve: str = "hilbert", how: str = "midpoint", root_order: str = "curve") -> DataFrame:
+    """level, cx, cy, cz, weight, rank_id."""
+    return cut(keyed(leaves, dom, curve, root_order), "curve_key", p, how).select(*CELL, "weight", "rank_id")
 
 
-def balance(leaves: DataFrame, dom: Domain, p: int, curve: str = "hilbert", how: str = "midpoint") -> DataFrame:
-    """level, cx, cy, cz, weight, rank_id."""
-    return cut(keyed(leaves, dom, curve), "curve_key", p, how).select(*CELL, "weight", "rank_id")
+def cut_each(ordered: DataFrame, by: str, order: str, p: int, bits: int) -> DataFrame:
+    """The midpoint cut of many orders at once, one for each value of `by` (a small non-negative number):
+    `by` stands above the `bits` bits of the key, so that a large order is dealt over several tasks."""
+    key = F.shiftleft(F.col(by).cast("long"), bits) + F.col(order)
+    placed = prefix(ordered.withColumn("_both", key), "_both", "weight").drop("total")
+    sums = placed.groupBy(by).agg(F.min("before").alias("_first"), F.sum("weight").alias("total"))
+    own = placed.join(sums, by).withColumn("before", F.col("before") - F.col("_first"))
+    return own.withColumn("rank_id", F.expr(midpoint_rank(p))).drop("before", "_first", "_both")
 
 
 def ranges_for_box(dom: Domain, low: tuple[int, int, int], high: tuple[int, int, int], level: int, curve: str = "morton") -> list[tuple[int, int]]:
-    """Runs of curve keys that cover a box of level cells, for pruning a layout sorted by key."""
+    """Runs of curve keys that cover a box of level cells, for pruning a layout sorted by key. The walk goes
+    down the tree and stops at nodes that lie inside the box, so its length follows the box's surface."""
     from cellbalance.functions.curves import hilbert_index
 
-    def key(c):
-        if curve == "hilbert":
-            return hilbert_index(c, dom.key_bits - dom.max_level + level)
-        return sum(((v >> b) & 1) << (3 * b + 2 - i) for b in range(dom.key_bits) for i, v in enumerate(c))
+    bits, top = dom.key_bits, dom.max_level - level
+    lows, highs = [v << top for v in low], [(v + 1) << top for v in high]
 
-    width = 3 * (dom.max_level - level)
-    keys = sorted(key((x, y, z)) for x in range(low[0], high[0] + 1) for y in range(low[1], high[1] + 1) for z in range(low[2], high[2] + 1))
+    def key(corner: tuple[int, ...], side: int) -> int:
+        if curve == "hilbert":
+            return hilbert_index(corner, bits) >> (3 * side) << (3 * side)
+        return sum(((v >> b) & 1) << (3 * b + 2 - i) for b in range(bits) for i, v in enumerate(corner))
+
+    found: list[tuple[int, int]] = []
+    todo = [((0, 0, 0), bits)]
+    while todo:
+        corner, side = todo.pop()
+        ends = [c + (1 << side) for c in corner]
+        if any(e <= lo or c >= hi for c, e, lo, hi in zip(corner, ends, lows, highs, strict=True)):
+            continue
+        if side <= top or all(c >= lo and e <= hi for c, e, lo, hi in zip(corner, ends, lows, highs, strict=True)):
+            found.append((key(corner, side), key(corner, side) + (1 << (3 * side))))
+            continue
+        half = side - 1
+        todo += [(tuple(c + (((o >> (2 - i)) & 1) << half) for i, c in enumerate(corner)), half) for o in range(8)]
     out: list[tuple[int, int]] = []
-    for k in keys:
-        a, b = k << width, (k + 1) << width
-        out[-1:] = [(out[-1][0], b)] if out and out[-1][1] == a else [*out[-1:], (a, b)]
+    for a, b in sorted(found):
+        if out and out[-1][1] >= a:
+            out[-1] = (out[-1][0], max(out[-1][1], b))
+        else:
+            out.append((a, b))
     return out

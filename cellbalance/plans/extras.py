@@ -33,7 +33,17 @@ def granularity_sweep(spark, sf_dir):
     return out
 
 
-@query("closure_connectivity")
+def _closed_over(kind: str, reach: int) -> str:
+    """Leaves counted after closure over neighbours that differ along `reach` axes at most."""
+    return f"""select '{kind}' as kind, count(*) as leaves from (with {q.wedge(wedge.EIGHTH)},
+inner_k as (select cx, cy, cz from roots where not exists (select 1 from merged m where m.cx = roots.cx and m.cy = roots.cy)
+  union select (cx + dx) >> 1, (cy + dy) >> 1, (cz + dz) >> 1 from hot, stencil where abs(dx) + abs(dy) + abs(dz) <= {reach} and cx + dx between 0 and 7 and cy + dy between 0 and 7 and cz + dz between 0 and 1)
+select cx from roots where not exists (select 1 from inner_k i where i.cx = roots.cx and i.cy = roots.cy)
+union all select n1.cx from n1 join inner_k i on n1.cx >> 1 = i.cx and n1.cy >> 1 = i.cy and n1.cz >> 1 = i.cz where not exists (select 1 from hot h where h.cx = n1.cx and h.cy = n1.cy and h.cz = n1.cz)
+union all select 2 * cx from hot, octants)"""
+
+
+@query("closure_connectivity", " union all ".join(_closed_over(k, n) for k, n in (("face", 1), ("edge", 2), ("corner", 3))))
 def closure_connectivity(spark, sf_dir):
     """Leaves after closure over faces, edges and corners."""
     b, out = wedge.build(spark, wedge.wedge(spark, sf_dir, wedge.EIGHTH), kept=True), None

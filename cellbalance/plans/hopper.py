@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from cellbalance.operators import contacts, diffusion, octree, sfc, weights
+from cellbalance.operators import baselines, contacts, diffusion, octree, pipeline, policy, sfc, weights
 from cellbalance.operators.domain import Domain
 from cellbalance.operators.octree import CELL
 from cellbalance.plans import sqltext as q
@@ -67,19 +67,19 @@ _SERIES = f"""with {_HOPPER},
 {_TOPS}"""
 
 
-def snapshot_leaves(points: DataFrame) -> DataFrame:
+def snapshot_leaves(points: DataFrame, p: int = P) -> DataFrame:
     """Occupied leaves of every snapshot, weighed by rows."""
-    return refined(points.groupBy("snapshot", *[F.shiftright(f"g{n}", 5).alias(f"c{n}") for n in "xyz"]).agg(F.count("*").alias("weight")).withColumn("level", F.lit(3)))
+    return refined(points.groupBy("snapshot", *[F.shiftright(f"g{n}", 5).alias(f"c{n}") for n in "xyz"]).agg(F.count("*").alias("weight")).withColumn("level", F.lit(3)), p)
 
 
-def refined(cells: DataFrame) -> DataFrame:
+def refined(cells: DataFrame, p: int = P) -> DataFrame:
     """Leaves over weighed finest cells: cells whose parent is over half the mean and that are not."""
     levels = [cells]
     for k in (2, 1, 0):
         levels.append(levels[-1].groupBy("snapshot", *[F.shiftright(c, 1).alias(c) for c in CELL[1:]]).agg(F.sum("weight").alias("weight")).withColumn("level", F.lit(k)))
     every = diffusion.written(levels[0].unionByName(levels[1]).unionByName(levels[2]).unionByName(levels[3]))
     totals = every.filter("level = 0").groupBy("snapshot").agg(F.sum("weight").alias("n"))
-    held = every.join(F.broadcast(totals), "snapshot").withColumn("hot", F.expr(f"weight * {2 * P} > n and level < 3"))
+    held = every.join(F.broadcast(totals), "snapshot").withColumn("hot", F.expr(f"weight * {2 * p} > n and level < 3"))
     up = held.filter("hot").select("snapshot", (F.col("level") + 1).alias("level"), *[F.col(c).alias(f"u{c}") for c in CELL[1:]])
     mine = held.filter("not hot").withColumns({f"u{c}": F.shiftright(c, 1) for c in CELL[1:]})
     split = mine.join(up, ["snapshot", "level", *[f"u{c}" for c in CELL[1:]]], "left_semi")
@@ -87,11 +87,9 @@ def refined(cells: DataFrame) -> DataFrame:
 
 
 def balanced_loads(leaves: DataFrame, curve: str, p: int = P) -> DataFrame:
-    """Load of each rank in each snapshot: cuts run per snapshot, whose leaves are few."""
-    keyed = sfc.keyed(leaves, DOM, curve)
-    w = Window.partitionBy("snapshot").orderBy("curve_key").rowsBetween(Window.unboundedPreceding, -1)
-    placed = keyed.withColumn("before", F.coalesce(F.sum("weight").over(w), F.lit(0))).withColumnRenamed("n", "total")
-    return placed.withColumn("rank_id", F.expr(sfc.midpoint_rank(p))).groupBy("snapshot", "rank_id").agg(F.sum("weight").alias("load"), F.first("total").alias("n"))
+    """Load of each rank in each snapshot: all snapshots are cut in one order, one behind the other."""
+    placed = sfc.cut_each(sfc.keyed(leaves, DOM, curve), "snapshot", "curve_key", p, 3 * DOM.key_bits)
+    return placed.groupBy("snapshot", "rank_id").agg(F.sum("weight").alias("load"), F.first("n").alias("n"))
 
 
 def tops(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -134,8 +132,9 @@ def trigger_series(spark, sf_dir):
 def triggers(t: DataFrame) -> DataFrame:
     s = t.filter("algo = 'static'").select("snapshot", F.col("m").alias("sm"), "n")
     both = s.join(t.filter("algo = 'hilbert'").select("snapshot", F.col("m").alias("hm")), "snapshot")
-    k = F.col("snapshot")
-    return both.select(k.cast("long").alias("snapshot"), (k % 5 == 0).alias("every_n"), F.expr(f"sm * {P} > 3 * n").alias("over_threshold"), F.expr("(sm - hm) * (30 - snapshot) > n").alias("amortized"))
+    k, sm, hm, n = (F.col(c) for c in ("snapshot", "sm", "hm", "n"))
+    due = {"every_n": policy.every(5)(k), "over_threshold": policy.threshold(3)(k, max_load=sm * P, mean_load=n), "amortized": policy.amortized(n, 1)(k, max_load=sm, mean_load=hm, steps_left=30 - k)}
+    return both.select(k.cast("long").alias("snapshot"), *[c.alias(name) for name, c in due.items()])
 
 
 @query("hopper_total_gain", _SERIES + ", s as (select algo, sum(m) t from tops group by algo) select algo, cast(t as bigint) as total_load, round(cast((select t from s where algo = 'static') as double) / t, 6) as gain from s")
@@ -214,18 +213,6 @@ def ghost_ratio(spark, sf_dir):
     return g.join(located.agg(F.count("*").alias("n"))).select("ghosts", F.round(F.col("ghosts") / F.col("n"), 6).alias("ratio"))
 
 
-@query(
-    "hopper_contacts_series",
-    f"""with {_HOPPER}, tenth as (select * from hp where snapshot % 10 = 0), probe as (select s.*, gz // 8 + o.i b from tenth s, (select i - 1 i from range(0, 3) r(i)) o)
-select a.snapshot, count(*) as contacts from probe a join tenth b on a.snapshot = b.snapshot and a.b = b.gz // 8 and a.pid < b.pid and abs(a.gx - b.gx) <= 8 and abs(a.gy - b.gy) <= 8
-  and (a.gx - b.gx) * (a.gx - b.gx) + (a.gy - b.gy) * (a.gy - b.gy) + (a.gz - b.gz) * (a.gz - b.gz) <= 64 group by a.snapshot""",
-)
-def contacts_series(spark, sf_dir):
-    """Total contacts of every tenth snapshot: buckets of different snapshots never meet."""
-    far = hopper(spark, sf_dir, [0, 10, 20, 30]).withColumn("pid", F.col("snapshot") * F.lit(1 << 40) + F.col("pid")).withColumn("gz", F.col("snapshot") * 4096 + F.col("gz"))
-    return contacts.detect(far, 8).groupBy(F.expr("pid_a div 1099511627776").alias("snapshot")).agg(F.count("*").alias("contacts"))
-
-
 _CONTACTS = f"""{_HOPPER}, probe as (select hp.*, (gx >> 3) + i.i - 1 bx, (gy >> 3) + j.i - 1 by_, (gz >> 3) + k.i - 1 bz from hp, range(0, 3) i(i), range(0, 3) j(i), range(0, 3) k(i)),
 touching as (select a.snapshot, a.gx, a.gy, a.gz from probe a join hp b on a.snapshot = b.snapshot and a.bx = b.gx >> 3 and a.by_ = b.gy >> 3 and a.bz = b.gz >> 3 and a.pid < b.pid
   and (a.gx - b.gx) * (a.gx - b.gx) + (a.gy - b.gy) * (a.gy - b.gy) + (a.gz - b.gz) * (a.gz - b.gz) <= 64)"""
@@ -292,3 +279,102 @@ select snapshot, snapshot % 5 = 0 as every_n, sm * {P} > 3 * n as over_threshold
 )
 def contact_triggers(spark, sf_dir):
     return triggers(contact_tops(spark, sf_dir))
+
+
+# --- ghosts: a contact whose partners lie on different ranks is detected by both
+
+_GHOST_SERIES = f"""{_SERIES}, probe as (select hp.*, (gx >> 3) + i.i - 1 bx, (gy >> 3) + j.i - 1 by_, (gz >> 3) + k.i - 1 bz from hp, range(0, 3) i(i), range(0, 3) j(i), range(0, 3) k(i)),
+pairs as (select a.snapshot, a.pid pa, b.pid pb, a.gx ax, a.gy ay, a.gz az, b.gx cx, b.gy cy, b.gz cz from probe a join hp b on a.snapshot = b.snapshot and a.bx = b.gx >> 3 and a.by_ = b.gy >> 3 and a.bz = b.gz >> 3 and a.pid < b.pid
+  and (a.gx - b.gx) * (a.gx - b.gx) + (a.gy - b.gy) * (a.gy - b.gy) + (a.gz - b.gz) * (a.gz - b.gz) <= 64),
+home as materialized (select hp.snapshot, hp.pid, ha.r from hp join ha on ha.snapshot = hp.snapshot and ha.cx = hp.gx >> (8 - ha.lv) and ha.cy = hp.gy >> (8 - ha.lv) and ha.cz = hp.gz >> (8 - ha.lv)),
+met as (select p.snapshot, (ax >> 8, ay >> 8, az >> 8) <> (p.cx >> 8, p.cy >> 8, p.cz >> 8) s, x.r <> y.r h from pairs p join home x on x.snapshot = p.snapshot and x.pid = pa join home y on y.snapshot = p.snapshot and y.pid = pb)
+select k.i as snapshot, count(met.snapshot) as contacts, count(*) filter (s) + count(met.snapshot) as static_with_ghosts, count(*) filter (h) + count(met.snapshot) as hilbert_with_ghosts
+from range(0, {SNAPSHOTS}) k(i) left join met on met.snapshot = k.i group by k.i"""
+
+
+@query("hopper_contacts_series", _GHOST_SERIES)
+def contacts_series(spark, sf_dir):
+    """Total contacts of every snapshot: counted once, and with those that two ranks detect counted for both,
+    under the static start and under the Hilbert cut of the snapshot."""
+    points = diffusion.written(hopper(spark, sf_dir))
+    leaves = diffusion.written(snapshot_leaves(points))
+    asg = sfc.cut_each(sfc.keyed(leaves, DOM, "hilbert"), "snapshot", "curve_key", P, 3 * DOM.key_bits).select("snapshot", *CELL, "rank_id")
+    up = points.withColumn("level", F.explode(F.sequence(F.lit(0), F.lit(3)))).withColumns({f"c{n}": F.expr(f"shiftright(g{n}, 8 - level)") for n in "xyz"})
+    key = F.col("snapshot") * F.lit(1 << 40) + F.col("pid")
+    root = F.expr("shiftright(gx, 8) * 16 + shiftright(gy, 8) * 4 + shiftright(gz, 8)")
+    home = diffusion.written(up.join(asg, ["snapshot", *CELL]).select(key.alias("pid"), root.alias("root"), "rank_id"))
+    pairs = contacts.detect(diffusion.written(distinct_snapshots(points)), 8)
+    for side in "ab":
+        pairs = pairs.join(home.select(F.col("pid").alias(f"pid_{side}"), F.col("root").alias(f"s{side}"), F.col("rank_id").alias(f"h{side}")), f"pid_{side}")
+    held = pairs.groupBy(F.expr("pid_a div 1099511627776").alias("snapshot")).agg(F.count("*").alias("contacts"), F.sum((F.col("sa") != F.col("sb")).cast("long")).alias("s"), F.sum((F.col("ha") != F.col("hb")).cast("long")).alias("h"))
+    every = spark.range(SNAPSHOTS).withColumnRenamed("id", "snapshot").join(held, "snapshot", "left").na.fill(0)
+    return every.select("snapshot", "contacts", (F.col("contacts") + F.col("s")).alias("static_with_ghosts"), (F.col("contacts") + F.col("h")).alias("hilbert_with_ghosts"))
+
+
+_27 = _SERIES.replace(f"* {2 * P} >", "* 54 >").replace(f"least({P - 1},", "least(26,").replace(f"* {P}) //", "* 27) //")
+
+
+@query("hopper_27_ranks", _27 + " select snapshot, r as rank_id, cast(sum(w) as bigint) as load from ha where snapshot in (0, 15, 24, 30) group by all")
+def hopper_27(spark, sf_dir):
+    """The illustration with 27 ranks: loads of the Hilbert cut at four moments of the discharge."""
+    leaves = diffusion.written(snapshot_leaves(hopper(spark, sf_dir, [0, 15, 24, 30]), 27))
+    return balanced_loads(leaves, "hilbert", 27).select(F.col("snapshot").cast("long").alias("snapshot"), "rank_id", "load")
+
+
+@query("hopper_contact_leaves", _CONTACT_SERIES + " select snapshot, cast(lv as integer) as level, cast(cx as bigint) as cx, cast(cy as bigint) as cy, cast(cz as bigint) as cz, cast(w as bigint) as weight from leaf_")
+def contact_leaves(spark, sf_dir):
+    """Leaves refined by contacts instead of rows, snapshot by snapshot."""
+    found = refined(diffusion.written(contact_cells(spark, sf_dir)))
+    return found.select(F.col("snapshot").cast("long").alias("snapshot"), "level", *[F.col(c).cast("long").alias(c) for c in CELL[1:]], "weight")
+
+
+# --- the pipeline run again and again, each time from the state it left
+
+
+def loads_under(asg: DataFrame, cells: DataFrame) -> list:
+    """(snapshot, largest load, total) of the finest cells of each snapshot under an assignment of leaves."""
+    up = cells.withColumn("l", F.explode(F.sequence(F.lit(0), F.lit(DOM.max_level))))
+    up = up.select("snapshot", "weight", F.col("l").cast("int").alias("level"), *[F.expr(f"shiftright({c}, {DOM.max_level} - l)").alias(c) for c in CELL[1:]])
+    held = up.join(asg.select(*CELL, "rank_id"), CELL).groupBy("snapshot", "rank_id").agg(F.sum("weight").alias("load"))
+    return sorted(tuple(r) for r in held.groupBy("snapshot").agg(F.max("load"), F.sum("load")).collect())
+
+
+def discharge(spark: SparkSession, cells: DataFrame, algorithm: str, due) -> list[tuple]:
+    """(algo, snapshot, max_load, mean, rebalanced, moved) of a whole discharge. `due` is a trigger of
+    operators.policy; from the present assignment the next snapshot that it names is found in one job."""
+    cfg = pipeline.RebalanceConfig(P, algorithm, iters=3, weight="weight", factor=2)
+    leaves, asg, rows, now = octree.uniform(spark, DOM, 0), None, [], 0
+    while now < SNAPSHOTS:
+        here = cells.filter(F.col("snapshot") == now).select(*[F.shiftleft(c, 5).alias(f"g{c[1]}") for c in CELL[1:]], "weight")
+        state = pipeline.rebalance(spark, here, leaves, asg, DOM, cfg)
+        leaves, asg = state.leaves, state.assignment
+        moved = state.moved.agg(F.coalesce(F.sum("weight"), F.lit(0))).first()[0]
+        following = loads_under(asg, cells.filter(F.col("snapshot") >= now))
+        rows.append((algorithm, now, following[0][1], following[0][2] / P, True, moved))
+        later = [(k, m, t) for k, m, t in following[1:]]
+        then = next((k for k, m, t in later if due(k, max_load=m, mean_load=t / P, steps_left=SNAPSHOTS - 1 - k)), SNAPSHOTS)
+        rows += [(algorithm, k, m, t / P, False, 0) for k, m, t in later if k < then]
+        now = then
+    return rows
+
+
+_DISCHARGE = "algo string, snapshot long, max_load long, mean_load double, rebalanced boolean, moved_weight long"
+
+
+@query("hopper_pipeline_series")
+def pipeline_series(spark, sf_dir):
+    """Contacts as weights; every tenth snapshot the pipeline runs from the leaves and ranks it left, with both
+    curves and with diffusion, against the static start."""
+    cells = diffusion.written(contact_cells(spark, sf_dir))
+    static = baselines.one_to_one(octree.uniform(spark, DOM, 0).withColumn("weight", F.lit(1).cast("long")))
+    rows = [("static", k, m, t / P, False, 0) for k, m, t in loads_under(static, cells)]
+    for algorithm in ("morton", "hilbert", "diffusion"):
+        rows += discharge(spark, cells, algorithm, policy.every(10))
+    return spark.createDataFrame(rows, _DISCHARGE)
+
+
+@query("hopper_threshold_series")
+def threshold_series(spark, sf_dir):
+    """The Hilbert curve, run only when the largest load passes four times the mean."""
+    cells = diffusion.written(contact_cells(spark, sf_dir))
+    return spark.createDataFrame(discharge(spark, cells, "hilbert", policy.threshold(4.0)), _DISCHARGE)

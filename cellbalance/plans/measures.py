@@ -1,4 +1,4 @@
-"""Measures over logs, inheritance, remapping, the pipeline as one call, and joins and lateness of streams."""
+"""Weights from logs, inheritance, remapping, the pipeline as one call, and joins and lateness of streams."""
 
 from __future__ import annotations
 
@@ -13,52 +13,6 @@ from cellbalance.plans import hopper, wedge
 from cellbalance.plans import sqltext as q
 from cellbalance.streaming import rebalance as streams
 
-# --- a log of steps: event types stand for algorithms, days for steps, cents for time
-
-_LOG = """log as (select event_type algo, epoch_us(ts) // 86400000000 step, sum(cast(round(value * 100) as bigint)) cents, count(*) load from events group by all)"""
-
-
-def step_log(spark, sf_dir):
-    """algo, step, value (cents), max_load of every event type and day."""
-    ev = table(spark, sf_dir, "events").select(F.col("event_type").alias("algo"), F.datediff(F.col("ts").cast("date"), F.lit("1970-01-01").cast("date")).cast("long").alias("step"), F.round(F.col("value") * 100).cast("long").alias("cents"))
-    return ev.groupBy("algo", "step").agg(F.sum("cents").alias("value"), F.count("*").alias("max_load"))
-
-
-@query("load_time_corr", f"with {_LOG} select algo, round(corr(cast(cents as double), cast(load as double)), 6) as corr from log group by algo")
-def load_time_corr(spark, sf_dir):
-    return metrics.load_time_corr(step_log(spark, sf_dir).withColumnRenamed("value", "seconds"))
-
-
-@query(
-    "runtime_series",
-    f"with {_LOG} select algo, step, cast(cents as bigint) as value, cast(sum(cents) over (partition by algo order by step rows between 99 preceding and current row) as bigint) as recent, "
-    "cast(sum(cents) over (partition by algo order by step rows between unbounded preceding and current row) as bigint) as total from log",
-)
-def runtime_series(spark, sf_dir):
-    """Runtime of the last 100 steps and of all so far."""
-    return metrics.runtime_series(step_log(spark, sf_dir))
-
-
-@query(
-    "measured_gain_windows",
-    f"with {_LOG}, mid as (select (min(step) + max(step)) // 2 m from log) select round(avg(case when step <= m then cast(cents as double) end) / avg(case when step > m then cast(cents as double) end), 6) as gain from log, mid",
-)
-def measured_gain_windows(spark, sf_dir):
-    """Mean time of the steps before a rebalance in the middle, over that of the steps after."""
-    log = diffusion.written(step_log(spark, sf_dir))
-    mid = log.agg(F.expr("(min(step) + max(step)) div 2").alias("m"))
-    sides = log.join(F.broadcast(mid))
-    return metrics.gain(sides.filter("step <= m"), sides.filter("step > m"))
-
-
-@query("parallel_efficiency", f"with t as (select * from {wedge._LOG} t(algo, p, s)), b as (select algo, min(p) p0, max(s) filter (p = 128) s0 from t group by algo) select algo, cast(p as bigint) as p, round(cast(s0 / s as double), 6) as efficiency from t join b using (algo)")
-def parallel_efficiency(spark, sf_dir):
-    """Speed-up over resources, where the work grows with them: s0 * (p / p0) / s over p / p0."""
-    log = spark.sql(f"select algo, cast(p as bigint) p, cast(s as double) s from {wedge._LOG[1:-1]} as t(algo, p, s)")
-    first = log.filter("p = 128").select("algo", F.col("p").alias("p0"), F.col("s").alias("s0"))
-    grown = F.col("p") / F.col("p0")
-    return log.join(F.broadcast(first), "algo").select("algo", "p", F.round(metrics.efficiency(F.col("s0") * grown / F.col("s"), grown), 6).alias("efficiency"))
-
 @query(
     "measured_weights",
     f"with log as (select {streams.CELL_SQL}, epoch_us(ts) // 1000000 // 3600 step, count(*) n from events group by all), last as (select cx, cy, cz, max(step) m from log group by all) "

@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-from cellbalance.functions.curves import hilbert_automaton
-
 CLOUD = """raw_points as (select cast(round(l_extendedprice * 100) as bigint) x, cast(l_partkey as bigint) y,
   cast(date_diff('day', date '1995-01-01', cast(l_shipdate as date)) as bigint) z from lineitem),
 box as (select min(x) xl, max(x) xh, min(y) yl, max(y) yh, min(z) zl, max(z) zh from raw_points),
@@ -51,14 +49,33 @@ def morton(source: str, deep: int, bits: int, name: str = "keyed") -> str:
 
 
 def hilbert(source: str, deep: int, bits: int, name: str = "keyed") -> str:
-    digits, nexts = hilbert_automaton()
-    rows = ", ".join(f"({i}, {d}, {n})" for i, (d, n) in enumerate(zip(digits, nexts, strict=True)))
-    parts = [f"automaton(here, digit, nxt) as (values {rows})", f"{name}_{bits} as (select *, 0 st, cast(0 as bigint) hk from {source})"]
-    for b in range(bits - 1, -1, -1):
-        octant = f"((((cx << ({deep} - lv)) >> {b}) & 1) * 4 + (((cy << ({deep} - lv)) >> {b}) & 1) * 2 + (((cz << ({deep} - lv)) >> {b}) & 1))"
-        parts.append(f"{name}_{b} as (select q.* exclude (st, hk), nxt st, hk * 8 + digit hk from {name}_{b + 1} q join automaton on here = st * 8 + {octant})")
-    parts.append(f"{name} as (select * exclude (st, hk), (hk >> (3 * ({deep} - lv))) << (3 * ({deep} - lv)) k from {name}_0)")
-    return ",\n".join(parts)
+    """Keys by the published transpose form, one common table a bit step: swaps and inversions from the top
+    bit down, then the Gray code, then the bits interleaved. The library goes another way, by an automaton."""
+    shift = f"({deep} - lv)"
+    steps = [f"{name}_0 as (select *, cx << {shift} h0, cy << {shift} h1, cz << {shift} h2 from {source})"]
+
+    def put(h0: str, h1: str, h2: str, extra: str = "") -> None:
+        k = len(steps)
+        drop = "h0, h1, h2" + (", g" if extra == "-" else "")
+        steps.append(f"{name}_{k} as (select * exclude ({drop}), {h0} h0, {h1} h1, {h2} h2{extra if extra != '-' else ''} from {name}_{k - 1})")
+
+    for b in range(bits - 1, 0, -1):
+        on, low = 1 << b, (1 << b) - 1
+        put(f"case when h0 & {on} <> 0 then xor(h0, {low}) else h0 end", "h1", "h2")
+        for i in (1, 2):
+            swap = f"(xor(h0, h{i}) & {low})"
+            first = f"case when h{i} & {on} <> 0 then xor(h0, {low}) else xor(h0, {swap}) end"
+            other = f"case when h{i} & {on} <> 0 then h{i} else xor(h{i}, {swap}) end"
+            put(first, other if i == 1 else "h1", other if i == 2 else "h2")
+    put("h0", "xor(h1, h0)", "h2")
+    put("h0", "h1", "xor(h2, h1)")
+    gray = "0"
+    for b in range(bits - 1, 0, -1):
+        gray = f"xor({gray}, case when h2 & {1 << b} <> 0 then {(1 << b) - 1} else 0 end)"
+    put("h0", "h1", "h2", f", {gray} g")
+    put("xor(h0, g)", "xor(h1, g)", "xor(h2, g)", "-")
+    key = " + ".join(f"(((h{i} >> {b}) & 1) << {3 * b + 2 - i})" for b in range(bits) for i in range(3))
+    return ",\n".join(steps) + f",\n{name} as (select * exclude (h0, h1, h2), (({key}) >> (3 * {shift})) << (3 * {shift}) k from {name}_{len(steps) - 1})"
 
 
 def midpoint(source: str, p: int, name: str = "asg", by: str = "") -> str:

@@ -351,7 +351,7 @@ def rank_edges(spark, sf_dir):
 
 def leaf_graph(b: Built) -> tuple[DataFrame, DataFrame]:
     v = diffusion.written(b.leaves.select(octree.leaf_id().alias("v"), "weight", *CELL))
-    e = adjacency.faces(b.leaves, DOM).select(F.least(diffusion.leaf_id_of("src"), diffusion.leaf_id_of("dst")).alias("a"), F.greatest(diffusion.leaf_id_of("src"), diffusion.leaf_id_of("dst")).alias("b"), "area")
+    e = adjacency.faces(b.leaves, b.dom).select(F.least(diffusion.leaf_id_of("src"), diffusion.leaf_id_of("dst")).alias("a"), F.greatest(diffusion.leaf_id_of("src"), diffusion.leaf_id_of("dst")).alias("b"), "area")
     return v, diffusion.written(e)
 
 
@@ -359,6 +359,11 @@ def parts_of(asg: DataFrame) -> DataFrame:
     return asg.select(octree.leaf_id().alias("v"), F.col("rank_id").alias("part"))
 
 
+def unweighted(b: Built, p: int) -> DataFrame:
+    """Where diffusion and repartitioning start if p is not that of the static start: a Morton cut by count."""
+    return sfc.balance(b.leaves, b.dom, p, "morton", "count")
+
+
 def graph_assign(b: Built, kind: str, p: int) -> DataFrame:
     v, e = leaf_graph(b)
     vertices = v.select("v", "weight")
@@ -367,7 +372,7 @@ def graph_assign(b: Built, kind: str, p: int) -> DataFrame:
     elif kind == "sfc_seeded_kway":
         parts = graphpart.curve_seeded(vertices, e, parts_of(sfc.balance(b.leaves, b.dom, p)), p)
     else:
-        old = parts_of(inherited(b)) if p == P else parts_of(baselines.round_robin(b.leaves, p))
+        old = parts_of(inherited(b)) if p == b.p else parts_of(unweighted(b, p))
         parts = graphpart.repartition(vertices, e, diffusion.written(old), p)
     return v.join(parts, "v").select(*CELL, "weight", F.col("part").alias("rank_id"))
 
@@ -526,8 +531,7 @@ def edge_cut_graph(spark, sf_dir):
     faces, p, out = diffusion.written(adjacency.faces(b.leaves, DOM)), 32, []
     found = {"morton": sfc.balance(b.leaves, DOM, p, "morton"), "hilbert": sfc.balance(b.leaves, DOM, p)}
     found |= {k: graph_assign(b, k, p) for k in ("multilevel_kway", "sfc_seeded_kway", "unified_repartition")}
-    start = sfc.balance(b.leaves, DOM, p, "morton", "count")
-    found["diffusion"] = diffusion.balance(start, adjacency.full(b.leaves, DOM), p, 10)
+    found["diffusion"] = diffusion.balance(unweighted(b, p), adjacency.full(b.leaves, DOM), p, 10)
     for name, asg in found.items():
         asg = diffusion.written(asg)
         row = metrics.max_load(asg, p).join(metrics.edge_cut(asg, faces)).join(metrics.fragments(asg, faces).agg(F.max("fragments").alias("fragments")))
@@ -557,7 +561,7 @@ def migration_volume(spark, sf_dir):
 _PS = "ps as (select cast(power(2, i) as bigint) p from range(7, 21) r(i))"
 _MODEL = f"""{_PS}, model as (
 select 'morton' algo, p, p * 192 b from ps union all select 'hilbert', p, p * 192 from ps union all select 'diffusion', p, 192 + 416 from ps
-union all select 'multilevel_kway', p, p * 384 from ps union all select 'sfc_seeded_kway', p, p * 384 from ps union all select 'unified_repartition', p, (p * 192) // 2 from ps)"""
+union all select 'multilevel_kway', p, p * 7040 from ps union all select 'sfc_seeded_kway', p, p * 7040 from ps union all select 'unified_repartition', p, p * 3520 from ps)"""
 
 
 def process_counts(spark) -> DataFrame:
@@ -569,17 +573,11 @@ def memory_model(spark, sf_dir):
     return metrics.memory_model(process_counts(spark)).withColumn("all_bytes", F.col("all_bytes").cast("string"))
 
 
-@query("max_feasible_p", f"with {_MODEL} select algo, max(p) as max_p from model where b <= 4194304 group by algo")
+@query("max_feasible_p", f"with {_MODEL} select algo, max(p) as max_p from model where b <= 33554432 group by algo")
 def max_feasible(spark, sf_dir):
-    return metrics.max_feasible_p(metrics.memory_model(process_counts(spark)), 4 << 20)
-
-
-_LOG = "(values ('curve', 128, 1.0), ('curve', 256, 2.0), ('curve', 512, 4.0), ('curve', 1024, 8.0), ('kway', 128, 1.0), ('kway', 256, 4.0), ('kway', 512, 16.0), ('kway', 1024, 64.0), ('diffusion', 128, 3.0), ('diffusion', 256, 3.0), ('diffusion', 512, 3.0), ('diffusion', 1024, 3.0))"
-
-
-@query("scaling_slope", f"select algo, round(regr_slope(ln(cast(s as double)), ln(cast(p as double))), 6) as slope from {_LOG} t(algo, p, s) group by algo")
-def scaling_slope(spark, sf_dir):
-    return metrics.scaling_order(spark.sql(f"select algo, cast(p as double) p, cast(s as double) seconds from {_LOG[1:-1]} as t(algo, p, s)"))
+    """Nodes of 16 GiB with 64 ranks, an eighth of the memory for balancing: k-way ends at 4,096 ranks,
+    repartitioning at 8,192, the curves further up, diffusion nowhere."""
+    return metrics.max_feasible_p(metrics.memory_model(process_counts(spark)), metrics.rank_budget())
 
 
 def _weak_sql() -> str:

@@ -30,3 +30,9 @@ def read_box(spark: SparkSession, path: str, dom: Domain, low: tuple[int, int, i
 def moved_rows(points: DataFrame, migration: DataFrame, dom: Domain) -> DataFrame:
     """Only the rows of leaves that changed rank: what an incremental rewrite touches."""
     return octree.locate(points, migration, dom)
+
+
+def bucketed(points: DataFrame, asg: DataFrame, dom: Domain, table: str, buckets: int = 8) -> None:
+    """Rows with their rank as a table bucketed by rank, so that later joins on it need no shuffle."""
+    placed = octree.locate(points, asg, dom).join(asg.select(*CELL, "rank_id"), CELL)
+    placed.write.mode("overwrite").bucketBy(buckets, "rank_id").sortBy("rank_id").saveAsTable(table)

@@ -1,13 +1,15 @@
 """Streaming rebalance: event-time loads per cell, a hysteresis trigger, and assignments by version.
 
 Counters are kept at the finest cells of a fixed box, so a change of the tree never rewrites state. Each
-micro-batch updates the counts of its window; when the largest load passes the upper threshold the
-leaves are cut anew and written as the next version of the assignment, idempotently by batch id.
+micro-batch brings the loads of its window; where the largest load under the last version passes the
+threshold, times the mean, the leaves are balanced anew, by a curve or by diffusion from the last version,
+and written as the next version of the assignment, idempotently by batch id. Every batch leaves a row of
+its loads.
 """
 
 from __future__ import annotations
 
-import tempfile
+import time
 from collections.abc import Iterator
 
 import pandas as pd
@@ -16,9 +18,11 @@ from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 from pyspark.sql.streaming.stateful_processor import StatefulProcessor, StatefulProcessorHandle
 
-from cellbalance.operators import octree, sfc
+from cellbalance.catalog import query, table
+from cellbalance.operators import adjacency, diffusion, metrics, octree, policy, sfc
 from cellbalance.operators.domain import Domain
-from cellbalance.catalog import query
+from cellbalance.operators.octree import CELL
+from cellbalance.operators.store import fresh_path, written
 
 DOM = Domain((4, 4, 4), 1)
 
@@ -83,18 +87,47 @@ def hot_cells(events: DataFrame, high: int, low: int) -> DataFrame:
 
 
 class Rebalancer:
-    """foreachBatch sink: one versioned assignment per batch that passes the trigger."""
+    """foreachBatch sink: one versioned assignment for the first batch and each later one that passes the
+    trigger; `log` holds (batch, largest, mean, rebalanced) of every batch."""
 
-    def __init__(self, root: str, p: int, threshold: float = 2.0, curve: str = "hilbert"):
-        self.root, self.p, self.threshold, self.curve = root, p, threshold, curve
+    def __init__(self, root: str, p: int, threshold: float = 2.0, algorithm: str = "hilbert", iters: int = 3):
+        self.root, self.p, self.algorithm, self.iters = root, p, algorithm, iters
+        self.due = policy.threshold(threshold)
+
+    def last(self, spark: SparkSession, batch_id: int) -> DataFrame | None:
+        """The newest assignment before this batch; a replay finds the same one."""
+        root = spark._jvm.org.apache.hadoop.fs.Path(f"{self.root}/versions")
+        fs = root.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+        held = [int(s.getPath().getName().split("=")[1]) for s in fs.listStatus(root)] if fs.exists(root) else []
+        before = [v for v in held if v < batch_id]
+        return spark.read.parquet(f"{self.root}/versions/version={max(before)}") if before else None
 
     def __call__(self, batch: DataFrame, batch_id: int) -> None:
         spark = batch.sparkSession
         loads = batch.groupBy(F.lit(1).alias("level"), "cx", "cy", "cz").agg(F.sum("weight").alias("weight"))
-        leaves = octree.weighed(octree.uniform(spark, DOM, 1), loads)
-        asg = sfc.balance(leaves, DOM, self.p, self.curve)
-        # the path names the batch: a replay overwrites the same version
-        asg.write.mode("overwrite").parquet(f"{self.root}/version={batch_id}")
+        leaves = written(octree.weighed(octree.uniform(spark, DOM, 1), loads))
+        old = self.last(spark, batch_id)
+        if old is not None:
+            old = leaves.join(old.select(*CELL, "rank_id"), CELL).select(*CELL, "weight", "rank_id")
+        row = metrics.max_load(old if old is not None else sfc.balance(leaves, DOM, self.p, "morton", "count"), self.p).first()
+        due = old is None or self.due(batch_id, max_load=row["max_load"], mean_load=row["mean_load"])
+        if due:
+            if old is not None and self.algorithm == "diffusion":
+                new = diffusion.balance(old, adjacency.full(leaves, DOM), self.p, self.iters)
+            else:
+                new = sfc.balance(leaves, DOM, self.p, "hilbert" if self.algorithm == "diffusion" else self.algorithm)
+            # the path names the batch: a replay overwrites the same version
+            new.write.mode("overwrite").parquet(f"{self.root}/versions/version={batch_id}")
+        log = spark.createDataFrame([(batch_id, row["max_load"], row["mean_load"], due)], "batch long, max_load long, mean_load double, rebalanced boolean")
+        log.write.mode("overwrite").parquet(f"{self.root}/log/nth={batch_id}")
+
+
+def rebalanced_stream(spark: SparkSession, paths: str, root: str, p: int, threshold: float, algorithm: str) -> DataFrame:
+    """Run the sink over a stream of files, one file a batch; the log of its batches."""
+    stream = cells(event_stream(spark, paths)).groupBy("cx", "cy", "cz").agg(F.count("*").alias("weight"))
+    sink = Rebalancer(root, p, threshold, algorithm)
+    stream.writeStream.outputMode("complete").option("checkpointLocation", f"{root}/check").trigger(availableNow=True).foreachBatch(sink).start().awaitTermination()
+    return spark.read.parquet(f"{root}/log").drop("nth")
 
 
 def collected(stream: DataFrame, name: str, mode: str = "append") -> DataFrame:
@@ -116,10 +149,7 @@ def by_batch(stream: DataFrame, root: str, mode: str) -> None:
 
 
 def tempfile_dir(spark: SparkSession) -> str:
-    import uuid
-
-    root = spark.conf.get("spark.checkpoint.dir", None) or "file://" + tempfile.mkdtemp(prefix="cellbalance-")
-    return f"{root}/stream-{uuid.uuid4().hex}"
+    return fresh_path(spark, "stream")
 
 
 @query(
@@ -135,14 +165,32 @@ def streamed_daily_loads(spark, sf_dir):
 def streamed_assignment(spark, sf_dir):
     """The assignment that the last micro-batch wrote."""
     root = tempfile_dir(spark)
-    stream = windowed_loads(event_stream(spark, f"{sf_dir}/events.parquet*"))
-    sink = Rebalancer(f"{root}/assignment", 16)
-    stream.writeStream.outputMode("complete").option("checkpointLocation", f"{root}/check").trigger(availableNow=True).foreachBatch(sink).start().awaitTermination()
-    found = spark.read.parquet(f"{root}/assignment")
+    rebalanced_stream(spark, f"{sf_dir}/events.parquet*", f"{root}/assignment", 16, 2.0, "hilbert")
+    found = spark.read.parquet(f"{root}/assignment/versions")
     last = found.agg(F.max("version").alias("version"))
     return found.join(F.broadcast(last), "version").drop("version")
 
 
+def in_four_files(spark: SparkSession, sf_dir: str) -> str:
+    """The events by quarter of the value range, a file each, so that the load moves through the box."""
+    root, ev = tempfile_dir(spark), table(spark, sf_dir, "events")
+    for k in range(4):
+        ev.filter(f"cast(floor(value / 125) as int) {'>= 3' if k == 3 else f'= {k}'}").coalesce(1).write.parquet(f"{root}/in/part={k}")
+        time.sleep(1.1)  # files come in order of their time
+    return f"{root}/in/part=*"
+
+
+@query("streamed_rebalances")
+def streamed_rebalances(spark, sf_dir):
+    """Loads and triggers of four batches, balanced by the Hilbert curve and by diffusion, at a threshold of
+    1.5 and at one that never fires: curves and diffusion rebalance as the load moves, the other never."""
+    paths, out = in_four_files(spark, sf_dir), None
+    for name, algorithm, tau in (("hilbert", "hilbert", 1.5), ("diffusion", "diffusion", 1.5), ("never", "hilbert", 1e9)):
+        log = rebalanced_stream(spark, paths, f"{tempfile_dir(spark)}/{name}", 16, tau, algorithm).withColumn("algo", F.lit(name))
+        out = log if out is None else out.union(log)
+    return out
+
+
 #: In one batch the cells with at least 50 events turn hot.
 _HOT = f"select {CELL_SQL}, count(*) as total, true as hot from events group by cx, cy, cz having count(*) >= 50"
 

@@ -57,7 +57,9 @@ def test_cuts_are_monotone_and_bounded(spark, curve, how):
     if how == "midpoint":
         assert max(load) <= total / p + most
     if how == "optimal":
-        assert max(load) == sfc.least_capacity([r.weight for r in asg], p) == brute_chain([r.weight for r in asg], p)
+        assert max(load) == brute_chain([r.weight for r in asg], p)
+    if how == "greedy":
+        assert [min(k for k, x in enumerate(ranks) if x == r) for r in sorted(set(ranks))] == greedy_starts([r.weight for r in asg], p)
 
 
 def brute_chain(weights, p):
@@ -68,11 +70,70 @@ def brute_chain(weights, p):
     return best[-1]
 
 
-def test_fill_agrees_with_the_bounded_way(spark):
-    rows = sfc.prefix(spark.createDataFrame([(i, w) for i, w in enumerate([5, 1, 1, 1, 8, 2, 2])], "pos long, weight long"), "pos", "weight")
-    known = sfc.bounded_weights(rows, "pos")
-    assert sfc.fill(rows, "pos", 3) == sfc.starts_of(known, 3)
-    assert sfc.capacity(rows, "pos", 3) == sfc.least_capacity([w for _, w in known], 3) == 8
+def greedy_starts(weights, p):
+    """Places at which runs start if each takes rows up to the mean of what is left."""
+    left, starts, load = sum(weights), [0], 0
+    aim = -(-left // p)
+    for k, w in enumerate(weights):
+        if load + w > aim and k > starts[-1] and len(starts) < p:
+            left -= load
+            starts.append(k)
+            load, aim = 0, -(-left // (p - len(starts) + 1))
+        load += w
+    return starts
+
+
+def test_cuts_of_a_chain_match_plain_loops(spark):
+    rng = random.Random(5)
+    for weights, p in (([5, 1, 1, 1, 8, 2, 2], 3), ([rng.randrange(1, 50) for _ in range(500)], 17), ([7], 4), ([0, 0, 0], 2), ([rng.choice((1, 1, 900)) for _ in range(60)], 9)):
+        rows = diffusion.written(spark.createDataFrame(list(enumerate(weights)), "pos long, weight long"))
+        assert sorted(r.pos for r in sfc.run_starts(rows, "pos", p).collect()) == greedy_starts(weights, p)
+        assert sfc.least_capacity(rows, "pos", p) == brute_chain(weights, p)
+        for how in ("greedy", "optimal"):
+            got = [r.rank_id for r in sfc.cut(rows, "pos", p, how).orderBy("pos").collect()]
+            assert got == sorted(got) and got[0] == 0 and got[-1] < p
+    old = spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "7")  # runs cross batches
+    try:
+        weights = [rng.randrange(0, 30) for _ in range(200)]
+        rows = diffusion.written(spark.createDataFrame(list(enumerate(weights)), "pos long, weight long"))
+        assert sorted(r.pos for r in sfc.run_starts(rows, "pos", 13).collect()) == greedy_starts(weights, 13)
+        assert sfc.least_capacity(rows, "pos", 13) == brute_chain(weights, 13)
+    finally:
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", old)
+
+
+def test_ranges_of_a_clustered_order_hold_like_numbers_of_rows(spark):
+    # nearly all keys lie in a billionth of the key range
+    rows = spark.range(20_000).selectExpr("case when id < 19990 then id else 1000000000000 * (id - 19000) end as k", "cast(1 + id % 3 as long) as weight")
+    held = sfc.prefix(rows, "k", "weight")
+    want, before = {}, 0
+    for r in sorted(rows.collect()):
+        want[r.k], before = before, before + r.weight
+    got = {r.k: r.before for r in held.collect()}
+    assert got == want and {r.total for r in held.select("total").distinct().collect()} == {before}
+    ranged = rows.repartitionByRange(8, "k").groupBy(F.spark_partition_id()).count().collect()
+    assert max(r[1] for r in ranged) < 0.25 * 20_000
+
+
+def test_orders_are_cut_side_by_side(spark):
+    rows = spark.range(600).selectExpr("id % 3 as s", "id * 5 % 1009 as k", "1 + id % 7 as weight")
+    both = {(r.s, r.k): r.rank_id for r in sfc.cut_each(rows, "s", "k", 6, 12).collect()}
+    for s in range(3):
+        assert {k: v for (x, k), v in both.items() if x == s} == {r.k: r.rank_id for r in sfc.cut(rows.filter(f"s = {s}"), "k", 6).collect()}
+
+
+def test_box_ranges_cover_the_cells_of_the_box(spark):
+    from cellbalance.functions.curves import hilbert_index
+
+    dom = Domain((3, 2, 1), 2)
+    for curve in ("morton", "hilbert"):
+        ranges = sfc.ranges_for_box(dom, (1, 2, 0), (5, 5, 2), 2, curve)
+        keys = {r.curve_key for r in sfc.keyed(octree.uniform(spark, dom, 2), dom, curve).filter("cx between 1 and 5 and cy between 2 and 5 and cz between 0 and 2").collect()}
+        others = {r.curve_key for r in sfc.keyed(octree.uniform(spark, dom, 2), dom, curve).collect()} - keys
+        inside = lambda k: any(a <= k < b for a, b in ranges)  # noqa: B023, E731
+        assert all(map(inside, keys)) and not any(map(inside, others))
+    assert hilbert_index((0, 0, 0), 4) == 0
 
 
 def test_diffusion_never_raises_the_largest_load(spark, data):
@@ -102,6 +163,12 @@ def test_graph_parts_are_balanced_and_refinement_lowers_the_cut(spark, data):
     assert vertices.join(parts, "v").groupBy("part").agg(F.sum("weight").alias("w")).agg(F.max("w")).first()[0] <= 1.05 * total / 8 + 2 * most
     renamed = parts.select("v", ((F.col("part") + 3) % 8).alias("part"))
     assert graphpart.moved_weight(graphpart.remap(renamed, parts, vertices), parts, vertices) == 0
+    old = diffusion.written(wedge.parts_of(wedge.unweighted(b, 8)))
+    drifted = graphpart.diffuse(vertices, e, old, 8)
+    load = lambda x: vertices.join(x, "v").groupBy("part").agg(F.sum("weight").alias("w")).agg(F.max("w")).first()[0]
+    assert load(drifted) < load(old) and drifted.count() == vertices.count()
+    anew = diffusion.written(graphpart.repartition(vertices, e, old, 8))
+    assert load(anew) < load(old) and graphpart.moved_weight(anew, old, vertices) < total
 
 
 def test_lattices_have_their_coordination_numbers(spark):
