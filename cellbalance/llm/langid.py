@@ -22,6 +22,7 @@ from itertools import combinations
 import numpy as np
 import pyarrow as pa
 import regex
+import zstandard
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -158,10 +159,11 @@ def fit(docs: DataFrame, allowed: Column, id_col: str = "doc_id", text_col: str
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         make_room()
+        press = zstandard.ZstdCompressor(level=1).compress  # most counts are small or nought
         for batch in batches:
             for a, b, texts in runs(batch.column(1), 1 << 18):
                 counts = counted(texts).astype("<u4")
-                yield pa.RecordBatch.from_arrays([batch.column(0)[a:b], pa.array([r.tobytes() for r in counts], pa.binary())], names=["label", "counts"])
+                yield pa.RecordBatch.from_arrays([batch.column(0)[a:b], pa.array([press(r.tobytes()) for r in counts], pa.binary())], names=["label", "counts"])
 
     chosen = known.filter(F.pmod(F.xxhash64("id", "text"), F.lit(1 << 32)) < share).select("label", "text").mapInArrow(run, "label string, counts binary")
     chosen = work.table(chosen, "features")
@@ -171,7 +173,8 @@ def fit(docs: DataFrame, allowed: Column, id_col: str = "doc_id", text_col: str
 
     def train(rows: pa.Table) -> pa.Table:
         make_room()
-        counts = np.frombuffer(b"".join(sorted(rows["counts"].to_pylist())), "<u4").reshape(-1, WIDTH)
+        unpress = zstandard.ZstdDecompressor().decompress
+        counts = np.frombuffer(b"".join(map(unpress, sorted(rows["counts"].to_pylist()))), "<u4").reshape(-1, WIDTH)
         sign = [s for _, s in sorted(zip(rows["counts"].to_pylist(), rows["side"].to_pylist(), strict=True))]
         w = linear_svm(scaled(counts), np.array(sign, np.float32))
         return pa.table({"duel": rows["duel"][:1], "weights": pa.array([w.tobytes()], pa.binary())})

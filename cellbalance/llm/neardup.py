@@ -9,7 +9,8 @@ the defaults (10 pieces of 6 symbols, one error) a pair of J = 0.8 is missed wit
 Every link is confirmed on the full shingle sets.
 
 Equal sets are one class, a vertex of its own, and stay one row. A bucket first tries only the link of
-each member to one member (a star); pairs inside a component need no further test. Pairs of a bucket that
+each member to its most central member, the one that shares keys with most others (a star); what a first
+star leaves apart meets a second one. Pairs inside a component need no further test. Pairs of a bucket that
 lie in different components are tested one by one in buckets up to `bucket_limit`; members of larger ones
 go through an exact prefix-filter join on their rarest shingles, so no bucket is paired out and nothing
 is dropped. Joins on a key that many rows share deal the key out over several tasks.
@@ -155,24 +156,32 @@ def components(work: Work, edges: DataFrame) -> DataFrame:
             return labels
 
 
-def _dealt(many: DataFrame, pairs: DataFrame, key: str, other: str, one: DataFrame, most: int = 64) -> DataFrame:
-    """many, rows of pairs, joined with one (a row per key) on the key; a key of more than `most` pairs is
-    dealt out by the other end over copies of its row, so that no task gets all rows of a hot key."""
-    copies = pairs.groupBy(key).agg(F.expr(f"cast((count(*) - 1) div {most} as int)").alias("_last"))
-    spread = many.join(copies, key).withColumn("_part", F.pmod(F.xxhash64(other), F.col("_last") + 1).cast("int")).drop("_last")
-    again = one.join(copies, key).withColumn("_part", F.explode(F.sequence(F.lit(0), F.col("_last")))).drop("_last")
+def _dealt(many: DataFrame, hot: DataFrame, key: str, other: str, one: DataFrame) -> DataFrame:
+    """many joined with one (a row per key) on the key; a key of the written table hot (key, last) is dealt
+    out by the other end over last + 1 copies of its row, so that no task gets all rows of a hot key."""
+    spread = many.join(hot, key, "left").withColumn("_part", F.pmod(F.xxhash64(other), F.coalesce("last", F.lit(0)) + 1).cast("int")).drop("last")
+    again = one.join(hot, key, "left").withColumn("_part", F.explode(F.sequence(F.lit(0), F.coalesce("last", F.lit(0))))).drop("last")
     return spread.join(again, [key, "_part"]).drop("_part")
 
 
-def _similar(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+def _similar(work: Work, pairs: DataFrame, sets: DataFrame, percent: int, most: int = 64) -> DataFrame:
     """Those of the written pairs (a, b) whose full sets have 100 * intersection >= percent * union."""
     left = sets.select(F.col("cid").alias("a"), F.col("shingles").alias("sa"))
     right = sets.select(F.col("cid").alias("b"), F.col("shingles").alias("sb"))
-    both = _dealt(_dealt(pairs, pairs, "a", "b", left), pairs, "b", "a", right)
+    # keys of more than `most` pairs: few rows, which the planner broadcasts while they are
+    hot = [work.table(pairs.groupBy(k).agg(F.expr(f"cast((count(*) - 1) div {most} as int)").alias("last")).filter("last > 0"), "hot-keys") for k in "ab"]
+    both = _dealt(_dealt(pairs, hot[0], "a", "b", left), hot[1], "b", "a", right)
     same = both.select("a", "b", F.size("sa").alias("na"), F.size("sb").alias("nb"), F.size(F.array_intersect("sa", "sb")).alias("common"))
     return same.filter(F.expr(f"100 * common >= {percent} * (na + nb - common)")).select("a", "b").distinct()
 
 
+def _star(placed: DataFrame) -> DataFrame:
+    """(a, b): each member beside the central member b of another component with which it shares most keys."""
+    central = placed.groupBy("key").agg(F.max_by(F.struct("cid", "comp"), F.struct("score", -F.col("cid"))).alias("c"))
+    ties = placed.join(central, "key").filter("comp <> c.comp").groupBy(F.col("cid").alias("a"), F.col("c.cid").alias("b")).agg(F.count("*").alias("votes"))
+    return ties.groupBy("a").agg(F.max_by("b", F.struct("votes", -F.col("b"))).alias("b"))
+
+
 def _labelled(df: DataFrame, comp: DataFrame) -> DataFrame:
     return df.join(comp.withColumnRenamed("v", "cid"), "cid", "left").withColumn("comp", F.coalesce("comp", "cid"))
 
@@ -205,7 +214,7 @@ def _rare_prefix_pairs(work: Work, hot: DataFrame, sets: DataFrame, percent: int
 
 
 def linked_classes(
-    work: Work, docs: DataFrame, id_col: str, text_col: str, shingle: int, percent: int, pieces: int = 10, width: int = 6, errors: int = 1, bucket_limit: int = 24
+    work: Work, docs: DataFrame, id_col: str, text_col: str, shingle: int, percent: int, pieces: int = 10, width: int = 6, errors: int = 1, bucket_limit: int = 24, stars: int = 2
 ) -> tuple[DataFrame, DataFrame]:
     """(signed, classes): a row of docs each, and a row (name1, name2, n, cid, comp) for each different set
     that is not empty, where comp is the least cid that cid reaches."""
@@ -213,7 +222,7 @@ def linked_classes(
     classes = work.table(signed.filter("n > 0").groupBy("name1", "name2", "n").agg(F.min("row").alias("cid")), "classes")
     reps = signed.join(classes.select(F.col("cid").alias("row")), "row").select(F.col("row").alias("cid"), "doc_id", "h", "n", "keys")
     entries = reps.select("cid", "doc_id", "h", "n", F.explode(F.array_distinct("keys")).alias("key"))
-    crowded = entries.groupBy("key").agg(F.count("*").alias("held"), F.min("cid").alias("rep")).filter("held > 1")
+    crowded = entries.groupBy("key").agg(F.count("*").alias("held")).filter("held > 1")
     buckets = work.table(entries.join(crowded, "key"), "buckets")
     work.release()
     named = buckets.select("cid", F.col("doc_id").alias("id"), F.col("h").alias("hash")).distinct()
@@ -222,14 +231,19 @@ def linked_classes(
     sets = work.table(_sets(texts, shingle).dropDuplicates(["cid"]), "sets")
     work.release()
 
-    sized = buckets.filter("cid <> rep").groupBy(F.col("cid").alias("a"), F.col("rep").alias("b")).agg(F.count("*").alias("votes"))
-    star = work.table(sized.groupBy("a").agg(F.max_by("b", F.struct("votes", -F.col("b"))).alias("b")), "star")
-    comp = components(work, work.table(_similar(star, sets, percent), "links"))
-    work.release()
-
-    placed = _labelled(buckets, comp)
-    open_ = placed.groupBy("key").agg(F.min("comp").alias("c1"), F.max("comp").alias("c2")).filter("c1 < c2").select("key")
-    mixed = work.table(placed.join(open_, "key").select("key", "cid", "n", "comp", "held"), "mixed")
+    scores = buckets.groupBy("cid").agg(F.sum("held").alias("score"))
+    placed = work.table(buckets.select("key", "cid", "n", "held").join(scores, "cid").withColumn("comp", F.col("cid")), "placed")
+    links = None
+    for _ in range(stars):
+        star = work.table(_star(placed), "star")
+        found = work.table(_similar(work, star, sets, percent), "links")
+        links = found if links is None else links.union(found)
+        comp = components(work, links)
+        work.release()
+        again = _labelled(placed.drop("comp"), comp)
+        open_ = again.groupBy("key").agg(F.min("comp").alias("c1"), F.max("comp").alias("c2")).filter("c1 < c2").select("key")
+        placed = work.table(again.join(open_, "key"), "mixed")  # buckets within one component need nothing more
+    mixed = placed
     small = mixed.filter(F.col("held") <= bucket_limit)
     x, y = (small.select("key", *(F.col(c).alias(f"{c}_{s}") for c in ("cid", "comp", "n"))) for s in "xy")
     pairs = (
@@ -241,7 +255,7 @@ def linked_classes(
     )
     hot = work.table(mixed.filter(F.col("held") > bucket_limit).select("cid", "comp").distinct(), "hot")
     pairs = work.table(pairs.union(_rare_prefix_pairs(work, hot, sets, percent)).distinct(), "pairs")
-    more = _similar(pairs, sets, percent)
+    more = _similar(work, pairs, sets, percent)
     across = _labelled(_labelled(more.withColumnRenamed("a", "cid"), comp).select(F.col("comp").alias("a"), F.col("b").alias("cid")), comp)
     joined = components(work, work.table(across.select("a", F.col("comp").alias("b")).filter("a <> b").distinct(), "links"))
     final = (

@@ -13,7 +13,7 @@ import zstandard
 from pyspark.sql import functions as F
 
 from cellbalance.llm import bpe, chat, fmindex, langid, licenses, neardup, quality, sharding, toxicity, warc
-from cellbalance.llm.common import table
+from cellbalance.llm.common import Work, table
 
 DOCS = "doc_id long, text string, lang string, source string, n_chars long, key string, n int, comp string, spans string, shard string, size string"
 WORDS = re.compile(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")
@@ -397,9 +397,27 @@ def test_rows_that_share_an_id_are_judged_apart(spark):
 def test_hot_keys_are_dealt_out(spark):
     pairs = spark.range(1000).selectExpr("id + 10 as a", "cast(1 as long) as b")
     sets = spark.range(1100).selectExpr("id as cid", "array(id) as shingles")
-    dealt = neardup._dealt(pairs, pairs, "b", "a", sets.select(F.col("cid").alias("b"), "shingles"))
+    hot = spark.createDataFrame([(1, 15)], "b long, last int")
+    dealt = neardup._dealt(pairs, hot, "b", "a", sets.select(F.col("cid").alias("b"), "shingles"))
     assert dealt.count() == 1000 and dealt.select("a").distinct().count() == 1000
-    assert neardup._similar(pairs, sets.withColumn("shingles", F.array(F.lit(1))), 80).count() == 1000
+    work = Work(spark)
+    assert neardup._similar(work, work.table(pairs, "pairs"), sets.withColumn("shingles", F.array(F.lit(1))), 80).count() == 1000
+
+
+def test_a_crowd_is_linked_by_its_central_text(spark):
+    # copies of one text with edits of their own; the text itself comes last, and no two copies are alike enough
+    rng = random.Random(12)
+    base = [f"t{i}" for i in range(150)]
+    rows = []
+    for i in range(80):
+        w = list(base)
+        for at in rng.sample(range(150), 4):
+            w[at] = f"e{i}x{at}"
+        rows.append((i, " ".join(w)))
+    docs = spark.createDataFrame([*rows, (500, " ".join(base))], "doc_id long, text string")
+    got = neardup.near_duplicates(docs, shingle=5).collect()
+    want, _ = brute_components(docs.collect(), 5)
+    assert {r.doc_id: r.component_id for r in got} == want
 
 
 def test_long_texts_are_searched_in_pieces():
