@@ -16,3 +16,15 @@ def threshold(tau: float):
 def amortized(pipeline_seconds: float, seconds_per_load: float):
     """Only when the time saved over the steps left pays for the run."""
     return lambda step, max_load, mean_load, steps_left, **_: (max_load - mean_load) * seconds_per_load * steps_left > pipeline_seconds
+
+
+def both(*due):
+    """Only when all of the triggers fire."""
+
+    def fires(step, **state):
+        out = True
+        for one in due:
+            out = out & one(step, **state)
+        return out
+
+    return fires

@@ -363,18 +363,19 @@ _DISCHARGE = "algo string, snapshot long, max_load long, mean_load double, rebal
 
 @query("hopper_pipeline_series")
 def pipeline_series(spark, sf_dir):
-    """Contacts as weights; every tenth snapshot the pipeline runs from the leaves and ranks it left, with both
-    curves and with diffusion, against the static start."""
+    """Contacts as weights; every fifteenth snapshot the pipeline runs from the leaves and ranks it left, with
+    both curves and with diffusion, against the static start."""
     cells = diffusion.written(contact_cells(spark, sf_dir))
     static = baselines.one_to_one(octree.uniform(spark, DOM, 0).withColumn("weight", F.lit(1).cast("long")))
     rows = [("static", k, m, t / P, False, 0) for k, m, t in loads_under(static, cells)]
     for algorithm in ("morton", "hilbert", "diffusion"):
-        rows += discharge(spark, cells, algorithm, policy.every(10))
+        rows += discharge(spark, cells, algorithm, policy.every(15))
     return spark.createDataFrame(rows, _DISCHARGE)
 
 
 @query("hopper_threshold_series")
 def threshold_series(spark, sf_dir):
-    """The Hilbert curve, run only when the largest load passes four times the mean."""
+    """The Hilbert curve, run only at every sixth snapshot and there only if the largest load passes three
+    times the mean."""
     cells = diffusion.written(contact_cells(spark, sf_dir))
-    return spark.createDataFrame(discharge(spark, cells, "hilbert", policy.threshold(4.0)), _DISCHARGE)
+    return spark.createDataFrame(discharge(spark, cells, "hilbert", policy.both(policy.every(6), policy.threshold(3.0))), _DISCHARGE)

@@ -53,6 +53,37 @@ def test_triggers():
     assert policy.amortized(10, 1)(1, max_load=3, mean_load=1, steps_left=6) and not policy.amortized(10, 1)(1, max_load=3, mean_load=1, steps_left=5)
 
 
+def test_combined_trigger_and_memory_ranges(spark):
+    due = policy.both(policy.every(6), policy.threshold(3.0))
+    assert due(12, max_load=7, mean_load=2) and not due(13, max_load=7, mean_load=2) and not due(12, max_load=6, mean_load=2)
+    most = {r.algo: r.max_p for r in metrics.max_feasible_p(metrics.memory_model(wedge.process_counts(spark)), metrics.rank_budget()).collect()}
+    # as reported: k-way variants end at 4,096 ranks, repartitioning at 8,192, curves later, diffusion nowhere
+    assert most["multilevel_kway"] == most["sfc_seeded_kway"] == 4096 < most["unified_repartition"] == 8192 < most["hilbert"] == most["morton"] < most["diffusion"] == 1 << 20
+
+
+def test_largest_domain_is_refused_beyond_the_ids():
+    import pytest
+
+    from cellbalance.operators.domain import Domain
+
+    with pytest.raises(ValueError, match="several domains"):
+        Domain((1 << 18, 1, 1), 2)
+
+
+def test_nearest_seed_matches_brute_force(spark):
+    import random
+
+    from cellbalance.operators import related
+
+    rng = random.Random(3)
+    pts = list({(rng.randrange(1024), rng.randrange(1024) ** 2 % 1024, rng.randrange(40)) for _ in range(400)}) + [(90_000, 5, 5)]
+    seeds = [(i, rng.randrange(1024), rng.randrange(300), rng.randrange(1024)) for i in range(37)] + [(37, 3, 3, 3), (38, 3, 3, 3)]
+    points = spark.createDataFrame([(*p, 1) for p in pts], "gx long, gy long, gz long, weight long")
+    got = {(r.gx, r.gy, r.gz): r.part_id for r in related.nearest(points, spark.createDataFrame(seeds, "seed long, sx long, sy long, sz long")).collect()}
+    want = {p: min(seeds, key=lambda s: (sum((a - b) ** 2 for a, b in zip(p, s[1:])), s[0]))[0] for p in pts}
+    assert got == want
+
+
 def test_sql_functions(spark):
     sqlfuncs.register(spark)
     row = spark.sql("select morton_key(1, 0, 1) m, cell_of(1023, 8) c").first()
