@@ -9,8 +9,8 @@ the defaults (10 pieces of 6 symbols, one error) a pair of J = 0.8 is missed wit
 Every link is confirmed on the full shingle sets.
 
 Equal sets are one class, a vertex of its own, and stay one row. A bucket first tries only the link of
-each member to its most central member, the one that shares keys with most others (a star); what a first
-star leaves apart meets a second one. Pairs inside a component need no further test. Pairs of a bucket that
+each member to one member, the one of least document id (a star): copies mostly come after what they copy.
+Pairs inside a component need no further test. Pairs of a bucket that
 lie in different components are tested one by one in buckets up to `bucket_limit`; members of larger ones
 go through an exact prefix-filter join on their rarest shingles, so no bucket is paired out and nothing
 is dropped. Joins on a key that many rows share deal the key out over several tasks.
@@ -175,10 +175,10 @@ def _similar(work: Work, pairs: DataFrame, sets: DataFrame, percent: int, most:
     return same.filter(F.expr(f"100 * common >= {percent} * (na + nb - common)")).select("a", "b").distinct()
 
 
-def _star(placed: DataFrame) -> DataFrame:
-    """(a, b): each member beside the central member b of another component with which it shares most keys."""
-    central = placed.groupBy("key").agg(F.max_by(F.struct("cid", "comp"), F.struct("score", -F.col("cid"))).alias("c"))
-    ties = placed.join(central, "key").filter("comp <> c.comp").groupBy(F.col("cid").alias("a"), F.col("c.cid").alias("b")).agg(F.count("*").alias("votes"))
+def _star(buckets: DataFrame) -> DataFrame:
+    """(a, b): each member beside the first member b with which it shares most keys."""
+    rep = buckets.groupBy("key").agg(F.min(F.struct(F.col("first").isNull(), "first", "cid")).alias("rep"))
+    ties = buckets.join(rep, "key").filter("cid <> rep.cid").groupBy(F.col("cid").alias("a"), F.col("rep.cid").alias("b")).agg(F.count("*").alias("votes"))
     return ties.groupBy("a").agg(F.max_by("b", F.struct("votes", -F.col("b"))).alias("b"))
 
 
@@ -197,31 +197,31 @@ def _rare_prefix_pairs(work: Work, hot: DataFrame, sets: DataFrame, percent: int
         "cid", "comp", "n", F.posexplode(F.slice("all", F.lit(1), F.expr(f"cast(n - ({percent} * n + 99) div 100 + 1 as int)"))).alias("pos", "t")
     ).filter("t.df > 1 and t.c1 < t.c2")
     prefix = work.table(prefix.select("cid", "comp", "n", "pos", F.col("t.tok").alias("tok")), "prefix")
-    # a shingle that many prefixes hold: one side is dealt out over copies of the other
-    parts = prefix.groupBy("tok").agg(F.expr("cast((count(*) - 1) div 256 as int)").alias("last"))
-    x, y = (prefix.select("tok", *(F.col(c).alias(f"{c}_{s}") for c in ("cid", "comp", "n", "pos"))).join(parts, "tok") for s in "xy")
-    x = x.withColumn("part", F.pmod(F.xxhash64("cid_x"), F.col("last") + 1).cast("int")).drop("last")
-    y = y.withColumn("part", F.explode(F.sequence(F.lit(0), F.col("last")))).drop("last")
+    # sets alike enough differ by one band of sizes at most, so a shingle that many prefixes hold is split by
+    # size; the larger set of a pair looks in its own band and in the one below
+    prefix = prefix.withColumn("band", F.floor(F.log(F.col("n")) / F.log(F.lit(100.0 / percent)) + 1e-9))
+    x, y = (prefix.select("tok", "band", *(F.col(c).alias(f"{c}_{s}") for c in ("cid", "comp", "n", "pos"))) for s in "xy")
+    y = y.withColumn("low", F.col("band")).withColumn("band", F.explode(F.array("band", F.col("band") - 1)))
     need = f"cast(({percent} * (n_x + n_y) + {99 + percent}) div {100 + percent} as bigint)"
     return (
-        x.join(y, ["tok", "part"])
-        .filter("cid_x < cid_y and comp_x <> comp_y")
+        x.join(y, ["tok", "band"])
+        .filter("(low > band or cid_x < cid_y) and comp_x <> comp_y")
         .filter(f"100 * least(n_x, n_y) >= {percent} * greatest(n_x, n_y)")
         .filter(f"1 + least(n_x - pos_x - 1, n_y - pos_y - 1) >= {need}")
-        .select(F.col("cid_x").alias("a"), F.col("cid_y").alias("b"))
+        .select(F.least("cid_x", "cid_y").alias("a"), F.greatest("cid_x", "cid_y").alias("b"))
         .distinct()
     )
 
 
 def linked_classes(
-    work: Work, docs: DataFrame, id_col: str, text_col: str, shingle: int, percent: int, pieces: int = 10, width: int = 6, errors: int = 1, bucket_limit: int = 24, stars: int = 2
+    work: Work, docs: DataFrame, id_col: str, text_col: str, shingle: int, percent: int, pieces: int = 10, width: int = 6, errors: int = 1, bucket_limit: int = 24
 ) -> tuple[DataFrame, DataFrame]:
     """(signed, classes): a row of docs each, and a row (name1, name2, n, cid, comp) for each different set
     that is not empty, where comp is the least cid that cid reaches."""
     signed = work.table(_signed(docs, id_col, text_col, shingle, pieces, width, errors), "signed")
-    classes = work.table(signed.filter("n > 0").groupBy("name1", "name2", "n").agg(F.min("row").alias("cid")), "classes")
-    reps = signed.join(classes.select(F.col("cid").alias("row")), "row").select(F.col("row").alias("cid"), "doc_id", "h", "n", "keys")
-    entries = reps.select("cid", "doc_id", "h", "n", F.explode(F.array_distinct("keys")).alias("key"))
+    classes = work.table(signed.filter("n > 0").groupBy("name1", "name2", "n").agg(F.min("row").alias("cid"), F.min("doc_id").alias("first")), "classes")
+    reps = signed.join(classes.select(F.col("cid").alias("row"), "first"), "row").select(F.col("row").alias("cid"), "first", "doc_id", "h", "n", "keys")
+    entries = reps.select("cid", "first", "doc_id", "h", "n", F.explode(F.array_distinct("keys")).alias("key"))
     crowded = entries.groupBy("key").agg(F.count("*").alias("held")).filter("held > 1")
     buckets = work.table(entries.join(crowded, "key"), "buckets")
     work.release()
@@ -231,19 +231,13 @@ def linked_classes(
     sets = work.table(_sets(texts, shingle).dropDuplicates(["cid"]), "sets")
     work.release()
 
-    scores = buckets.groupBy("cid").agg(F.sum("held").alias("score"))
-    placed = work.table(buckets.select("key", "cid", "n", "held").join(scores, "cid").withColumn("comp", F.col("cid")), "placed")
-    links = None
-    for _ in range(stars):
-        star = work.table(_star(placed), "star")
-        found = work.table(_similar(work, star, sets, percent), "links")
-        links = found if links is None else links.union(found)
-        comp = components(work, links)
-        work.release()
-        again = _labelled(placed.drop("comp"), comp)
-        open_ = again.groupBy("key").agg(F.min("comp").alias("c1"), F.max("comp").alias("c2")).filter("c1 < c2").select("key")
-        placed = work.table(again.join(open_, "key"), "mixed")  # buckets within one component need nothing more
-    mixed = placed
+    star = work.table(_star(buckets), "star")
+    comp = components(work, work.table(_similar(work, star, sets, percent), "links"))
+    work.release()
+
+    placed = _labelled(buckets.select("key", "cid", "n", "held"), comp)
+    open_ = placed.groupBy("key").agg(F.min("comp").alias("c1"), F.max("comp").alias("c2")).filter("c1 < c2").select("key")
+    mixed = work.table(placed.join(open_, "key"), "mixed")  # buckets within one component need nothing more
     small = mixed.filter(F.col("held") <= bucket_limit)
     x, y = (small.select("key", *(F.col(c).alias(f"{c}_{s}") for c in ("cid", "comp", "n"))) for s in "xy")
     pairs = (

@@ -404,7 +404,7 @@ def test_hot_keys_are_dealt_out(spark):
     assert neardup._similar(work, work.table(pairs, "pairs"), sets.withColumn("shingles", F.array(F.lit(1))), 80).count() == 1000
 
 
-def test_a_crowd_is_linked_by_its_central_text(spark):
+def test_a_crowd_is_linked_whichever_text_comes_first(spark):
     # copies of one text with edits of their own; the text itself comes last, and no two copies are alike enough
     rng = random.Random(12)
     base = [f"t{i}" for i in range(150)]
