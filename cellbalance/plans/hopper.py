@@ -364,11 +364,11 @@ _DISCHARGE = "algo string, snapshot long, max_load long, mean_load double, rebal
 @query("hopper_pipeline_series")
 def pipeline_series(spark, sf_dir):
     """Contacts as weights; every fifteenth snapshot the pipeline runs from the leaves and ranks it left, with
-    both curves and with diffusion, against the static start."""
+    the Hilbert curve and with diffusion, against the static start."""
     cells = diffusion.written(contact_cells(spark, sf_dir))
     static = baselines.one_to_one(octree.uniform(spark, DOM, 0).withColumn("weight", F.lit(1).cast("long")))
     rows = [("static", k, m, t / P, False, 0) for k, m, t in loads_under(static, cells)]
-    for algorithm in ("morton", "hilbert", "diffusion"):
+    for algorithm in ("hilbert", "diffusion"):
         rows += discharge(spark, cells, algorithm, policy.every(15))
     return spark.createDataFrame(rows, _DISCHARGE)
 
