@@ -16,3 +16,10 @@ def plan(df):
 @pytest.mark.parametrize("points", [hopper.contact_points, hopper.part_points])
 def test_contacts_broadcast_no_rows(spark, data, points):
     assert "Broadcast" not in plan(contacts.detect(points(spark, data), 20))
+
+
+@pytest.mark.parametrize("credit", ["owner", "both"])
+def test_weights_of_contacts_broadcast_no_rows(spark, data, credit):
+    pairs = contacts.detect(hopper.contact_points(spark, data), 20)
+    located = hopper.contact_points(spark, data).selectExpr("pid", "0 as level", "gx as cx", "gy as cy", "gz as cz")
+    assert "Broadcast" not in plan(weights.contacts(pairs, located, credit))
