@@ -23,3 +23,22 @@ def test_weights_of_contacts_broadcast_no_rows(spark, data, credit):
     pairs = contacts.detect(hopper.contact_points(spark, data), 20)
     located = hopper.contact_points(spark, data).selectExpr("pid", "0 as level", "gx as cx", "gy as cy", "gz as cz")
     assert "Broadcast" not in plan(weights.contacts(pairs, located, credit))
+
+
+@pytest.fixture(scope="module")
+def wide(spark, data, tmp_path_factory):
+    """The events with users numbered on past the box, as in larger tables."""
+    folder = tmp_path_factory.mktemp("wide")
+    ev = spark.read.parquet(f"{data}/events.parquet").withColumn("user_id", F.expr("user_id * 12 + 100"))
+    ev.coalesce(1).write.parquet(f"{folder}/events.parquet")
+    return str(folder)
+
+
+@pytest.mark.parametrize("name", ["ghosts_events", "ghost_ratio", "weight_contacts_owner", "weight_contacts_both", "contact_inflation"])
+def test_points_beyond_the_box_count_as_in_sql(spark, wide, name):
+    con = duckdb.connect()
+    con.execute(f"create view events as select * from read_parquet('{wide}/events.parquet/*.parquet')")
+    df, found = registry.QUERIES[name](spark, wide), con.execute(registry.ORACLES[name])
+    columns = [c[0] for c in found.description]
+    want = sorted(tuple(float(v) for v in r) for r in found.fetchall())
+    assert sorted(tuple(float(v) for v in r) for r in df.select(*columns).collect()) == want
