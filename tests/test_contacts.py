@@ -42,3 +42,18 @@ def test_points_beyond_the_box_count_as_in_sql(spark, wide, name):
     columns = [c[0] for c in found.description]
     want = sorted(tuple(float(v) for v in r) for r in found.fetchall())
     assert sorted(tuple(float(v) for v in r) for r in df.select(*columns).collect()) == want
+
+
+def test_contacts_between_cells_are_those_of_the_pairs(spark):
+    """Slabs, walls of slabs, negative places, copies and two snapshots; cells without contacts stay."""
+    at = "select id pid, cast(id % 2 as int) snapshot, pmod(hash(id, 1), 400) - 150L gx, pmod(hash(id, 2), 40) + 0L gy, pmod(hash(id, 3), 60) - 30L gz from range(1200)"
+    points = spark.sql(f"{at} union all select 5000 + id, 0, 127 + id % 3, 3, 3 from range(4)")
+    pairs = contacts.brute_force(points.withColumn("gz", F.expr("gz + 10000 * snapshot")), 8)
+    cell = [F.expr(f"shiftright(g{n}, 5)").alias(n) for n in "xyz"]
+    a, b = (points.select(F.col("pid").alias(f"pid_{s}"), *(["snapshot"] if s == "a" else []), F.struct(*cell).alias(f"cell_{s}")) for s in "ab")
+    want = {(r[0], *r[1], *r[2]): r[3] for r in pairs.join(a, "pid_a").join(b, "pid_b").groupBy("snapshot", "cell_a", "cell_b").count().collect()}
+    found = contacts.between_cells(points, 8, 5, occupied=True).groupBy("snapshot", "cx", "cy", "cz", "ox", "oy", "oz").agg(F.sum("contacts"))
+    got = {tuple(r)[:-1]: r[-1] for r in found.collect()}
+    assert {k: n for k, n in got.items() if n} == want and len(want) > 50
+    assert {k[:4] for k in got} == {(r[0], *r[1:]) for r in points.select("snapshot", *cell).distinct().collect()}
+    assert sum(r.contacts for r in contacts.between_cells(points, 8, 5).collect()) == pairs.count()
