@@ -1,12 +1,15 @@
 """Contacts of tables whose rows must not be broadcast, and of points beyond the box."""
 
+import time
+
 import duckdb
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 from cellbalance import registry
 from cellbalance.operators import contacts, weights
-from cellbalance.plans import hopper
+from cellbalance.plans import hopper, timing
 
 
 def plan(df):
@@ -57,3 +60,24 @@ def test_contacts_between_cells_are_those_of_the_pairs(spark):
     assert {k: n for k, n in got.items() if n} == want and len(want) > 50
     assert {k[:4] for k in got} == {(r[0], *r[1:]) for r in points.select("snapshot", *cell).distinct().collect()}
     assert sum(r.contacts for r in contacts.between_cells(points, 8, 5).collect()) == pairs.count()
+
+
+def test_a_step_tries_near_pairs_only():
+    """Points on one sheet across x: a sweep along x alone would try all of their 7 million pairs."""
+    rng = np.random.default_rng(7)
+    x, y, z = rng.integers(0, 8, 3800), rng.integers(0, 20000, 3800), rng.integers(0, 20000, 3800)
+    began = time.process_time()
+    found = sum(timing.contacts_of(x, y, z, 8) for _ in range(20))
+    spent = time.process_time() - began
+    at = np.stack([x, y, z], axis=1)
+    want = sum(int((((at[i + 1 :] - at[i]) ** 2).sum(axis=1) <= 64).sum()) for i in range(len(at)))
+    assert found == 20 * want and want > 0 and spent < 1
+    assert timing.contacts_of(x[:0], y[:0], z[:0], 8) == 0
+
+
+def test_listed_pairs_hold_the_contacts_of_every_step(spark):
+    points = spark.sql("select id % 2 as k, pmod(hash(id, 1), 60) + 0L gx, pmod(hash(id, 2), 60) + 0L gy, pmod(hash(id, 3), 90) + 0L gz from range(900)")
+    got = {(r.k, r.step): (r.load, r.contacts) for r in timing.timed(points, ["k"], 40).collect()}
+    for k, part in points.toPandas().groupby("k"):
+        x, y, z = (part[g].to_numpy() for g in ("gx", "gy", "gz"))
+        assert all(got[k, s] == (len(part), timing.contacts_of(x, y, np.maximum(z - s, 0), 8)) for s in range(40))
