@@ -214,3 +214,11 @@ def test_bisection_halves_the_weight(spark):
 def test_measures_of_the_applied_case(spark):
     log = spark.createDataFrame([("a", 1, 42.0), ("b", 1, 5.5)], "algo string, step long, value double")
     assert abs(metrics.gain(log.filter("algo = 'a'"), log.filter("algo = 'b'")).first().gain - 7.636364) < 1e-6
+
+
+def test_a_diffusion_round_reads_the_edges_once(spark, data):
+    b = wedge.half(spark, data)
+    state = wedge.inherited(b).select(octree.leaf_id().alias("leaf"), "weight", "rank_id")
+    edges = diffusion.written(diffusion.graph(state, adjacency.full(b.leaves, wedge.DOM)))
+    moved, _ = diffusion.step(diffusion.written(state), edges, wedge.P)
+    assert not set(edges.inputFiles()) & set(moved.inputFiles())
