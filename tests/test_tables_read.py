@@ -8,7 +8,7 @@ import pytest
 
 from cellbalance import registry
 
-NAMES = {"cubic_contacts": "part", "cubic_velocities": "part", "hcp_contacts": "part", "kinematic_fall": "part", "lattice_source": "part", "curve_adjacency_share": "lineitem", "hilbert_udf_check": "lineitem", "lateral_children": "lineitem", "recursive_paths": "lineitem"}
+NAMES = {"cubic_contacts": "part", "cubic_velocities": "part", "hcp_contacts": "part", "kinematic_fall": "part", "lattice_source": "part", "curve_adjacency_share": "lineitem", "hilbert_udf_check": "lineitem", "lateral_children": "lineitem", "recursive_paths": "lineitem", "apriori_estimates": "lineitem", "max_feasible_p": "lineitem", "memory_model": "lineitem"}
 
 
 @pytest.mark.parametrize("name", NAMES)
