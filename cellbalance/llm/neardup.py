@@ -30,7 +30,7 @@ from itertools import chain, combinations
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from cellbalance.llm.common import LOWER, MEMORIES, Interned, Work, make_room, mix64, runs
@@ -120,6 +120,21 @@ def _named(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), text.alias("text"), F.xxhash64(text).alias("h"))
 
 
+def parted(work: Work, docs: DataFrame, id_col: str, text_col: str, named: DataFrame, most: int = 1 << 27) -> tuple[DataFrame, DataFrame]:
+    """(maybe, surely_not): docs parted by a bitmap of the rows that the written table named (doc_id, h) tells.
+    All rows named are in the first part, with some others, a sixteenth at the most while `most` bits suffice;
+    so a join with named moves these texts and not all of them. The bitmap stays below `most` bits."""
+    bits = max(1 << 15, min(most, 1 << (16 * named.count()).bit_length()))
+    place = lambda i, h: F.pmod(F.xxhash64(i, h), F.lit(bits)) + 1
+    at = place(F.col("doc_id"), F.col("h"))
+    maps = work.table(named.select(F.bitmap_bucket_number(at).alias("_bucket"), F.bitmap_bit_position(at).alias("_bit")).groupBy("_bucket").agg(F.bitmap_construct_agg("_bit").alias("_map")), "bitmap")
+    own = place(docs[id_col].cast("long"), F.xxhash64(docs[text_col].cast("string")))
+    bit = F.bitmap_bit_position(own)
+    byte = F.conv(F.hex(F.substring(maps["_map"], (F.shiftright(bit, 3) + 1).cast("int"), F.lit(1))), 16, 10).cast("int")
+    hit = (F.bitmap_bucket_number(own) == maps["_bucket"]) & (F.call_function("getbit", byte, (bit % 8).cast("int")) == 1)
+    return docs.join(F.broadcast(maps), hit, "left_semi"), docs.join(F.broadcast(maps), hit, "left_anti")
+
+
 def _sets(docs: DataFrame, k: int) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         make_room("neardup")
@@ -220,13 +235,18 @@ def linked_classes(
     that is not empty, where comp is the least cid that cid reaches."""
     signed = work.table(_signed(docs, id_col, text_col, shingle, pieces, width, errors), "signed")
     classes = work.table(signed.filter("n > 0").groupBy("name1", "name2", "n").agg(F.min("row").alias("cid"), F.min("doc_id").alias("first")), "classes")
-    reps = signed.join(classes.select(F.col("cid").alias("row"), "first"), "row").select(F.col("row").alias("cid"), "first", "doc_id", "h", "n", "keys")
-    entries = reps.select("cid", "first", "doc_id", "h", "n", F.explode(F.array_distinct("keys")).alias("key"))
-    crowded = entries.groupBy("key").agg(F.count("*").alias("held")).filter("held > 1")
-    buckets = work.table(entries.join(crowded, "key"), "buckets")
+    # keys move once, with nothing but their class: most of them nobody shares, and those go no further
+    firsts = classes.select(F.col("cid").alias("row"))
+    entries = signed.join(firsts, "row", "left_semi").select(F.col("row").alias("cid"), F.explode(F.array_distinct("keys")).alias("key"))
+    held = F.count("*").over(Window.partitionBy("key"))
+    shared = work.table(entries.withColumn("held", held).filter("held > 1"), "shared")
     work.release()
-    named = buckets.select("cid", F.col("doc_id").alias("id"), F.col("h").alias("hash")).distinct()
-    rows = _named(docs, id_col, text_col)
+    reps = signed.select(F.col("row").alias("cid"), "doc_id", "h", "n").join(classes.select("cid", "first"), "cid")
+    buckets = work.table(shared.join(reps, "cid"), "buckets")
+    work.drop(shared)
+    named = work.table(buckets.select("cid", F.col("doc_id").alias("id"), F.col("h").alias("hash")).distinct(), "named")
+    rows, _ = parted(work, docs, id_col, text_col, named.select(F.col("id").alias("doc_id"), F.col("hash").alias("h")))
+    rows = _named(rows, id_col, text_col)
     texts = rows.join(named, rows.doc_id.eqNullSafe(named.id) & (rows.h == named.hash)).select("cid", "text")
     sets = work.table(_sets(texts, shingle).dropDuplicates(["cid"]), "sets")
     work.release()
@@ -300,10 +320,12 @@ def one_of_each(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     def of(rows: DataFrame, named: DataFrame):
         return rows[id_col].cast("long").eqNullSafe(named.doc_id) & (F.xxhash64(rows[text_col].cast("string")) == named.h)
 
-    left = docs.join(gone, of(docs, gone), "left_anti")
+    maybe, left = parted(work, docs, id_col, text_col, gone)
+    left = left.union(maybe.join(gone, of(maybe, gone), "left_anti"))
     if again.isEmpty():
         return left
-    repeated = left.join(again, of(left, again))
-    columns = [left[c] for c in docs.columns]
+    maybe, left = parted(work, left, id_col, text_col, again)
+    repeated = maybe.join(again, of(maybe, again))
+    columns = [maybe[c] for c in docs.columns]
     one = repeated.groupBy(again.doc_id, again.h).agg(F.min_by(F.struct(columns), F.xxhash64(*columns)).alias("_one")).select("_one.*")
-    return left.join(again, of(left, again), "left_anti").union(one)
+    return left.union(maybe.join(again, of(maybe, again), "left_anti")).union(one)
