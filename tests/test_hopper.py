@@ -3,6 +3,7 @@
 import numpy as np
 
 from cellbalance import registry
+from cellbalance.operators import sfc
 from cellbalance.plans import hopper
 
 
@@ -32,3 +33,14 @@ def test_contact_loads_of_every_snapshot(spark, data):
         roots = np.unique(first >> 8, axis=0, return_counts=True)[1]
         assert got[k, "static"].max_load == max(roots, default=0)
         assert all(got[k, a].optimum == round(len(first) / hopper.P, 6) and got[k, a].max_load >= got[k, a].optimum for a in ("static", "morton", "hilbert"))
+
+
+def test_leaves_that_share_a_key_are_cut_alike_in_every_run(spark):
+    # 32 cells further along x the curve's key is the same
+    rows = [(0, 3, 32 * i, 0, 0, 1 + i * 7 % 11) for i in range(60)]
+    got = []
+    for some in (rows, rows[::-1], rows[1::2] + rows[::2]):
+        leaves = spark.createDataFrame(some, "snapshot int, level int, cx long, cy long, cz long, weight long").coalesce(1)
+        placed = sfc.cut_each(sfc.keyed(leaves, hopper.DOM, "hilbert"), "snapshot", "curve_key", 5, 3 * hopper.DOM.key_bits)
+        got.append({r.cx: r.rank_id for r in placed.collect()})
+    assert got[0] == got[1] == got[2] and len(set(got[0].values())) == 5
