@@ -3,8 +3,9 @@
 import numpy as np
 
 from cellbalance import registry
-from cellbalance.operators import sfc
+from cellbalance.operators import contacts, sfc
 from cellbalance.plans import hopper
+from pyspark.sql import functions as F
 
 
 def brute(points):
@@ -44,3 +45,19 @@ def test_leaves_that_share_a_key_are_cut_alike_in_every_run(spark):
         placed = sfc.cut_each(sfc.keyed(leaves, hopper.DOM, "hilbert"), "snapshot", "curve_key", 5, 3 * hopper.DOM.key_bits)
         got.append({r.cx: r.rank_id for r in placed.collect()})
     assert got[0] == got[1] == got[2] and len(set(got[0].values())) == 5
+
+
+def test_counts_by_first_cell_and_by_snapshot_add_up(spark, data):
+    points = hopper.hopper(spark, data, [0, 15, 30])
+    both = contacts.between_cells(points, 8, 5, occupied=True)
+    want = {tuple(r)[:4]: r.n for r in both.groupBy("snapshot", "cx", "cy", "cz").agg(F.sum("contacts").alias("n")).collect()}
+    first = contacts.between_cells(points, 8, 5, occupied=True, by="first")
+    assert {tuple(r)[:4]: r.n for r in first.groupBy("snapshot", "cx", "cy", "cz").agg(F.sum("contacts").alias("n")).collect()} == want
+    none = contacts.between_cells(points, 8, 5, by="none").groupBy("snapshot").agg(F.sum("contacts").alias("n")).collect()
+    assert {r.snapshot: r.n for r in none} == {k: sum(n for c, n in want.items() if c[0] == k) for k in (0, 15, 30)}
+
+
+def test_snapshots_move_one_at_a_time_where_the_table_is_large(spark, data):
+    base = hopper.diffusion.written(hopper.particles(spark, data))
+    one, all_ = (hopper.contact_pairs(base, by="none", most=most) for most in (1, 1 << 40))
+    assert {r.snapshot: r["sum(contacts)"] for r in one.groupBy("snapshot").sum("contacts").collect()} == {r.snapshot: r["sum(contacts)"] for r in all_.groupBy("snapshot").sum("contacts").collect()}
