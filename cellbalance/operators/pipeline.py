@@ -56,7 +56,12 @@ def rebalance(spark: SparkSession, points: DataFrame, leaves: DataFrame, asg: Da
 
     pyr = done("weights", octree.pyramid(points, dom, F.col(cfg.weight) if cfg.weight else None))
     new = octree.adapt(octree.weighed(leaves.select(*CELL), pyr), pyr, dom, cfg.p, factor=cfg.factor, max_delta=cfg.max_delta)
-    new = done("adapt", octree.closed_leaves(spark, new, pyr, dom, cfg.connectivity) if cfg.closed else new)
+    if cfg.closed:
+        # each step reads the one before several times: unwritten, the leaves stand in one plan some seventy times
+        inner = diffusion.written(octree.interior_of(diffusion.written(new), dom))
+        inner = diffusion.written(octree.close_two_to_one(inner, dom, cfg.connectivity))
+        new = octree.weighed(octree.leaves_of(inner, spark, dom), pyr)
+    new = done("adapt", new)
     old = inherit(new, asg if asg is not None else baselines.one_to_one(octree.weighed(leaves.select(*CELL), pyr)), dom)
     if cfg.algorithm == "diffusion":
         balanced = diffusion.balance(old, adjacency.full(new, dom), cfg.p, cfg.iters)
