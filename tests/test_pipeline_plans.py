@@ -2,6 +2,7 @@
 
 from cellbalance.operators import octree, pipeline
 from cellbalance.plans import hopper
+from pyspark.sql import functions as F
 
 
 def test_no_step_of_the_pipeline_plans_hundreds_of_tables(spark, data, monkeypatch):
@@ -20,3 +21,15 @@ def test_no_step_of_the_pipeline_plans_hundreds_of_tables(spark, data, monkeypat
     raw = write(octree.adapt(octree.weighed(start, pyr), pyr, hopper.DOM, hopper.P, factor=2))
     want = octree.closed_leaves(spark, raw, pyr, hopper.DOM).collect()
     assert sorted(map(tuple, got.leaves.collect())) == sorted(map(tuple, want))
+
+
+def long_row_of_cells(spark, n):
+    """n finest cells along x, most beyond the box: many rows in few bytes."""
+    zero = F.lit(0).cast("long")
+    return pipeline.diffusion.written(spark.range(n).select(zero.alias("snapshot"), F.lit(3).alias("level"), F.col("id").alias("cx"), zero.alias("cy"), zero.alias("cz"), F.lit(1).cast("long").alias("weight")))
+
+
+def test_occupied_cells_are_not_broadcast_to_the_leaves(spark):
+    found = octree.weighed(octree.uniform(spark, hopper.DOM, 3), long_row_of_cells(spark, 100_000))
+    assert sum(r.weight for r in found.collect()) == 32
+    assert "Broadcast" not in found._jdf.queryExecution().executedPlan().toString()
