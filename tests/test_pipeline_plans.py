@@ -33,3 +33,13 @@ def test_occupied_cells_are_not_broadcast_to_the_leaves(spark):
     found = octree.weighed(octree.uniform(spark, hopper.DOM, 3), long_row_of_cells(spark, 100_000))
     assert sum(r.weight for r in found.collect()) == 32
     assert "Broadcast" not in found._jdf.queryExecution().executedPlan().toString()
+
+
+def test_loads_under_an_assignment_send_the_leaves_and_not_the_cells(spark):
+    asg = octree.uniform(spark, hopper.DOM, 3).withColumn("rank_id", F.col("cx") % 2)
+    cells = long_row_of_cells(spark, 100_000)
+    held = hopper.held_under(asg, cells)
+    assert {r.rank_id: r.load for r in held.collect()} == {0: 16, 1: 16}
+    plan = held._jdf.queryExecution().executedPlan().toString()
+    assert "BuildRight" in plan and "BuildLeft" not in plan
+    assert hopper.loads_under(asg, cells) == [(0, 16, 32)]
